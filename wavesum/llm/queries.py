@@ -32,12 +32,24 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(documents(spark, sf_dir).select("doc_id", "text"), shards=24)
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wavesum.llm.suffix_dedup import suffix_dedup_digest
+
+    return suffix_dedup_digest(documents(spark, sf_dir))
+
+
 def op7_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wavesum.llm.sentencepieces import sentencepiece_digest
 
     return sentencepiece_digest(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"))
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wavesum.llm.seed_dedup import seed_dedup_digest
+
+    return seed_dedup_digest(documents(spark, sf_dir))
+
+
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wavesum.llm.token_files import token_file_digest
 
@@ -51,7 +63,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_language_id, op4_sharding, op7_sentencepiece, op9_token_files, op10_quality_rules)}
+    return {f.__name__: f for f in (op3_language_id, op4_sharding, op5_suffix_dedup, op7_sentencepiece, op8_substring_dedup, op9_token_files, op10_quality_rules)}
 
 
 def oracle_sql() -> dict[str, str]:
