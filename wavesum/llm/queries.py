@@ -38,6 +38,12 @@ def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup_digest(documents(spark, sf_dir))
 
 
+def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wavesum.llm.simhash import near_components
+
+    return near_components(documents(spark, sf_dir))
+
+
 def op7_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wavesum.llm.sentencepieces import sentencepiece_digest
 
@@ -63,7 +69,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_language_id, op4_sharding, op5_suffix_dedup, op7_sentencepiece, op8_substring_dedup, op9_token_files, op10_quality_rules)}
+    return {f.__name__: f for f in (op3_language_id, op4_sharding, op5_suffix_dedup, op6_simhash, op7_sentencepiece, op8_substring_dedup, op9_token_files, op10_quality_rules)}
 
 
 def oracle_sql() -> dict[str, str]:
