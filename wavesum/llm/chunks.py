@@ -13,8 +13,9 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-CAP = 1_500_000
-CHUNK_BLOCK = 16 << 20
+CAP = 800_000
+CHUNK_BLOCK = 8 << 20
+SLICE = 20_000
 
 
 class ChunkTable:
@@ -41,13 +42,18 @@ class ChunkTable:
         if len(new):
             at[new] = len(self.words) + np.arange(len(new))
             missing = unique.take(pa.array(new))
-            texts = missing.to_pylist()
-            lists = self.encode(texts)
-            length = np.fromiter(map(len, lists), np.int64, len(lists))
-            flat = np.fromiter((i for x in lists for i in x), np.uint32, int(length.sum()))
+            lengths, ids, more = [], [], {k: [] for k in self.extra}
+            for lo in range(0, len(missing), SLICE):  # a tokenizer's own results are many times their text
+                texts = missing.slice(lo, SLICE).to_pylist()
+                lists = self.encode(texts)
+                lengths.append(np.fromiter(map(len, lists), np.int64, len(lists)))
+                ids.append(np.fromiter((i for x in lists for i in x), np.uint32, int(lengths[-1].sum())))
+                for k, f in self.extra.items():
+                    more[k].append(pa.array(f(texts, lists), pa.large_string()))
+            length = np.concatenate(lengths)
             self.begin = np.concatenate([self.begin, len(self.ids) + np.cumsum(length) - length])
-            self.ids, self.length = np.concatenate([self.ids, flat]), np.concatenate([self.length, length])
+            self.ids, self.length = np.concatenate([self.ids, *ids]), np.concatenate([self.length, length])
             self.words = pa.concat_arrays([self.words, missing])
-            for k, f in self.extra.items():
-                self.more[k] = pa.concat_arrays([self.more[k], pa.array(f(texts, lists), pa.large_string())])
+            for k in self.extra:
+                self.more[k] = pa.concat_arrays([self.more[k], *more[k]])
         return at[coded.indices.to_numpy()]
