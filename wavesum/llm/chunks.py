@@ -23,9 +23,11 @@ class ChunkTable:
 
     def __init__(self, encode: Callable, extra: dict[str, Callable] | None = None, cap: int = CAP):
         self.encode, self.extra, self.cap = encode, extra or {}, cap
+        self.generation = 0
         self.clear()
 
     def clear(self) -> None:
+        self.generation += 1
         self.words = pa.array([], pa.large_string())
         self.ids = np.zeros(0, np.uint32)
         self.begin, self.length = np.zeros(0, np.int64), np.zeros(0, np.int64)

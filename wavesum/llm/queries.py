@@ -20,6 +20,12 @@ def vocabulary(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wavesum.llm.scoring import scored
+
+    return scored(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"))
+
+
 def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wavesum.llm.decontaminate import contaminated
 
@@ -75,7 +81,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontamination, op3_language_id, op4_sharding, op5_suffix_dedup, op6_simhash, op7_sentencepiece, op8_substring_dedup, op9_token_files, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_lm_scoring, op2_decontamination, op3_language_id, op4_sharding, op5_suffix_dedup, op6_simhash, op7_sentencepiece, op8_substring_dedup, op9_token_files, op10_quality_rules)}
 
 
 def oracle_sql() -> dict[str, str]:

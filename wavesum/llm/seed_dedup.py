@@ -23,9 +23,11 @@ from wavesum.llm.suffix_dedup import BYTE64
 WINDOW, GRAM, TEXT_BYTES = 20, 8, 6 << 20
 
 
-def word_symbols(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """A 64-bit hash of each word, and the word offsets by document."""
+def word_symbols(texts: pa.Array, letters: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """A 64-bit hash of each word, and the word offsets by document; letters: a table to map bytes by first."""
     data, docs = flat(texts)
+    if letters is not None:
+        data = letters[data]
     _, lengths, by_doc, inside = word_spans(data, docs)
     body = BYTE64[data[inside]]
     up, down = powers(len(body) + 1)
