@@ -151,11 +151,11 @@ def cuts(*keys: np.ndarray) -> np.ndarray:
     return np.concatenate([[0], np.flatnonzero(change) + 1, [n]]) if n else np.zeros(1, np.int64)
 
 
-def anchor_rows(symbols_of: Callable, window: int, gram: int, buckets: int, twice: bool) -> Callable:
+def anchor_rows(symbols_of: Callable, window: int, gram: int, buckets: int, twice: bool, limit: int) -> Callable:
     """Step 1.  twice: an anchor that a document has twice is repeated (else it takes two documents)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block in blocks(batches, limit=4 << 20):
+        for block in blocks(batches, limit=limit):
             symbols, docs = symbols_of(block.column("text"))
             places, anchor = anchor_places(symbols, docs, window, gram)
             doc = np.searchsorted(docs, places, side="right") - 1
@@ -269,7 +269,7 @@ def pipeline(docs: DataFrame, text_bytes: int, symbols_of: Callable, window: int
     table, mask) are the steps 3, 4 and 5 of the operator.
     """
     homed, _, buckets = plan(docs, text_bytes)
-    first = homed.select("home", "text").mapInArrow(anchor_rows(symbols_of, window, gram, buckets, twice), ROWS)
+    first = homed.select("home", "text").mapInArrow(anchor_rows(symbols_of, window, gram, buckets, twice, text_bytes), ROWS)
     live = first.groupBy("bucket").applyInArrow(live_rows(hot), ROWS)
     at_home = homed.groupBy("home")
 

@@ -21,7 +21,7 @@ from wavesum.llm.common import flat, spread, strings, sums
 from wavesum.llm.repeats import NONE, anchors, bucket_of, cuts, gram_hashes, lookup, mixed, packed, pipeline, ranges
 from wavesum.llm.suffixes import CoverSuffixes, same_prefix
 
-LENGTH, GRAM, TEXT_BYTES = 50, 20, 4 << 20
+LENGTH, GRAM, TEXT_BYTES = 50, 20, 2_000_000
 #: A number for each byte value.
 BYTE64 = mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
@@ -106,8 +106,9 @@ def compare(length: int):
             segment_at = np.zeros(len(text), np.int32)
             segment_at[positions] = seg_of
             flagged = []
-            for order in CoverSuffixes(text, depth=length).buckets(positions):
-                same = same_prefix(text, order, length)
+            suffixes = CoverSuffixes(text, depth=length)
+            for order in suffixes.buckets(positions):
+                same = same_prefix(suffixes.first, order, length)
                 group = np.cumsum(~same) - 1
                 d = doc[segment_at[order]]
                 least = np.minimum.reduceat(d, np.flatnonzero(~same)) if len(d) else d

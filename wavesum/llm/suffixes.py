@@ -36,7 +36,7 @@ def words8(text: np.ndarray) -> np.ndarray:
     """The 8 bytes from each position as a big-endian number, zero bytes past the end."""
     padded = np.concatenate([text, np.zeros(8, np.uint8)])
     view = np.lib.stride_tricks.as_strided(padded, (len(text), 8), (1, 1))
-    return np.ascontiguousarray(view).view(">u8").ravel().astype(np.uint64) if len(text) else np.zeros(0, np.uint64)
+    return np.ascontiguousarray(view).view(np.uint64).ravel().byteswap(inplace=True) if len(text) else np.zeros(0, np.uint64)
 
 
 def dense(keys: np.ndarray) -> np.ndarray:
@@ -59,7 +59,7 @@ class CoverSuffixes:
         self.shift = np.array([[next(d for d in range(v) if (a + d) % v in cover and (b + d) % v in cover) for b in range(v)] for a in range(v)])
         sample = np.flatnonzero(np.isin(np.arange(v), cover)[np.arange(n) % v]) if n else np.zeros(0, np.int64)
         # ranks by position; past the end 0, below every rank
-        self.rank = np.zeros(n + 2 * v + 1, np.int64)
+        self.rank = np.zeros(n + 2 * v + 1, np.int32 if n < 1 << 30 else np.int64)
         # 7 bytes and how many of them are text: of two equal ones the one that ends early is less
         names = dense(self.first[sample] & ~np.uint64(0xFF) | np.minimum(n - sample, v).astype(np.uint64))
         done, goal = v, n if depth is None else min(depth, n)
@@ -68,7 +68,7 @@ class CoverSuffixes:
             if done >= goal or names.max() == len(sample):
                 break
             # an end of the text inside the compared bytes sorts first, as rank 0
-            names = dense(names * (len(sample) + 1) + np.where(sample + done < n, self.rank[np.minimum(sample + done, n)], 0))
+            names = dense(names * (len(sample) + 1) + self.rank[np.minimum(sample + done, n)])
             done *= 2
 
     def buckets(self, positions: np.ndarray, limit: int = BUCKET) -> Iterator[np.ndarray]:
@@ -101,7 +101,7 @@ class CoverSuffixes:
             for b in range(self.v):
                 if len(of[a]) and len(of[b]):
                     d = int(self.shift[a, b])
-                    mine, theirs = (grp[of[x]] * span + self.rank[np.minimum(pos[of[x]] + d, n + self.v)] for x in (a, b))
+                    mine, theirs = (grp[of[x]] * span + self.rank[pos[of[x]] + d] for x in (a, b))
                     theirs = np.sort(theirs)
                     # rows of earlier groups count too, alike for all of a group
                     less[of[a]] += np.searchsorted(theirs, mine)
@@ -118,12 +118,14 @@ def suffix_array(text: bytes) -> np.ndarray:
     return np.concatenate(parts) if parts else np.zeros(0, np.int64)
 
 
-def same_prefix(text: np.ndarray, ordered: np.ndarray, length: int) -> np.ndarray:
-    """Whether each suffix starts with the same `length` bytes as the one before it in the order; all have that many."""
+def same_prefix(w: np.ndarray, ordered: np.ndarray, length: int) -> np.ndarray:
+    """Whether each suffix starts with the same `length` bytes as the one before it in the order; all have that many.
+
+    w: words8 of the text.
+    """
     out = np.zeros(len(ordered), bool)
     if len(ordered) > 1:
         a, b, eq = ordered[1:], ordered[:-1], np.ones(len(ordered) - 1, bool)
-        w = words8(text)
         for k in [*range(0, length - 7, 8), *([length - 8] if length % 8 and length > 8 else [])]:
             eq &= w[a + k] == w[b + k]
         if length < 8:
