@@ -1,0 +1 @@
+"""Wavelet summaries of key distributions, as Spark plans."""
