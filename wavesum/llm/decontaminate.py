@@ -9,17 +9,15 @@ distance floor(0.3 n).
    that length are left out.
 2. CGK embedding: a random walk over a sequence repeats or advances at each step by a random
    bit of the current word, so sequences at a small edit distance get embeddings at a small
-   Hamming distance.  Every table has its own walk and samples a few of its 3n steps; equal
-   samples make a candidate.  The number of tables follows from the share of equal steps
-   measured on items with k random edits, so that such a pair is found with the target
-   probability.
+   Hamming distance.  There are WALKS walks, and from each a number of tables that sample a
+   few of its 3n steps; equal samples make a candidate.  The number of tables is the least
+   power of two that finds the target share of items with k random edits.
 3. Every candidate is verified by the exact edit distance of the item to the best part of
    the text around the window.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,6 +30,7 @@ from wavesum.llm.repeats import mixed, powers
 from wavesum.llm.suffix_dedup import BYTE64
 
 SHARE, RECALL, SAMPLED, LEAST_WORDS = 0.3, 0.99, 3, 5
+WALKS = 6
 #: Items are broadcast in groups of at most so many bytes of text.
 ITEM_BYTES = 32 << 20
 PAD = np.uint64(0x5851F42D4C957F2D)
@@ -82,20 +81,17 @@ class Items:
         for n in np.unique(self.length[self.length >= LEAST_WORDS]).tolist():
             rows = np.flatnonzero(self.length == n)
             self.classes[n] = {"rows": rows, "need": max(1, n - 1 - 2 * allowed(n)), "pairs": np.unique(np.concatenate([pair_hash(self.symbols[b : b + n]) for b in self.begin[rows]]))}
-            self.classes[n]["tables"] = [self.table(rows, n, seed) for seed in range(self.tables(rows, n))]
+            self.classes[n]["tables"] = self.tables(rows, n)
         self.pairs = np.unique(np.concatenate([c["pairs"] for c in self.classes.values()])) if self.classes else np.zeros(0, np.uint64)
         self.screen = np.zeros(1 << 20, bool)
         self.screen[(self.pairs >> np.uint64(44)).astype(np.int64)] = True
 
-    def tables(self, rows: np.ndarray, n: int, trials: int = 64) -> int:
-        """How many tables find a pair at the allowed distance with probability RECALL."""
-        rng, k = np.random.default_rng(n), allowed(n)
-        if not k:
-            return 1
-        edited, offs = [], [0]
+    def edited(self, rows: np.ndarray, n: int, trials: int) -> tuple[np.ndarray, np.ndarray]:
+        """Items with the allowed number of random edits, cut to n words: words and offsets."""
+        rng, words, offs = np.random.default_rng(n), [], [0]
         for t in range(trials):
             seq = self.symbols[self.begin[rows[t % len(rows)]] :][:n].tolist()
-            for _ in range(k):
+            for _ in range(allowed(n)):
                 kind, at = rng.integers(3), int(rng.integers(len(seq)))
                 if kind == 0:
                     seq[at] = int(rng.integers(1 << 62))
@@ -103,30 +99,43 @@ class Items:
                     seq.insert(at, int(rng.integers(1 << 62)))
                 elif len(seq) > 1:
                     del seq[at]
-            edited += seq[:n]
-            offs.append(len(edited))
-        offs = np.array(offs)
-        steps = np.arange(3 * n)
-        a = walk(self.symbols, self.begin[rows[np.arange(trials) % len(rows)]], np.full(trials, n), 77, steps)
-        b = walk(np.array(edited, np.uint64), offs[:-1], np.diff(offs), 77, steps)
-        hit = float(((a == b).mean(1) ** SAMPLED).mean())
-        return max(1, min(256, math.ceil(math.log(1 - RECALL) / math.log(1 - min(hit, 0.999)))))
-
-    def table(self, rows: np.ndarray, n: int, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        steps = np.sort(np.random.default_rng([seed, n]).choice(3 * n, min(SAMPLED, 3 * n), replace=False))
-        keys = key_of(walk(self.symbols, self.begin[rows], self.length[rows], seed, steps))
-        order = np.argsort(keys)
-        return steps, keys[order], rows[order]
+            words += seq[:n]
+            offs.append(len(words))
+        return np.array(words, np.uint64), np.array(offs)
+
+    def tables(self, rows: np.ndarray, n: int, trials: int = 128) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        """(seed, sampled steps of each table, sorted keys of all tables, their items) of each walk."""
+        every = np.arange(3 * n)
+        own = [walk(self.symbols, self.begin[rows], self.length[rows], seed, every) for seed in range(WALKS)]
+        words, offs = self.edited(rows, n, trials)
+        other = [walk(words, offs[:-1], np.diff(offs), seed, every) for seed in range(WALKS)]
+        item = np.arange(trials) % len(rows)
+        for size, count in ((SAMPLED, 8), (SAMPLED, 16), (SAMPLED, 32), (SAMPLED, 64), (2, 64), (1, 64)):
+            steps = [np.random.default_rng([seed, n]).integers(0, 3 * n, (count, size)) for seed in range(WALKS)]
+            met = np.zeros(trials, bool)
+            for s, a, b in zip(steps, own, other, strict=True):
+                met |= (keys_of(a, s)[item] == keys_of(b, s)).any(1)
+            if met.mean() >= RECALL:
+                break
+        out = []
+        for seed, (s, a) in enumerate(zip(steps, own, strict=True)):
+            keys = keys_of(a, s).ravel()
+            order = np.argsort(keys)
+            out.append((seed, s, keys[order], np.repeat(rows, count)[order]))
+        return out
 
     def candidates(self, symbols: np.ndarray, start: np.ndarray, length: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
         """(window, item) rows that fall together in some table."""
-        found = []
-        for seed, (steps, keys, rows) in enumerate(self.classes[n]["tables"]):
-            mine = key_of(walk(symbols, start, length, seed, steps))
+        found = [np.zeros((0, 2), np.int64)]
+        for seed, steps, keys, rows in self.classes[n]["tables"]:
+            mine = keys_of(walk(symbols, start, length, seed, np.arange(int(steps.max()) + 1)), steps)
+            window = np.repeat(np.arange(len(start)), steps.shape[0])
+            mine = mine.ravel()
             lo, hi = np.searchsorted(keys, mine), np.searchsorted(keys, mine, side="right")
-            w = np.repeat(np.arange(len(mine)), hi - lo)
-            offset = np.arange(len(w)) - np.repeat(np.cumsum(hi - lo) - (hi - lo), hi - lo)
-            found.append(np.stack([w, rows[lo[w] + offset]], axis=1))
+            hit = np.flatnonzero(hi > lo)
+            lo, size = lo[hit], (hi - lo)[hit]
+            offset = np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)
+            found.append(np.unique(np.stack([np.repeat(window[hit], size), rows[np.repeat(lo, size) + offset]], axis=1), axis=0))
         both = np.unique(np.concatenate(found), axis=0)
         return both[:, 0], both[:, 1]
 
@@ -135,10 +144,11 @@ def pair_hash(symbols: np.ndarray) -> np.ndarray:
     return mixed(symbols[:-1] * np.uint64(0x9E3779B97F4A7C15) + symbols[1:])
 
 
-def key_of(sampled: np.ndarray) -> np.ndarray:
-    key = np.zeros(len(sampled), np.uint64)
-    for c in range(sampled.shape[1]):
-        key = mixed(key * np.uint64(0xD6E8FEB86659FD93) + sampled[:, c])
+def keys_of(embedded: np.ndarray, steps: np.ndarray) -> np.ndarray:
+    """A key for each sequence (rows of embedded) and each table (rows of steps); tables' keys don't mix."""
+    key = np.broadcast_to(np.arange(1, len(steps) + 1, dtype=np.uint64), (len(embedded), len(steps))).copy()
+    for c in range(steps.shape[1]):
+        key = mixed(key * np.uint64(0xD6E8FEB86659FD93) + embedded[:, steps[:, c]])
     return key
 
 
