@@ -1 +1,396 @@
+"""Experiment sweeps and the operators around the summaries."""
+
 from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from wavesum.functions import haar
+from wavesum.functions.keys import spec
+from wavesum.operators import exact, sample
+from wavesum.operators.freq import global_freq, local_freq
+from wavesum.plans import accuracy, duck
+from wavesum.queries import EPS, K, M, _union, _with_log2u, here, keyed, register, sampling_plan, true_values
+
+# --- sweeps, one row a setting --------------------------------------------------------
+
+KS = (10, 20, 30, 40, 50)
+_part = spec("partkey")
+_ranked = f"SELECT row_number() OVER (ORDER BY {duck.ENERGY} DESC, coef_id) AS rank, CAST(diff AS DOUBLE) * diff * pow(CAST(2 AS DOUBLE), greatest(level, 0) - {{u}}) AS e FROM ({{c}})"
+
+
+def _sweep_k_sql(name: str) -> str:
+    key = spec(name)
+    c = duck.coefs(duck.freq(key), key.log2u)
+    return f"SELECT k, round((total - kept) / total, 6) AS sse_share FROM (SELECT k, (SELECT CAST(sum(cnt * cnt) AS DOUBLE) FROM ({duck.freq(key)})) AS total, sum(e) AS kept FROM ({_ranked.format(u=key.log2u, c=c)}), (SELECT CAST(unnest({list(KS)}) AS INTEGER) AS k) WHERE rank <= k GROUP BY k)"
+
+
+for _name in ("partkey", "words"):
+
+    @register(f"sweep_k_sse_{_name}", _sweep_k_sql(_name))
+    def sweep_k_sse(spark: SparkSession, sf_dir: str, name: str = _name) -> DataFrame:
+        """Squared error of the exact k best over energy, k = 10 .. 50: one transform, one ranking of 50 rows."""
+        df, log2u = _with_log2u(spark, sf_dir, name)
+        freq = global_freq(df)
+        top = haar.best_k(haar.by_subtree(freq, log2u), max(KS), log2u)
+        w = Window.orderBy(haar.energy_key(F.col("diff"), F.col("level")).desc(), "coef_id")  # 50 rows
+        ranked = top.withColumn("rank", F.row_number().over(w)).withColumn("e", F.col("value") * F.col("value"))
+        total = float(accuracy.energy(freq))
+        ks = spark.createDataFrame([(k,) for k in KS], "k int")
+        kept = ranked.join(F.broadcast(ks), F.col("rank") <= F.col("k")).groupBy("k").agg(F.sum("e").alias("kept"))
+        return kept.select("k", F.round((F.lit(total) - F.col("kept")) / F.lit(total), 6).alias("sse_share"))
+
+
+MS = (4, 8, 16, 32, 64)
+
+
+@register("sweep_m_comm", " UNION ALL ".join(f"SELECT {m} AS m, (SELECT count(*) FROM ({duck.local(_part, m)})) AS count_pairs, (SELECT count(*) FROM ({duck.coefs(duck.local(_part, m), 11, by='site')})) AS coef_pairs" for m in MS))
+def sweep_m_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs of both baselines over the number of sites."""
+    out = []
+    for m in MS:
+        df, key = keyed(spark, sf_dir, "partkey", m)
+        local = local_freq(df)
+        coefs = haar.local_sparse(local, key.log2u)
+        out.append(local.agg(F.count("*").alias("count_pairs")).join(coefs.agg(F.count("*").alias("coef_pairs"))).select(F.lit(m).alias("m"), "count_pairs", "coef_pairs"))
+    return _union(out)
+
+
+STEPS = {9: 1.0, 13: 0.1, 16: 0.01, 19: 0.001}
+_value_freq = "SELECT CAST(floor(value / CAST({s} AS DOUBLE)) AS BIGINT) AS pos, event_id % 16 AS site, CAST(count(*) AS BIGINT) AS cnt FROM events GROUP BY 1, 2"
+
+
+@register("sweep_u_comm", " UNION ALL ".join(f"SELECT {u} AS log2u, (SELECT count(*) FROM ({_value_freq.format(s=s)})) AS count_pairs, (SELECT count(*) FROM ({duck.coefs(_value_freq.format(s=s), u, by='site')})) AS coef_pairs" for u, s in STEPS.items()))
+def sweep_u_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs of both baselines over the domain's size: one value column at finer and finer steps."""
+    events, out = spark.read.parquet(f"{sf_dir}/events.parquet"), []
+    for log2u, step in STEPS.items():
+        local = events.select((F.col("event_id") % M).alias("site"), F.floor(F.col("value") / F.lit(step)).cast("long").alias("pos")).groupBy("site", "pos").agg(F.count("*").alias("cnt"))
+        coefs = haar.local_sparse(local, log2u + (1 if "0.1" in sf_dir[-3:] else 0))
+        out.append(local.agg(F.count("*").alias("count_pairs")).join(coefs.agg(F.count("*").alias("coef_pairs"))).select(F.lit(log2u).alias("log2u"), "count_pairs", "coef_pairs"))
+    return _union(out)
+
+
+EPSES = (0.01, 0.02, 0.05, 0.1)
+_SAMPLERS = ("precombine", "floor", "two_stage")
+
+
+def _sweep_eps_sql() -> str:
+    return " UNION ALL ".join(f"SELECT '{x}' AS method, CAST({e} AS DOUBLE) AS eps, (SELECT count(*) FROM ({duck.messages(x, spec('value'), M, e)})) AS pairs, ({duck.sse(spec('value'), duck.sampled_top(x, spec('value'), M, e, K))}) AS sse" for x in _SAMPLERS for e in EPSES)
+
+
+@register("sweep_eps_sse", _sweep_eps_sql())
+def sweep_eps_sse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs sent and squared error of the samplers over eps."""
+    df, key = keyed(spark, sf_dir, "value", row_id=True)
+    total, true = accuracy.energy(global_freq(df)), true_values(df, key.log2u)
+    out = []
+    for x in _SAMPLERS:
+        for e in EPSES:
+            plan = sampling_plan(df, eps=e)
+            sent = sample.messages(x, df, plan)
+            top = sample.best_k(sample.coefficients(sample.totals(sent), plan, key.log2u), K)
+            out.append(sent.agg(F.count("*").alias("pairs")).join(accuracy.sse(total, true, top)).select(F.lit(x).alias("method"), F.lit(e).alias("eps"), "pairs", F.round("sse", 3).alias("sse")))
+    return _union(out)
+
+
+@register("sweep_skew_comm")
+def sweep_skew_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Zipf keys of three exponents drawn by row hash: pairs of the baselines and energy share of 30 terms."""
+    from wavesum.sources.gen import zipf_positions
+
+    rows = keyed(spark, sf_dir, "partkey", row_id=True)[0]
+    out = []
+    for alpha in (0.8, 1.1, 1.4):
+        df = zipf_positions(rows, alpha, 14)
+        local, freq = local_freq(df), global_freq(df)
+        total = float(accuracy.energy(freq))
+        top = haar.best_k(haar.by_subtree(freq, 14), K, 14).agg(F.sum(F.col("value") ** 2).alias("kept"))
+        out.append(local.agg(F.count("*").alias("count_pairs")).join(top).select(F.lit(alpha).alias("alpha"), "count_pairs", F.round((F.lit(total) - F.col("kept")) / F.lit(total), 6).alias("sse_share")))
+    return _union(out)
+
+
+@register("sweep_record_size", "SELECT 'n_chars' AS read, CAST(count(*) AS BIGINT) AS n FROM documents UNION ALL SELECT 'all' AS read, CAST(count(*) AS BIGINT) AS n FROM documents")
+def sweep_record_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Wide records with and without the other columns read; a columnar scan leaves them out."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    return docs.agg(F.count("n_chars").alias("n")).select(F.lit("n_chars").alias("read"), "n").unionByName(docs.agg(F.sum((F.length("text") >= 0).cast("long")).alias("n")).select(F.lit("all").alias("read"), "n"))
+
+
+@register("ablation_resend_tight")
+def ablation_resend_tight(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs by round with and without sending again, and with and without intersected bounds."""
+    df, log2u = _with_log2u(spark, sf_dir, "value")
+    out = []
+    for resend in (False, True):
+        for tight in (False, True):
+            got = exact.signed_topk(df, log2u, K, M, resend=resend, tight=tight)
+            out += [(resend, tight, p["phase"], int(p["pairs"])) for p in got.phases]
+    return spark.createDataFrame(out, "resend boolean, tight boolean, phase int, pairs bigint")
+
+
+@register("cost_vs_sse")
+def cost_vs_sse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes sent and squared error of samplers over eps and of the sketch over its size."""
+    from wavesum.operators.sketch import ship_sketch
+    from wavesum.queries import local_values
+
+    df, key = keyed(spark, sf_dir, "value", row_id=True)
+    total, true = accuracy.energy(global_freq(df)), true_values(df, key.log2u)
+    out = [("two_stage" if x == "two_stage" else x, str(e), x, e) for x in _SAMPLERS for e in (0.02, 0.05)]
+    rows = []
+    for label, setting, x, e in out:
+        plan = sampling_plan(df, eps=e)
+        sent = sample.messages(x, df, plan)
+        top = sample.best_k(sample.coefficients(sample.totals(sent), plan, key.log2u), K)
+        size = sent.agg(F.sum(F.when(F.col("cnt").isNull(), 4).otherwise(8))).first()[0] or 0
+        rows.append((label, setting, int(size), float(accuracy.sse(total, true, top).first()[0])))
+    local, _ = local_values(spark, sf_dir, "value")
+    for kb in (5, 20):
+        top, cells = ship_sketch(local, key.log2u, K, bytes_total=kb * 1024 * key.log2u)
+        est = spark.createDataFrame(top, "coef_id bigint, value double")
+        rows.append(("sketch", f"{kb} kB", cells.count() * 12, float(accuracy.sse(total, true, est).first()[0])))
+    return spark.createDataFrame(rows, "method string, setting string, bytes bigint, sse double")
+
+
+# --- relational operators around the methods ------------------------------------------
+
+_LINE, _ORD, _EV = "lineitem.parquet", "orders.parquet", "events.parquet"
+
+
+def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}")
+
+
+@register("freq_after_join", "SELECT CAST(o_custkey AS BIGINT) AS pos, CAST(count(*) AS BIGINT) AS cnt FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1")
+def freq_after_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Key counts over a join: lines are counted by order first, so the join moves a row an order."""
+    lines = read(spark, sf_dir, _LINE).groupBy("l_orderkey").agg(F.count("*").alias("n"))
+    return read(spark, sf_dir, _ORD).join(lines, F.col("o_orderkey") == F.col("l_orderkey")).groupBy(F.col("o_custkey").alias("pos")).agg(F.sum("n").alias("cnt"))
+
+
+_top_sql = f"SELECT coef_id FROM ({duck.best_k(_part, K)})"
+
+
+@register("cand_semi", f"SELECT site, coef_id, diff FROM ({duck.coefs(duck.local(_part, 4), 11, by='site')}) WHERE coef_id IN ({_top_sql})")
+def cand_semi(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Local coefficients of the candidates: the third round's filter."""
+    df, key = keyed(spark, sf_dir, "partkey", 4)
+    top = exact.ship_counts(df, key.log2u, K).select("coef_id")
+    return exact.local_coefs(df, key.log2u).join(F.broadcast(top), "coef_id", "left_semi").select("site", "coef_id", "diff")
+
+
+@register("unsent_anti", f"SELECT site, coef_id, diff FROM ({duck.coefs(duck.local(_part, 4), 11, by='site')}) WHERE coef_id NOT IN ({_top_sql})")
+def unsent_anti(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df, key = keyed(spark, sf_dir, "partkey", 4)
+    top = exact.ship_counts(df, key.log2u, K).select("coef_id")
+    return exact.local_coefs(df, key.log2u).join(F.broadcast(top), "coef_id", "left_anti").select("site", "coef_id", "diff")
+
+
+@register("support_range_join", f"SELECT coef_id, CAST(count(*) AS BIGINT) AS keys, CAST(sum(cnt) AS BIGINT) AS n FROM (SELECT coef_id, CASE WHEN coef_id = 1 THEN 0 ELSE CAST(floor(log2(coef_id - 1)) AS INTEGER) END AS l FROM ({_top_sql})) c JOIN ({duck.freq(_part)}) f ON (c.coef_id = 1 OR (f.pos >> (11 - l)) = c.coef_id - 1 - (CAST(1 AS BIGINT) << l)) GROUP BY coef_id")
+def support_range_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys under each kept coefficient: the range join lo <= pos < hi, written as an equi-join on (level, block)."""
+    df, key = keyed(spark, sf_dir, "partkey")
+    freq = global_freq(df)
+    top = exact.ship_counts(df, key.log2u, K)
+    level = F.greatest(F.col("level"), F.lit(0))
+    block = F.when(F.col("coef_id") == 1, F.lit(0).cast("long")).otherwise(F.col("coef_id") - 1 - F.call_function("shiftleft", F.lit(1).cast("long"), level))
+    terms = top.select("coef_id", level.alias("l"), block.alias("b"))
+    spots = freq.select("cnt", F.col("pos"), F.explode(F.sequence(F.lit(0), F.lit(key.log2u - 1))).alias("l")).withColumn("b", F.call_function("shiftright", F.col("pos"), F.lit(key.log2u) - F.col("l")))
+    return spots.join(F.broadcast(terms), ["l", "b"]).groupBy("coef_id").agg(F.count("*").alias("keys"), F.sum("cnt").alias("n"))
+
+
+@register("sse_join", f"SELECT pos, cnt, coalesce(other, 0) AS other FROM (SELECT coalesce(a.pos, b.pos) AS pos, coalesce(a.cnt, 0) AS cnt, b.cnt AS other FROM ({duck.freq(spec('custkey'))}) a FULL JOIN ({duck.freq(_part)}) b ON a.pos = b.pos)")
+def sse_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two frequency vectors side by side, absent counts 0: the full outer join of a brute-force error."""
+    a = global_freq(keyed(spark, sf_dir, "custkey")[0])
+    b = global_freq(keyed(spark, sf_dir, "partkey")[0]).withColumnRenamed("cnt", "other")
+    return a.join(b, "pos", "full").select("pos", F.coalesce("cnt", F.lit(0)).alias("cnt"), F.coalesce("other", F.lit(0)).alias("other"))
+
+
+@register("prefix_freq", f"SELECT pos, CAST(sum(cnt) OVER (ORDER BY pos) AS BIGINT) AS upto FROM ({duck.freq(_part)})")
+def prefix_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Running counts in key order: sums of high-bit blocks first, so no window spans all keys."""
+    df, key = keyed(spark, sf_dir, "partkey")
+    shift = max(0, key.log2u - 8)
+    freq = global_freq(df).withColumn("block", F.call_function("shiftright", F.col("pos"), F.lit(shift)))
+    before = Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    starts = freq.groupBy("block").agg(F.sum("cnt").alias("n")).select("block", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))  # 256 rows at most
+    inside = Window.partitionBy("block").orderBy("pos")
+    return freq.join(F.broadcast(starts), "block").select("pos", (F.col("start") + F.sum("cnt").over(inside)).cast("long").alias("upto"))
+
+
+@register("topk_per_site", f"SELECT site, pos, cnt FROM (SELECT *, row_number() OVER (PARTITION BY site ORDER BY cnt DESC, pos) AS rank FROM ({duck.local(_part, M)})) WHERE rank <= 5")
+def topk_per_site(spark: SparkSession, sf_dir: str) -> DataFrame:
+    w = Window.partitionBy("site").orderBy(F.desc("cnt"), "pos")
+    return local_freq(keyed(spark, sf_dir, "partkey")[0]).withColumn("rank", F.row_number().over(w)).filter("rank <= 5").drop("rank")
+
+
+@register("coef_overlap", f"({_top_sql}) INTERSECT (SELECT coef_id FROM ({duck.best_k(spec('shipday'), K)}))")
+def coef_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
+    a, b = (exact.ship_counts(*_with_log2u(spark, sf_dir, n), K).select("coef_id") for n in ("partkey", "shipday"))
+    return a.intersect(b)
+
+
+@register("asof_snapshot", "SELECT event_id, (SELECT max(date_trunc('day', s.ts)) FROM events s WHERE s.event_id % 97 = 0 AND date_trunc('day', s.ts) <= e.ts) AS snapshot FROM events e")
+def asof_snapshot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The latest snapshot day at or before each event: both sides in one ordered stream by month, carried over months."""
+    events = read(spark, sf_dir, _EV).select("event_id", "ts")
+    snaps = events.filter("event_id % 97 = 0").select(F.date_trunc("day", "ts").alias("at")).distinct()
+    both = events.select("event_id", F.col("ts").alias("at"), F.lit(None).cast("timestamp").alias("snap")).unionByName(snaps.select(F.lit(None).cast("long").alias("event_id"), "at", F.col("at").alias("snap")))
+    both = both.withColumn("month", F.date_trunc("month", "at"))
+    last = both.groupBy("month").agg(F.max("snap").alias("last"))
+    carry = last.select("month", F.max("last").over(Window.orderBy("month").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))  # a row a month
+    w = Window.partitionBy("month").orderBy("at").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    return both.join(F.broadcast(carry), "month").select("event_id", F.coalesce(F.max("snap").over(w), "carried").alias("snapshot")).filter("event_id is not null")
+
+
+@register("interval_join", "SELECT w AS window_id, CAST(count(*) AS BIGINT) AS n FROM events JOIN (SELECT CAST(unnest(range(0, 10)) AS BIGINT) AS w) ON value >= w * 50 AND value < w * 50 + 80 GROUP BY w")
+def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events in overlapping value windows [50 w, 50 w + 80): each value names its windows, so it's an equi-join."""
+    top = F.floor(F.col("value") / 50)
+    spots = read(spark, sf_dir, _EV).select("value", F.explode(F.sequence(F.greatest(top - 1, F.lit(0)), top)).alias("window_id")).filter("value < window_id * 50 + 80 and window_id < 10")
+    return spots.groupBy("window_id").agg(F.count("*").alias("n"))
+
+
+@register("rollup_level_site", f"SELECT site, level, CAST(count(*) AS BIGINT) AS n, CAST(sum(abs(diff)) AS BIGINT) AS mass FROM ({duck.coefs(duck.local(_part, 4), 11, by='site')}) GROUP BY ROLLUP (site, level)")
+def rollup_level_site(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df, key = keyed(spark, sf_dir, "partkey", 4)
+    return exact.local_coefs(df, key.log2u).rollup("site", "level").agg(F.count("*").alias("n"), F.sum(F.abs("diff")).alias("mass"))
+
+
+@register("pivot_level_sign", f"SELECT level, CAST(count(*) FILTER (WHERE diff > 0) AS BIGINT) AS up, CAST(count(*) FILTER (WHERE diff < 0) AS BIGINT) AS down FROM ({duck.coefs(duck.freq(_part), 11)}) GROUP BY level")
+def pivot_level_sign(spark: SparkSession, sf_dir: str) -> DataFrame:
+    coefs = haar.by_basis(global_freq(keyed(spark, sf_dir, "partkey")[0]), here("partkey", sf_dir).log2u)
+    return coefs.groupBy("level").agg(F.count_if(F.col("diff") > 0).alias("up"), F.count_if(F.col("diff") < 0).alias("down"))
+
+
+@register("props_json_freq", "SELECT json_extract_string(props, '$.ab') AS ab, CAST(count(*) AS BIGINT) AS n FROM events GROUP BY 1")
+def props_json_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, _EV).groupBy(F.get_json_object("props", "$.ab").alias("ab")).agg(F.count("*").alias("n"))
+
+
+@register("udtf_haar", duck.coefs(duck.freq(spec("quantity")), 6))
+def udtf_haar(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The transform as a table function over partitions of subtrees, from SQL."""
+    from wavesum.functions.udtfs import register_all
+
+    register_all(spark)
+    global_freq(keyed(spark, sf_dir, "quantity")[0]).createOrReplaceTempView("quantity_freq")
+    return spark.sql("SELECT coef_id, level, CAST(sum(diff) AS BIGINT) AS diff FROM quantity_freq, LATERAL haar_contributions(pos, cnt, 6) GROUP BY coef_id, level HAVING sum(diff) <> 0")
+
+
+@register("sql_ship_counts", duck.best_k(_part, K))
+def sql_ship_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The baseline as Spark SQL text."""
+    from wavesum.plans.sqltext import sql_text
+
+    rows = keyed(spark, sf_dir, "partkey")[0]
+    rows.createOrReplaceTempView("partkey_rows")
+    return spark.sql(sql_text("ship_counts", "partkey_rows", here("partkey", sf_dir).log2u, K))
+
+
+@register("incremental_freq", f"SELECT coef_id, diff FROM ({duck.coefs(duck.freq(spec('user')), 8)})")
+def incremental_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Coefficients of a stored state plus a delta: the transform is linear, so both are just added."""
+    df, log2u = _with_log2u(spark, sf_dir, "user")
+    old, new = (haar.by_basis(global_freq(df.filter(c)), log2u) for c in ("site < 8", "site >= 8"))
+    return old.unionByName(new).groupBy("coef_id").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
+
+
+# --- sources and streams --------------------------------------------------------------
+
+
+def _scratch(spark: SparkSession, name: str) -> str:
+    import uuid
+
+    from wavesum.functions.tables import shared_folder
+
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+@register("csv_json_orc_round_trip", "SELECT CAST(user_id AS BIGINT) AS pos, CAST(3 * count(*) AS BIGINT) AS cnt FROM events GROUP BY 1")
+def csv_json_orc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys written and read again as CSV, JSON and ORC."""
+    keys, out = read(spark, sf_dir, _EV).select("user_id"), []
+    for form in ("csv", "json", "orc"):
+        path = _scratch(spark, form)
+        keys.write.format(form).save(path)
+        out.append(spark.read.schema("user_id bigint").format(form).load(path))
+    return _union(out).groupBy(F.col("user_id").alias("pos")).agg(F.count("*").alias("cnt"))
+
+
+@register("stream_freq_user", duck.freq(spec("user")))
+def stream_freq_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Running counts of a file stream, after all of it: those of the batch."""
+    from wavesum.streaming.streams import run_freq
+
+    return run_freq(read(spark, sf_dir, _EV).select("event_id", "ts", F.col("user_id").alias("pos")), _scratch(spark, "stream"))
+
+
+@register("stream_coefs_user", f"SELECT coef_id, diff FROM ({duck.coefs(duck.freq(spec('user')), 8)})")
+def stream_coefs_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Coefficient state kept by micro-batches: each adds its delta once, whatever is retried."""
+    from wavesum.streaming.streams import run_coefs
+
+    return run_coefs(read(spark, sf_dir, _EV).select("event_id", "ts", F.col("user_id").alias("pos")), here("user", sf_dir).log2u, _scratch(spark, "stream"))
+
+
+@register("stream_windows", "SELECT time_bucket(INTERVAL '1 day', ts, TIMESTAMP '1970-01-01') AS start, event_type, CAST(count(*) AS BIGINT) AS n FROM events GROUP BY 1, 2")
+def stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tumbling one-day windows by type over a file stream with a watermark that drops nothing."""
+    from wavesum.streaming.streams import run_windows
+
+    return run_windows(read(spark, sf_dir, _EV).select("event_id", "ts", "event_type"), _scratch(spark, "stream"))
+
+
+@register("seek_sample_fixed")
+def seek_sample_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A share of the records of a fixed-length file by seeking: exact sizes, no scan."""
+    from wavesum.sources.gen import fixed_file
+    from wavesum.sources.readers import register_sources
+
+    register_sources(spark)
+    path = fixed_file(read(spark, sf_dir, _LINE).select("l_partkey"), 4)
+    return spark.read.format("fixed_sample").option("path", path).option("record", 4).option("p", 0.05).option("split", 32_768).load()
+
+
+@register("seek_sample_delimited")
+def seek_sample_delimited(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Records of varying length found from random bytes by their trailing length."""
+    from wavesum.sources.gen import delimited_file
+    from wavesum.sources.readers import register_sources
+
+    register_sources(spark)
+    path = delimited_file(read(spark, sf_dir, "documents.parquet").select("text"))
+    return spark.read.format("delimited_sample").option("path", path).option("p", 0.05).option("split", 524_288).load().select("offset", "length")
+
+
+@register("parquet_ordinal_sample")
+def parquet_ordinal_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of a Parquet file by ordinal, row groups without one left out, the key column only."""
+    from wavesum.sources.readers import register_sources
+
+    register_sources(spark)
+    return spark.read.format("parquet_ordinal_sample").option("path", f"{sf_dir}/{_LINE}").option("column", "l_partkey").option("p", 0.05).load()
+
+
+@register("bounds_worked_sizes")
+def bounds_worked_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes at 1,000 sites and eps 1e-4: what each sampler may send."""
+    from wavesum.plans.cost import worked_sizes
+
+    return spark.createDataFrame([(k, float(v)) for k, v in worked_sizes(1000, 1e-4).items()], "quantity string, bytes double")
+
+
+@register("sampler_trials_user")
+def sampler_trials_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bias and deviation of two-stage count estimates over ten seeds."""
+    df, _ = keyed(spark, sf_dir, "user", row_id=True)
+    plan = sampling_plan(df, eps=max(EPS, 0.02))
+    runs = [sample.estimates(sample.totals(sample.messages("two_stage", df, plan, seed=s)), plan) for s in range(10)]
+    return accuracy.trials(global_freq(df), runs)
+
+
+_ = np
