@@ -4,9 +4,9 @@ Texts and items are sequences of lower-cased words without their outer punctuati
 document is contaminated by an item of n words if some part of it is within word edit
 distance floor(0.3 n).
 
-1. Screen, without loss: a window within k edits of an n-word item shares at least
-   n - 1 - 2k of its word pairs, so windows with fewer hits among the pairs of the items of
-   that length are left out.
+1. Screen, without loss: a window within k edits of an n-word item with q different word
+   pairs has at least q - 2k of them, so windows with fewer different ones among the pairs of
+   the items of that length are left out.
 2. CGK embedding: a random walk over a sequence repeats or advances at each step by a random
    bit of the current word, so sequences at a small edit distance get embeddings at a small
    Hamming distance.  There are WALKS walks, and from each a number of tables that sample a
@@ -25,12 +25,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavesum.llm.common import LOWER, blocks, flat, word_spans
+from wavesum.llm.common import LOWER, blocks, flat, spread, word_spans
 from wavesum.llm.repeats import mixed, powers
 from wavesum.llm.suffix_dedup import BYTE64
 
 SHARE, RECALL, SAMPLED, LEAST_WORDS = 0.3, 0.99, 3, 5
 WALKS = 6
+GATHER = 2_000_000
 #: Items are broadcast in groups of at most so many bytes of text.
 ITEM_BYTES = 32 << 20
 PAD = np.uint64(0x5851F42D4C957F2D)
@@ -80,7 +81,9 @@ class Items:
         self.classes = {}
         for n in np.unique(self.length[self.length >= LEAST_WORDS]).tolist():
             rows = np.flatnonzero(self.length == n)
-            self.classes[n] = {"rows": rows, "need": max(1, n - 1 - 2 * allowed(n)), "pairs": np.unique(np.concatenate([pair_hash(self.symbols[b : b + n]) for b in self.begin[rows]]))}
+            self.classes[n] = {"rows": rows, "pairs": np.unique(np.concatenate([pair_hash(self.symbols[b : b + n]) for b in self.begin[rows]]))}
+            # repeated pairs of an item count once, as they do in a window
+            self.classes[n]["need"] = max(1, min(len(np.unique(pair_hash(self.symbols[b : b + n]))) for b in self.begin[rows]) - 2 * allowed(n))
             self.classes[n]["tables"] = self.tables(rows, n)
         self.pairs = np.unique(np.concatenate([c["pairs"] for c in self.classes.values()])) if self.classes else np.zeros(0, np.uint64)
         self.screen = np.zeros(1 << 20, bool)
@@ -171,10 +174,10 @@ def best_part(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
     return int(cost[hi]), int(origin[hi]), hi
 
 
-def matches(items: Items, symbols: np.ndarray, docs: np.ndarray) -> list[tuple[int, int, int, int, int]]:
-    """(document row, item row, first word, end, distance) of all verified parts, words counted in the document."""
+def windows(items: Items, symbols: np.ndarray, docs: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """For each item length, the first words of the windows that pass the screen, ascending."""
     if len(symbols) < 2 or not items.classes:
-        return []
+        return
     pair = pair_hash(symbols)
     hit = np.flatnonzero(items.screen[(pair >> np.uint64(44)).astype(np.int64)])
     edge = np.zeros(len(symbols) + 1, bool)
@@ -182,38 +185,96 @@ def matches(items: Items, symbols: np.ndarray, docs: np.ndarray) -> list[tuple[i
     hit = hit[~edge[hit + 1]]
     at = np.minimum(np.searchsorted(items.pairs, pair[hit]), len(items.pairs) - 1)
     hit = hit[items.pairs[at] == pair[hit]]
-    out = []
+    value = pair[hit]
     for n, c in items.classes.items():
-        p = hit[np.isin(pair[hit], c["pairs"])]
-        t = c["need"]
+        mine = np.isin(value, c["pairs"])
+        p, v, t = hit[mine], value[mine], c["need"]
         if len(p) < t:
             continue
         # t hits within one window of n words, so within n - 2 places of each other
         close = np.flatnonzero(p[t - 1 :] - p[: len(p) - t + 1] <= n - 2)
         if not len(close):
             continue
-        lo, hi = p[close + t - 1] - (n - 2), p[close] + 1
-        start = np.unique(np.concatenate([np.arange(a, b) for a, b in zip(lo.tolist(), hi.tolist(), strict=True)]))
-        doc = np.searchsorted(docs, p[close], side="right") - 1
-        first = np.unique(np.concatenate([start, docs[doc]]))
-        first = first[(first >= 0) & (first < len(symbols))]
+        first, offs = spread(p[close] + 1 - np.maximum(p[close + t - 1] - (n - 2), 0), np.maximum(p[close + t - 1] - (n - 2), 0), np.arange(len(close)))
+        first = np.unique(first)
+        # different pairs in the window: hits whose last equal hit is before it
+        order = np.lexsort((p, v))
+        last = np.full(len(p), -1)
+        same = v[order][1:] == v[order][:-1]
+        last[order[1:][same]] = p[order[:-1][same]]
+        lo = np.searchsorted(p, first)
+        keep = np.zeros(len(first), bool)
+        for x in range(0, len(first), 4096):
+            places = lo[x : x + 4096, None] + np.arange(n - 1)
+            inside = np.minimum(places, len(p) - 1)
+            fresh = (places < len(p)) & (p[inside] <= first[x : x + 4096, None] + n - 2) & (last[inside] < first[x : x + 4096, None])
+            keep[x : x + 4096] = fresh.sum(1) >= t
+        first = first[keep]
+        if len(first):
+            # a window of the document before may reach over its end: the document's own first window stands for it
+            doc = np.searchsorted(docs, first + n - 2, side="right") - 1
+            yield n, np.unique(np.concatenate([first, docs[doc[docs[doc] >= first]]]))
+
+
+def suspects(items: Items, symbols: np.ndarray, docs: np.ndarray) -> np.ndarray:
+    """Whether each document has a window that passes the screen."""
+    out = np.zeros(len(docs) - 1, bool)
+    for n, first in windows(items, symbols, docs):
+        out[np.searchsorted(docs, first, side="right") - 1] = True
+        out[np.searchsorted(docs, np.minimum(first + n - 2, len(symbols) - 1), side="right") - 1] = True
+    return out
+
+
+def matches(items: Items, symbols: np.ndarray, docs: np.ndarray) -> list[tuple[int, int, int, int, int]]:
+    """(document row, item row, first word, end, distance) of all verified parts, words counted in the document."""
+    out = []
+    for n, first in windows(items, symbols, docs):
         row = np.searchsorted(docs, first, side="right") - 1
         size = np.minimum(docs[row + 1] - first, n)
         w, item = items.candidates(symbols, first, size, n)
-        seen: dict[tuple[int, int], int] = {}
         k = allowed(n)
         order = np.lexsort((first[w], item, row[w]))
-        for d, i, s in zip(row[w][order].tolist(), item[order].tolist(), first[w][order].tolist(), strict=True):
-            if s < seen.get((d, i), -1):
-                continue
-            lo, hi = max(int(docs[d]), s - k), min(int(docs[d + 1]), s + n + 2 * k + 1)
-            cost, a, b = best_part(items.symbols[items.begin[i] : items.begin[i] + n], symbols[lo:hi])
-            if cost <= k:
-                out.append((d, i, lo + a - int(docs[d]), lo + b - int(docs[d]), cost))
-                seen[d, i] = lo + b
+        d, i, s = row[w][order], item[order], first[w][order]
+        # neighbouring candidates of one item are one stretch of text, verified once
+        new = np.flatnonzero(np.concatenate([[True], (d[1:] != d[:-1]) | (i[1:] != i[:-1]) | (s[1:] - s[:-1] > n)])) if len(d) else np.zeros(0, np.int64)
+        for a, b in zip(new.tolist(), [*new[1:].tolist(), len(d)], strict=True):
+            begin, end = int(docs[d[a]]), int(docs[d[a] + 1])
+            lo, hi = max(begin, int(s[a]) - k), min(end, int(s[b - 1]) + n + 2 * k + 1)
+            words = items.symbols[items.begin[i[a]] : items.begin[i[a]] + n]
+            # a part within k edits has n - k of the item's words; after a match the rest of the stretch is searched
+            while np.isin(words, symbols[lo:hi]).sum() >= n - k:
+                cost, x, y = best_part(words, symbols[lo:hi])
+                if cost > k:
+                    break
+                out.append((int(d[a]), int(i[a]), lo + x - begin, lo + y - begin, cost))
+                lo += y
     return out
 
 
+def verified(items: Items, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list[pa.RecordBatch], list[pa.RecordBatch], list]]:
+    """(rows of suspected documents, rows of others, matches by place in the former), as enough of them come together.
+
+    The tables' cost is by batch rather than by window, so suspected documents, a few in a
+    hundred, are gathered over blocks, up to GATHER words of them.
+    """
+    rows, words, offs = [], [], [np.zeros(1, np.int64)]
+    for block in blocks(batches, limit=4 << 20):
+        symbols, by_doc = plain_words(block.column("text"))
+        bad = suspects(items, symbols, by_doc)
+        yield [], [block.filter(pa.array(~bad))], []
+        if bad.any():
+            where = np.flatnonzero(bad)
+            at, o = spread(np.diff(by_doc), by_doc[:-1], where)
+            rows.append(block.filter(pa.array(bad)))
+            words.append(symbols[at])
+            offs.append(o[1:] + offs[-1][-1])
+        if offs[-1][-1] > GATHER:
+            yield rows, [], matches(items, np.concatenate(words), np.concatenate(offs))
+            rows, words, offs = [], [], [np.zeros(1, np.int64)]
+    if rows:
+        yield rows, [], matches(items, np.concatenate(words), np.concatenate(offs))
+
+
 def benchmark_items(benchmark: DataFrame) -> list[Items]:
     """The items on the driver, in groups of bounded size; null or empty items match nothing."""
     groups, size = [([], [])], 0
@@ -241,12 +302,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             items = shared.value
-            for block in blocks(batches, limit=4 << 20):
-                symbols, by_doc = plain_words(block.column("text"))
-                found = matches(items, symbols, by_doc)
-                ids = block.column("doc_id").cast(pa.int64())
-                rows = np.array([f[0] for f in found], np.int64)
-                cols = [ids.take(pa.array(rows)), pa.array([items.ids[f[1]] for f in found], pa.int64()), *(pa.array([f[c] for f in found], pa.int64()) for c in (2, 3, 4))]
+            for rows, _, found in verified(items, batches):
+                if not found:
+                    continue
+                ids = pa.concat_arrays([r.column("doc_id").cast(pa.int64()) for r in rows])
+                cols = [ids.take(pa.array([f[0] for f in found], pa.int64())), pa.array([items.ids[f[1]] for f in found], pa.int64()), *(pa.array([f[c] for f in found], pa.int64()) for c in (2, 3, 4))]
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "item_id", "first_word", "end_word", "distance"])
 
         out = out.unionByName(docs.select("doc_id", "text").mapInArrow(run, schema))
@@ -259,12 +319,12 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         shared = docs.sparkSession.sparkContext.broadcast(group)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            items = shared.value
-            for block in blocks(batches, limit=4 << 20):
-                symbols, by_doc = plain_words(block.column("text"))
-                clean = np.ones(block.num_rows, bool)
-                clean[[f[0] for f in matches(items, symbols, by_doc)]] = False
-                yield block.filter(pa.array(clean))
+            for rows, rest, found in verified(shared.value, batches):
+                yield from rest
+                if rows:
+                    clean = np.ones(sum(r.num_rows for r in rows), bool)
+                    clean[[f[0] for f in found]] = False
+                    yield from pa.Table.from_batches(rows).filter(pa.array(clean)).to_batches()
 
         docs = docs.mapInArrow(run, docs.schema)
     return docs
