@@ -213,7 +213,8 @@ def windows(items: Items, symbols: np.ndarray, docs: np.ndarray) -> Iterator[tup
         if len(first):
             # a window of the document before may reach over its end: the document's own first window stands for it
             doc = np.searchsorted(docs, first + n - 2, side="right") - 1
-            yield n, np.unique(np.concatenate([first, docs[doc[docs[doc] >= first]]]))
+            own = docs[doc[docs[doc] >= first]]
+            yield n, np.unique(np.concatenate([first, own[own < len(symbols)]]))
 
 
 def suspects(items: Items, symbols: np.ndarray, docs: np.ndarray) -> np.ndarray:

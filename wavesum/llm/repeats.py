@@ -109,7 +109,7 @@ def anchor_places(symbols: np.ndarray, docs: np.ndarray, window: int, gram: int)
     around = ~np.concatenate([np.full(w - 1, ~np.uint64(0)), ~np.where(valid, least, np.uint64(0)), np.full(w - 1, ~np.uint64(0))])
     top = ~running_min(~around, w)
     places = np.flatnonzero((top[: len(h)] == h) & (h > 0))
-    return places, h[places]
+    return places, anchor_hash(h[places])
 
 
 def anchors(symbols: np.ndarray, docs: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -126,7 +126,12 @@ def anchors(symbols: np.ndarray, docs: np.ndarray, window: int, gram: int) -> tu
     # a run ends before the next start or the next place that is no window
     stop = np.append(starts[1:], n)
     last = docs[np.searchsorted(docs, starts, side="right")] - window + 1
-    return starts, np.minimum(stop, last) - starts, least[starts]
+    return starts, np.minimum(stop, last) - starts, anchor_hash(least[starts])
+
+
+def anchor_hash(least: np.ndarray) -> np.ndarray:
+    """Least hashes crowd at the low end; mixed once more they spread over all buckets."""
+    return mixed(least ^ np.uint64(0xA5A5A5A5A5A5A5A5))
 
 
 def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
