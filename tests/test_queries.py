@@ -74,3 +74,10 @@ def test_stream_state(spark, tmp_path):
     q = streams.running_counts_with_state(src).writeStream.outputMode("update").format("memory").queryName("running").option("checkpointLocation", str(tmp_path / "ck")).start()
     streams.finish(q)
     assert spark.sql("SELECT max(total) AS n FROM running").first().n == 10
+
+
+def test_workloads_name_queries():
+    from wavesum.plans.workloads import WORKLOADS
+
+    every = entry.queries()
+    assert all(q in every for _, names in WORKLOADS.values() for q in names)

@@ -118,3 +118,48 @@ def centralized(keyed: DataFrame, log2u: int, k: int = 30) -> list[tuple[int, fl
     w = haar.dense(v)
     order = sorted(range(len(w)), key=lambda i: (-round(abs(w[i]), 9), i))[:k]
     return [(i + 1, float(w[i])) for i in order if w[i]]
+
+
+def local_coefs_physical(df: DataFrame, key, log2u: int, sites: int | None = None) -> DataFrame:
+    """Local coefficients where a site is a piece of a file: made inside the scan's tasks, without a shuffle.
+
+    df: a file scan; key: SQL for the position; sites: if given, pieces are merged into at
+    most so many super-sites, whose parts are then added up by one shuffle of coefficients.
+    A piece is read by one task, so its counts are complete there; a task holds the distinct
+    keys of its pieces.
+    """
+    import pyarrow as pa
+
+    from wavesum.functions.keys import physical_sites, super_site
+
+    site = physical_sites(df)
+    rows = df.select(site, F.expr(key).cast("long").alias("pos")).filter("pos is not null")
+    if sites:
+        rows = rows.select(super_site(F.col("site"), sites), "pos")
+
+    def run(batches):
+        counts: dict[int, list] = {}
+        for b in batches:
+            s, p = (b.column(c).to_numpy() for c in ("site", "pos"))
+            for one in np.unique(s).tolist():
+                u, n = np.unique(p[s == one], return_counts=True)
+                have = counts.setdefault(one, [])
+                have.append((u, n))
+                if len(have) > 16:
+                    counts[one] = [_added(have)]
+        for one, have in counts.items():
+            u, n = _added(have)
+            ids, levels, diffs, _, total = haar.sparse(u, n, log2u)
+            ids, levels, diffs = np.append(ids, 1), np.append(levels, np.int32(haar.AVERAGE)), np.append(diffs, total.sum())
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), one)), pa.array(ids), pa.array(levels, pa.int32()), pa.array(diffs)], names=["site", "coef_id", "level", "diff"])
+
+    local = rows.mapInArrow(run, f"site bigint, {haar.COEF}")
+    if not sites:
+        return local
+    return local.groupBy("site", "coef_id", "level").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
+
+
+def _added(parts: list) -> tuple[np.ndarray, np.ndarray]:
+    keys, counts = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+    u, where = np.unique(keys, return_inverse=True)
+    return u, np.bincount(where, counts, len(u)).astype(np.int64)

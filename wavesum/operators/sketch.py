@@ -154,3 +154,14 @@ def ship_sketch(local: DataFrame, log2u: int, k: int = 30, kind: str = "group",
     s = TugOfWar(log2u, bytes_total)
     sent = s.cells(local)
     return s.top_k(s.load(sent), k), sent
+
+
+def key_updates(local: DataFrame, log2u: int) -> DataFrame:
+    """(site, coef_id, diff) of every distinct local key's contributions, not summed: the sketch's other way of updating.
+
+    By linearity the cells are those of the summed coefficients; the cost is log2u + 1
+    updates for each distinct key, whatever cancels.
+    """
+    from wavesum.functions.haar import contributions
+
+    return local.select("site", *contributions(log2u, F.col("pos"), F.col("cnt"))).select("site", F.col("c.coef_id").alias("coef_id"), (F.col("cnt") * F.col("c.sign")).alias("diff"))

@@ -92,6 +92,9 @@ def signed_topk_fanout_value(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shown(exact.signed_topk(*_with_log2u(spark, sf_dir, "value"), K, M, fanout=2 * K).items)
 
 
+register("signed_topk_user_mixed", duck.best_k(spec("user"), K))(lambda s, d: shown(exact.signed_topk(*_with_log2u(s, d, "user"), K, M).items))
+
+
 @register("signed_topk_contiguous_events", duck.best_k(spec("user"), K))
 def signed_topk_contiguous_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sites that are stretches of time instead of a mix: another split, the same answer."""

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -11,7 +10,7 @@ from wavesum.functions.keys import spec
 from wavesum.operators import exact, sample
 from wavesum.operators.freq import global_freq, local_freq
 from wavesum.plans import accuracy, duck
-from wavesum.queries import EPS, K, M, _union, _with_log2u, here, keyed, register, sampling_plan, true_values
+from wavesum.queries import EPS, K, M, ORACLES, _union, _with_log2u, here, keyed, register, sampling_plan, true_values
 
 # --- sweeps, one row a setting --------------------------------------------------------
 
@@ -393,4 +392,61 @@ def sampler_trials_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     return accuracy.trials(global_freq(df), runs)
 
 
-_ = np
+@register("sketch_cells_keywise_user", ORACLES["sketch_cells_user"])
+def sketch_cells_keywise_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same cells from updates by distinct key instead of by coefficient."""
+    from wavesum.operators.sketch import GroupSketch, key_updates
+
+    df, key = keyed(spark, sf_dir, "user")
+    g = GroupSketch(key.log2u)
+    cells = g.merge(g.cells(key_updates(local_freq(df), key.log2u), "diff", by=("site",)))
+    return cells.select("lvl", "row", F.col("bucket").cast("long").alias("bucket"), F.col("sub").cast("long").alias("sub"), F.col("val").cast("long").alias("val")).filter("val <> 0")
+
+
+@register("ship_coefs_physical", duck.best_k(_part, K))
+def ship_coefs_physical(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Coefficients shipped by file pieces, transformed inside the scan."""
+    log2u = here("partkey", sf_dir).log2u
+    local = exact.local_coefs_physical(read(spark, sf_dir, _LINE), "l_partkey", log2u)
+    sums = local.groupBy("coef_id", "level").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
+    return haar.best_k(sums, K, log2u).select("coef_id", "diff", F.round("value", 6).alias("value"))
+
+
+_SHARES = (1, 2, 4)
+
+
+def _sweep_n_sql() -> str:
+    parts = []
+    for x in _SHARES:
+        key = _part.at(table=f"(SELECT * FROM lineitem WHERE l_orderkey % 4 < {x})")
+        m = M * x // 4
+        parts.append(f"SELECT {x} AS quarters, {m} AS m, (SELECT count(*) FROM ({duck.local(key, m)})) AS count_pairs, (SELECT count(*) FROM ({duck.messages('two_stage', key, m, 0.02)})) AS two_stage_pairs")
+    return " UNION ALL ".join(parts)
+
+
+@register("sweep_n_comm", _sweep_n_sql())
+def sweep_n_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs over the number of records, with sites of one size."""
+    from wavesum.functions.keys import project
+
+    key, out = here("partkey", sf_dir), []
+    for x in _SHARES:
+        m = M * x // 4
+        df = project(read(spark, sf_dir, _LINE).filter(F.col("l_orderkey") % 4 < x), key, m, row_id=True)
+        sent = sample.messages("two_stage", df, sampling_plan(df, m, 0.02))
+        out.append(local_freq(df).agg(F.count("*").alias("count_pairs")).join(sent.agg(F.count("*").alias("two_stage_pairs"))).select(F.lit(x).alias("quarters"), F.lit(m).alias("m"), "count_pairs", "two_stage_pairs"))
+    return _union(out)
+
+
+@register("coef_variance_user")
+def coef_variance_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Variance of estimated coefficients over ten second-level seeds, beside the bound in the sample's counts."""
+    from wavesum.plans.accuracy import coef_variance, coefficient_variance_bound
+
+    df, key = keyed(spark, sf_dir, "user", row_id=True)
+    plan = sampling_plan(df, eps=0.02)
+    counts = sample.sample_freq(sample.level1(df, plan))
+    n = counts.agg(F.sum("scnt")).first()[0] or 0
+    runs = [sample.coefficients(sample.totals(sample.two_stage_messages(counts, plan, seed=s)), plan, key.log2u) for s in range(10)]
+    whole = coef_variance(runs).filter("coef_id <= 2")
+    return whole.select("coef_id", "variance", F.lit(float(coefficient_variance_bound(n, plan.n, plan.m, plan.eps, 0, key.log2u))).alias("bound"))
