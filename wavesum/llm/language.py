@@ -14,13 +14,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavesum.llm.common import LOWER, blocks, flat, remainder
 
 WIDTH = 1 << 12
-#: At most so many training documents in all, an equal share for each language.
+#: About so many training documents in all, and twice as many at most; an equal share for each language.
 TRAIN_DOCS = 2_400
 AMBIGUOUS = 0.2
 
@@ -63,15 +63,18 @@ def has_letter(texts: pa.Array) -> np.ndarray:
 
 
 def training_rows(docs: DataFrame, folds: int, most: int) -> tuple[list[str], np.ndarray, list[str]]:
-    """Languages, vectors and labels of at most `most` training documents: those with the smallest hashes of each language."""
+    """Languages, vectors and labels of about `most` training documents: those of each language whose hash is under its share.
+
+    The shares follow from the languages' counts, so no task ranks or gathers a language.
+    """
     train = docs.filter((remainder(F.col("doc_id"), folds) != 0) & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    langs = sorted(r[0] for r in train.select("lang").distinct().collect())
+    counts = {r["lang"]: r["count"] for r in train.groupBy("lang").count().collect()}
+    langs = sorted(counts)
     if not langs:
         return [], np.zeros((0, WIDTH)), []
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
     share = max(20, most // len(langs))
-    picked = train.select("doc_id", "lang").withColumn("at", F.row_number().over(order)).filter(F.col("at") <= share).select("doc_id", "lang").distinct()
-    sample = train.join(F.broadcast(picked), ["doc_id", "lang"], "left_semi").select("lang", "text")
+    reach = F.create_map(*[F.lit(x) for g in langs for x in (g, min(1 << 31, -(-share * (1 << 31) // counts[g])))])
+    sample = train.filter(F.xxhash64("doc_id").bitwiseAND(F.lit((1 << 31) - 1)) < F.element_at(reach, F.col("lang"))).select("lang", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in blocks(batches):
