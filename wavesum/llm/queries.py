@@ -85,4 +85,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Substring dedup and quality rules; the others' hashes, tokenizers and models aren't in SQL."""
+    from wavesum.llm.oracles import SUBSTRING_DEDUP, quality
+
+    return {"op8_substring_dedup": SUBSTRING_DEDUP, "op10_quality_rules": quality()}
