@@ -450,3 +450,93 @@ def coef_variance_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     runs = [sample.coefficients(sample.totals(sample.two_stage_messages(counts, plan, seed=s)), plan, key.log2u) for s in range(10)]
     whole = coef_variance(runs).filter("coef_id <= 2")
     return whole.select("coef_id", "variance", F.lit(float(coefficient_variance_bound(n, plan.n, plan.m, plan.eps, 0, key.log2u))).alias("bound"))
+
+
+# --- one of each kind of relational operator ------------------------------------------
+
+
+@register("window_ranks", "SELECT event_id, row_number() OVER (PARTITION BY user_id ORDER BY event_id) AS n, CAST(rank() OVER (PARTITION BY user_id ORDER BY date_trunc('day', ts)) AS BIGINT) AS r, CAST(dense_rank() OVER (PARTITION BY user_id ORDER BY date_trunc('day', ts)) AS BIGINT) AS d, CAST(ntile(4) OVER (PARTITION BY user_id ORDER BY event_id) AS BIGINT) AS q, lag(event_id) OVER (PARTITION BY user_id ORDER BY event_id) AS before, first_value(event_id) OVER (PARTITION BY user_id ORDER BY event_id) AS first FROM events")
+def window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ranks, tiles and neighbours of each user's events: two sorts of one partitioning."""
+    w = Window.partitionBy("user_id").orderBy("event_id")
+    day = Window.partitionBy("user_id").orderBy(F.date_trunc("day", "ts"))
+    return read(spark, sf_dir, _EV).select("event_id", F.row_number().over(w).cast("long").alias("n"), F.rank().over(day).cast("long").alias("r"), F.dense_rank().over(day).cast("long").alias("d"), F.ntile(4).over(w).cast("long").alias("q"), F.lag("event_id").over(w).alias("before"), F.first("event_id").over(w).alias("first"))
+
+
+@register("moving_counts", "SELECT pos, CAST(sum(cnt) OVER (PARTITION BY pos >> 4 ORDER BY pos ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS around FROM (" + duck.freq(spec("shipday")) + ")")
+def moving_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    w = Window.partitionBy(F.call_function("shiftright", F.col("pos"), F.lit(4))).orderBy("pos").rowsBetween(-2, 2)
+    return global_freq(keyed(spark, sf_dir, "shipday")[0]).select("pos", F.sum("cnt").over(w).alias("around"))
+
+
+@register("set_operations", "SELECT 'both' AS kind, CAST(count(*) AS BIGINT) AS n FROM (SELECT l_partkey FROM lineitem WHERE l_returnflag = 'R' INTERSECT SELECT l_partkey FROM lineitem WHERE l_returnflag = 'A') UNION ALL SELECT 'only' AS kind, CAST(count(*) AS BIGINT) AS n FROM (SELECT l_partkey FROM lineitem WHERE l_returnflag = 'R' EXCEPT SELECT l_partkey FROM lineitem WHERE l_returnflag = 'A') UNION ALL SELECT 'any' AS kind, CAST(count(*) AS BIGINT) AS n FROM (SELECT l_partkey FROM lineitem WHERE l_returnflag = 'R' UNION SELECT l_partkey FROM lineitem WHERE l_returnflag = 'A')")
+def set_operations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys common to, only in, and in either of two parts of a table."""
+    lines = read(spark, sf_dir, _LINE)
+    r, a = (lines.filter(F.col("l_returnflag") == x).select("l_partkey") for x in "RA")
+    made = {"both": r.intersect(a), "only": r.subtract(a), "any": r.union(a).distinct()}
+    return _union([df.agg(F.count("*").alias("n")).select(F.lit(k).alias("kind"), "n") for k, df in made.items()])
+
+
+@register("cube_orders", "SELECT o_orderstatus, o_orderpriority, CAST(count(*) AS BIGINT) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
+def cube_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, _ORD).cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"))
+
+
+@register("quantiles_by_type", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS median, round(min(value), 6) AS low, round(max(value), 6) AS high FROM events GROUP BY 1")
+def quantiles_by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, _EV).groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 6).alias("median"), F.round(F.min("value"), 6).alias("low"), F.round(F.max("value"), 6).alias("high"))
+
+
+@register("max_by_site", "SELECT site, CAST(arg_max(pos, cnt * 100000 - pos) AS BIGINT) AS pos FROM (" + duck.local(_part, M) + ") GROUP BY site")
+def max_by_site(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return local_freq(keyed(spark, sf_dir, "partkey")[0]).groupBy("site").agg(F.max_by("pos", F.col("cnt") * 100000 - F.col("pos")).alias("pos"))
+
+
+@register("coin_hash", "SELECT o_orderkey, CAST(" + duck.h32("o_orderkey", "42", "1") + " AS BIGINT) AS h FROM orders")
+def coin_hash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The samplers' coins."""
+    return read(spark, sf_dir, _ORD).select("o_orderkey", sample.h32(F.col("o_orderkey"), 42, 1).alias("h"))
+
+
+@register("date_parts", "SELECT year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(count(*) AS BIGINT) AS n, CAST(sum(datediff('day', timestamp '1992-01-01', o_orderdate)) AS BIGINT) AS days FROM orders GROUP BY 1, 2")
+def date_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    days = F.expr("datediff(o_orderdate, timestamp'1992-01-01')")
+    return read(spark, sf_dir, _ORD).groupBy(F.year("o_orderdate").cast("long").alias("y"), F.month("o_orderdate").cast("long").alias("m")).agg(F.count("*").alias("n"), F.sum(days).alias("days"))
+
+
+@register("left_join_counts", "SELECT n_name, CAST(count(DISTINCT c_custkey) AS BIGINT) AS customers, CAST(count(o_orderkey) AS BIGINT) AS orders FROM nation LEFT JOIN customer ON n_nationkey = c_nationkey LEFT JOIN orders ON c_custkey = o_custkey GROUP BY n_name")
+def left_join_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders counted by customer before the joins, so each join moves a row a customer."""
+    orders = read(spark, sf_dir, _ORD).groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.count("*").alias("k"))
+    customers = read(spark, sf_dir, "customer.parquet").join(orders, "c_custkey", "left").groupBy("c_nationkey").agg(F.count("*").alias("customers"), F.sum("k").alias("k"))
+    nation = read(spark, sf_dir, "nation.parquet")
+    return nation.join(customers, nation["n_nationkey"] == customers["c_nationkey"], "left").select("n_name", F.coalesce("customers", F.lit(0)).alias("customers"), F.coalesce("k", F.lit(0)).cast("long").alias("orders"))
+
+
+@register("embedding_dims", "SELECT CAST(i - 1 AS BIGINT) AS dim, CAST(sum(CAST(round(CAST(embedding[i] AS DOUBLE) * 1000000) AS BIGINT)) AS BIGINT) AS total FROM embeddings, (SELECT unnest(range(1, 65)) AS i) GROUP BY 1")
+def embedding_dims(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = read(spark, sf_dir, "embeddings.parquet").select(F.posexplode("embedding").alias("dim", "x"))
+    return e.groupBy(F.col("dim").cast("long").alias("dim")).agg(F.sum(F.round(F.col("x").cast("double") * 1000000).cast("long")).alias("total"))
+
+
+@register("url_hosts", "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, CAST(count(*) AS BIGINT) AS n, CAST(sum(length(html)) AS BIGINT) AS chars FROM pages GROUP BY 1")
+def url_hosts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, "pages.parquet").groupBy(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host")).agg(F.count("*").alias("n"), F.sum(F.length("html")).alias("chars"))
+
+
+@register("distinct_counts", "SELECT event_type, CAST(count(DISTINCT user_id) AS BIGINT) AS users FROM events GROUP BY 1")
+def distinct_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, _EV).groupBy("event_type").agg(F.count_distinct("user_id").alias("users"))
+
+
+@register("approximate_distinct")
+def approximate_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distinct keys and a built-in histogram beside the exact ones: fixed-size state whatever the input."""
+    return keyed(spark, sf_dir, "partkey")[0].agg(F.approx_count_distinct("pos", 0.02).alias("about"), F.count_distinct("pos").alias("exact"), F.histogram_numeric("pos", F.lit(8)).alias("bins"))
+
+
+@register("case_filters", "SELECT CAST(count(*) FILTER (WHERE l_quantity BETWEEN 10 AND 20) AS BIGINT) AS mid, CAST(count(*) FILTER (WHERE l_returnflag IN ('R', 'A')) AS BIGINT) AS back, CAST(count(*) FILTER (WHERE l_linestatus LIKE 'O%') AS BIGINT) AS open, CAST(count(*) FILTER (WHERE l_shipdate IS NULL) AS BIGINT) AS unknown FROM lineitem")
+def case_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = F.count_if
+    return read(spark, sf_dir, _LINE).agg(c(F.col("l_quantity").between(10, 20)).alias("mid"), c(F.col("l_returnflag").isin("R", "A")).alias("back"), c(F.col("l_linestatus").like("O%")).alias("open"), c(F.col("l_shipdate").isNull()).alias("unknown"))
