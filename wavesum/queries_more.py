@@ -265,9 +265,9 @@ def pivot_level_sign(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coefs.groupBy("level").agg(F.count_if(F.col("diff") > 0).alias("up"), F.count_if(F.col("diff") < 0).alias("down"))
 
 
-@register("props_json_freq", "SELECT json_extract_string(props, '$.ab') AS ab, CAST(count(*) AS BIGINT) AS n FROM events GROUP BY 1")
+@register("props_json_freq", "SELECT json_extract_string(props, '$.k') AS k, CAST(count(*) AS BIGINT) AS n FROM events GROUP BY 1")
 def props_json_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read(spark, sf_dir, _EV).groupBy(F.get_json_object("props", "$.ab").alias("ab")).agg(F.count("*").alias("n"))
+    return read(spark, sf_dir, _EV).groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n"))
 
 
 @register("udtf_haar", duck.coefs(duck.freq(spec("quantity")), 6))
