@@ -53,3 +53,19 @@ cuts AS (SELECT own.lang, own.source, own.rule, greatest({guard}, CASE WHEN own.
 bad AS (SELECT DISTINCT r FROM ({verdict}) v JOIN cuts ON v.lang IS NOT DISTINCT FROM cuts.lang AND v.source IS NOT DISTINCT FROM cuts.source AND v.rule = cuts.rule WHERE x > cut)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND bad.r IS NULL AS kept FROM c LEFT JOIN bad USING (r)
 """
+
+SUFFIX_DEDUP = """
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, encode(coalesce(text, '')) AS b, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+g AS (SELECT r, doc_id, i, array_slice(b, i, i + 49) AS k FROM (SELECT r, doc_id, b, unnest(range(1, n - 48)) AS i FROM d)),
+firsts AS (SELECT k, min(doc_id) AS first FROM g GROUP BY k HAVING count(DISTINCT doc_id) > 1),
+f AS (SELECT r, i FROM g JOIN firsts USING (k) WHERE doc_id > first),
+marked AS (SELECT r, i, CASE WHEN i > lag(i) OVER (PARTITION BY r ORDER BY i) + 50 THEN 1 ELSE 0 END AS fresh FROM f),
+runs AS (SELECT r, min(i) AS lo, max(i) + 49 AS hi FROM (SELECT r, i, sum(fresh) OVER (PARTITION BY r ORDER BY i) AS run FROM marked) GROUP BY r, run),
+cut AS (SELECT r, sum(hi - lo + 1) AS n_removed, count(*) AS n_spans FROM runs GROUP BY r),
+pieces AS (
+  SELECT d.r, 1 AS s, coalesce(min(lo) - 1, any_value(n)) AS e FROM d LEFT JOIN runs ON runs.r = d.r GROUP BY d.r
+  UNION ALL SELECT runs.r, hi + 1, coalesce(lead(lo) OVER (PARTITION BY runs.r ORDER BY lo) - 1, n) FROM runs JOIN d ON runs.r = d.r),
+kept AS (SELECT p.r, string_agg(hex(array_slice(b, s, e)), '' ORDER BY s) AS t FROM pieces p JOIN d ON d.r = p.r WHERE e >= s GROUP BY p.r)
+SELECT doc_id, CAST(n AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans, sha256(unhex(coalesce(t, ''))) AS kept_sha256
+FROM d LEFT JOIN cut USING (r) LEFT JOIN kept USING (r)
+"""

@@ -85,7 +85,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    """Substring dedup and quality rules; the others' hashes, tokenizers and models aren't in SQL."""
-    from wavesum.llm.oracles import SUBSTRING_DEDUP, quality
+    """Both substring dedups and the quality rules; the others' hashes, tokenizers and models aren't in SQL."""
+    from wavesum.llm.oracles import SUBSTRING_DEDUP, SUFFIX_DEDUP, quality
 
-    return {"op8_substring_dedup": SUBSTRING_DEDUP, "op10_quality_rules": quality()}
+    return {"op5_suffix_dedup": SUFFIX_DEDUP, "op8_substring_dedup": SUBSTRING_DEDUP, "op10_quality_rules": quality()}
