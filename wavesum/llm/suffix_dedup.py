@@ -101,23 +101,41 @@ def compare(length: int):
             text, home, doc, size, n_occ, place = map(np.concatenate, (texts, homes, docs, sizes, occurs, places))
             base, first_occ = np.cumsum(size) - size, np.cumsum(n_occ) - n_occ
             count = size - length + 1
-            positions, _ = spread(count, base, np.arange(len(base)))
-            seg_of = np.repeat(np.arange(len(base)), count)
+            # equal segments of several homes: the smallest doc_id's stands for them, later ones go as a whole
+            code = pc.dictionary_encode(strings(text, np.append(base, len(text)), pa.large_binary())).indices.to_numpy().astype(np.int64)
+            least = np.full(int(code.max()) + 1 if len(code) else 0, np.iinfo(np.int64).max)
+            np.minimum.at(least, code, doc)
+            whole = np.flatnonzero(doc > least[code])
+            where, _ = spread(n_occ, first_occ, whole)
+            span = np.repeat(count[whole], n_occ[whole])
+            absolute, _ = spread(span, place[where], np.arange(len(where)))
+            to = np.repeat(np.repeat(home[whole], n_occ[whole]), span)
+            own = np.flatnonzero(doc == least[code])
+            own = own[np.argsort(code[own], kind="stable")]
+            edge = cuts(code[own])
+            one = own[edge[:-1]]  # a segment of each kind; those of the same doc_id share its verdict
+            sharers, first_sharer = np.diff(edge), edge[:-1]
+            where, offs = spread(size, base, one)
+            text = text[where]
+            base_one, doc_one = offs[:-1], doc[one]
+            positions, _ = spread(count[one], base_one, np.arange(len(one)))
             segment_at = np.zeros(len(text), np.int32)
-            segment_at[positions] = seg_of
-            flagged = []
+            segment_at[positions] = np.repeat(np.arange(len(one)), count[one])
+            flagged = [np.zeros(0, np.int64)]
             suffixes = CoverSuffixes(text, depth=length)
             for order in suffixes.buckets(positions):
                 same = same_prefix(suffixes.first, order, length)
                 group = np.cumsum(~same) - 1
-                d = doc[segment_at[order]]
-                least = np.minimum.reduceat(d, np.flatnonzero(~same)) if len(d) else d
-                flagged.append(order[d > least[group]])
-            flagged = np.concatenate(flagged) if flagged else np.zeros(0, np.int64)
+                d = doc_one[segment_at[order]]
+                first_doc = np.minimum.reduceat(d, np.flatnonzero(~same)) if len(d) else d
+                flagged.append(order[d > first_doc[group]])
+            flagged = np.concatenate(flagged)
             seg = segment_at[flagged]
-            where, _ = spread(n_occ, first_occ, seg)
-            absolute = place[where] + np.repeat(flagged - base[seg], n_occ[seg])
-            to = np.repeat(home[seg], n_occ[seg])
+            which, _ = spread(sharers, first_sharer, seg)
+            which, at = own[which], np.repeat(flagged - base_one[seg], sharers[seg])
+            where, _ = spread(n_occ, first_occ, which)
+            absolute = np.concatenate([absolute, place[where] + np.repeat(at, n_occ[which])])
+            to = np.concatenate([to, np.repeat(home[which], n_occ[which])])
             order = np.lexsort((absolute, to))
             absolute, to = absolute[order], to[order]
             e = cuts(to)
