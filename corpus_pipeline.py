@@ -10,10 +10,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 from wavesum.llm.common import documents, written
 from wavesum.llm.decontaminate import decontaminate
+from wavesum.llm.minhash import similar_dedup
 from wavesum.llm.quality import quality_filter
 from wavesum.llm.queries import vocabulary
 from wavesum.llm.sentencepieces import sentencepiece_digest
-from wavesum.llm.simhash import near_dedup
 from wavesum.llm.suffix_dedup import suffix_dedup
 
 
@@ -23,8 +23,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the smallest doc_id, of each group of near copies by five-word shingles."""
-    return near_dedup(docs, words=5)
+    """One document, the smallest doc_id, of each group of near copies: five-word similarity 0.8, or fingerprints within 2 bits."""
+    return similar_dedup(docs, words=5)
 
 
 def suffix_array_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

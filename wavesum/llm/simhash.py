@@ -14,7 +14,7 @@ components are taken (`graph`).  Work is by fingerprint, so copies count once.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -27,8 +27,8 @@ from wavesum.llm.graph import components
 WORDS, RADIUS, SEED = 3, 2, 42
 
 
-def fingerprints_of(texts: pa.Array, words: int = WORDS) -> np.ndarray:
-    """The 64-bit fingerprint of each text of a block."""
+def shingle_hashes(texts: pa.Array, words: int = WORDS) -> Iterator[tuple[int, Iterator[np.ndarray]]]:
+    """Each text's number and the big-endian 64-bit hashes of its shingles, in parts; texts under `words` words are one shingle."""
     import xxhash
 
     one = xxhash.xxh64_intdigest
@@ -43,18 +43,30 @@ def fingerprints_of(texts: pa.Array, words: int = WORDS) -> np.ndarray:
     stop = ends + np.arange(len(lengths))
     begin = stop - lengths
     view = memoryview(line.tobytes())
-    out = np.zeros(len(docs) - 1, np.uint64)
-    for d, (lo, hi) in enumerate(zip(by_doc[:-1].tolist(), by_doc[1:].tolist(), strict=True)):
-        if hi == lo:
-            continue
+
+    def parts(lo: int, hi: int) -> Iterator[np.ndarray]:
         k = min(words, hi - lo)
-        count, n = np.zeros(64, np.int64), hi - lo - k + 1
+        n = hi - lo - k + 1 if k else 0
         for at in range(lo, lo + n, 1 << 16):
             upto = min(at + (1 << 16), lo + n)
-            h = np.array([one(view[a:b], SEED) for a, b in zip(begin[at:upto].tolist(), stop[at + k - 1 : upto + k - 1].tolist(), strict=True)], dtype=">u8")
-            count += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
-        out[d] = np.packbits(2 * count > n).view(">u8")[0]
-    return out
+            yield np.array([one(view[a:b], SEED) for a, b in zip(begin[at:upto].tolist(), stop[at + k - 1 : upto + k - 1].tolist(), strict=True)], dtype=">u8")
+
+    for d, (lo, hi) in enumerate(zip(by_doc[:-1].tolist(), by_doc[1:].tolist(), strict=True)):
+        yield d, parts(lo, hi)
+
+
+def majority(parts: Iterable[np.ndarray]) -> np.uint64:
+    """The fingerprint of the hashes: bits set in more than half of them; 0 without any."""
+    count, n = np.zeros(64, np.int64), 0
+    for h in parts:
+        count += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
+        n += len(h)
+    return np.packbits(2 * count > n).view(">u8")[0]
+
+
+def fingerprints_of(texts: pa.Array, words: int = WORDS) -> np.ndarray:
+    """The 64-bit fingerprint of each text of a block."""
+    return np.array([majority(parts) for _, parts in shingle_hashes(texts, words)], np.uint64)
 
 
 def fingerprints(docs: DataFrame, words: int = WORDS) -> DataFrame:
