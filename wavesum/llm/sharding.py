@@ -1,12 +1,14 @@
 """Two-pass external shuffle into shards, by DataFrame functions only.
 
-Pass 1 scatters the records uniformly: the shard of a record is the winner of a rendezvous
-hash over (seed, doc_id, shard), so doc_id and the number of shards decide, and one more
-shard takes records only into itself; inside its shard, a second seeded hash puts the
-record into one of as many buckets as keep a bucket near `bucket_rows` records.  The
-buckets are written to the shared folder.  Pass 2 loads one bucket at a time, shuffles it
-(Spark's `shuffle` is a Fisher-Yates permutation with a seed) and numbers it after the
-buckets before it, so a shard's slots are gapless and its order uniform.
+Pass 1 scatters the whole records uniformly: the shard of a record is the winner of a
+rendezvous hash over (seed, doc_id, shard), so doc_id and the number of shards decide, and
+one more shard takes records only into itself; inside its shard, a second seeded hash puts
+the record into one of as many buckets as keep a bucket near `bucket_bytes` and
+`bucket_rows`.  The exchange by (shard, bucket) writes the buckets.  Pass 2 loads one task's
+buckets, orders each by a third seeded hash (a uniform permutation; the sort spills, so a
+bucket with long texts needn't fit in memory) and writes the records into their shards'
+folders.  A record's slot is its place in its bucket after the buckets before it, so a
+shard's slots are gapless and its order uniform; `read_shards` numbers what was written.
 
 Hot keys: repeated rows of one doc_id must share a shard (the law says so), but the bucket
 hash takes the row's partition and running number too, so they are spread over the buckets
@@ -15,12 +17,15 @@ of that shard.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavesum.llm.common import written
+from wavesum.llm.common import fresh, shared_dir
 
 SEED = 20240611
+BUCKET_BYTES = 64 << 20
 
 
 def rendezvous(doc_id: Column, shards: int, seed: int = SEED) -> Column:
@@ -29,45 +34,51 @@ def rendezvous(doc_id: Column, shards: int, seed: int = SEED) -> Column:
     return F.lit(0) if best is None else (-best["s"]).cast("int")
 
 
-def scatter(docs: DataFrame, shards: int = 24, bucket_rows: int = 50_000, seed: int = SEED, text: str = "text") -> DataFrame:
-    """Pass 1: doc_id, size, text_crc32, shard, grown_shard, bucket.
-
-    A null doc_id is a key like any other; a null text has size 8 and the crc32 of nothing, 0.
-    """
-    raw = F.coalesce(F.col(text), F.lit("")).cast("binary")
-    buckets = max(1, -(-docs.count() // (shards * bucket_rows)))
+def scatter(docs: DataFrame, shards: int, bucket_rows: int, bucket_bytes: int, seed: int, text: str) -> tuple[DataFrame, list[str]]:
+    """All columns, and shard, bucket and mix (the order inside the bucket); also the names these got."""
+    size = F.coalesce(F.octet_length(F.col(text).cast("binary")), F.lit(0)) + F.lit(8)
+    rows, total = docs.agg(F.count("*"), F.coalesce(F.sum(size.cast("long")), F.lit(0))).first()
+    buckets = max(1, -(-rows // (shards * bucket_rows)), -(-total // (shards * bucket_bytes)))
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 62)))
-    return docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"),
-        (F.octet_length(raw) + F.lit(8)).cast("long").alias("size"),
-        F.crc32(raw).cast("long").alias("text_crc32"),
-        rendezvous(key, shards, seed).alias("shard"),
-        rendezvous(key, shards + 1, seed).alias("grown_shard"),
-        F.pmod(F.xxhash64(F.lit(seed + 1), key, F.monotonically_increasing_id()), F.lit(buckets)).cast("int").alias("bucket"),
-    )
+    shard, bucket, mix, number = names = fresh(docs.columns, "shard", "bucket", "mix", "number")
+    numbered = docs.withColumn(number, F.monotonically_increasing_id())
+    hashed = lambda k: F.xxhash64(F.lit(seed + k), key, F.col(number))
+    return numbered.withColumns({shard: rendezvous(key, shards, seed), bucket: F.pmod(hashed(1), F.lit(buckets)).cast("int"), mix: hashed(2)}).drop(number), names[:3]
+
 
+def write_shards(docs: DataFrame, path: str, shards: int = 24, bucket_rows: int = 50_000, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES, text: str = "text") -> tuple[DataFrame, list[str]]:
+    """The records themselves, whole, as one folder per shard, each bucket in slot order; returns them read back, and the names of shard, bucket and mix."""
+    mixed, names = scatter(docs, shards, bucket_rows, bucket_bytes, seed, text)
+    mixed.repartition(*names[:2]).sortWithinPartitions(*names).write.partitionBy(names[0]).parquet(path)
+    return docs.sparkSession.read.schema(mixed.schema).parquet(path), names
 
-def shuffle_buckets(buckets: DataFrame, seed: int = SEED) -> DataFrame:
-    """Pass 2: every bucket permuted, with `slot` running through the buckets of a shard."""
-    record = F.struct(*[c for c in buckets.columns if c not in ("shard", "bucket")])
-    before = Window.partitionBy("shard").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    begin = buckets.groupBy("shard", "bucket").count().select("shard", "bucket", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("begin"))
-    mixed = buckets.groupBy("shard", "bucket").agg(F.shuffle(F.array_sort(F.collect_list(record)), F.lit(seed)).alias("all"))
-    return mixed.join(begin, ["shard", "bucket"]).select("shard", "bucket", "begin", F.posexplode("all").alias("at", "row")).select("row.*", "shard", (F.col("begin") + F.col("at")).cast("long").alias("slot"))
 
+def read_shards(records: DataFrame, names: list[str]) -> DataFrame:
+    """Written records with `slot` running through the buckets of a shard."""
+    shard, bucket, mix = names
+    before = Window.partitionBy(shard).orderBy(bucket).rowsBetween(Window.unboundedPreceding, -1)
+    begin = records.groupBy(shard, bucket).count().select(shard, bucket, F.coalesce(F.sum("count").over(before), F.lit(0)).alias("begin"))
+    at = F.row_number().over(Window.partitionBy(shard, bucket).orderBy(mix)) - 1
+    return records.withColumn("at", at).join(begin, [shard, bucket]).withColumn("slot", (F.col("begin") + F.col("at")).cast("long")).drop("begin", "at")
 
-def shard_documents(docs: DataFrame, shards: int = 24, bucket_rows: int = 50_000, seed: int = SEED) -> DataFrame:
-    """Shard and slot of every record, with the law `key`; an empty table gives an empty result."""
-    cut = written(scatter(docs, shards, bucket_rows, seed), "shard-buckets")
-    return shuffle_buckets(cut, seed).select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
+def shard_documents(docs: DataFrame, shards: int = 24, bucket_rows: int = 50_000, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES, text: str = "text") -> DataFrame:
+    """Shard and slot of every record, with the law `key`, from the shards written and read back.
 
-def write_shards(docs: DataFrame, path: str, shards: int = 24, bucket_rows: int = 5_000, seed: int = SEED) -> None:
-    """The records themselves, whole, as one folder per shard in slot order within each bucket's file."""
+    A null doc_id is a key like any other; a null text has size 8 and the crc32 of nothing,
+    0; an empty table gives an empty result.
+    """
+    records, names = write_shards(docs, f"{shared_dir(docs.sparkSession)}/shards-{uuid.uuid4().hex}", shards, bucket_rows, seed, bucket_bytes, text)
+    raw = F.coalesce(F.col(text).cast("binary"), F.lit(b""))
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 62)))
-    n = max(1, -(-docs.count() // (shards * bucket_rows)))
-    cut = written(
-        docs.withColumns({"shard": rendezvous(key, shards, seed), "bucket": F.pmod(F.xxhash64(F.lit(seed + 1), key, F.monotonically_increasing_id()), F.lit(n)).cast("int")}),
-        "shard-records",
+    # texts become numbers before rows are dealt for numbering
+    narrow = records.select(
+        F.col("doc_id").cast("long").alias("doc_id"),
+        (F.octet_length(raw) + F.lit(8)).cast("long").alias("size"),
+        F.crc32(raw).cast("long").alias("text_crc32"),
+        F.col(names[0]).alias("shard"),
+        F.col(names[1]).alias("bucket"),
+        F.col(names[2]).alias("mix"),
+        rendezvous(key, shards + 1, seed).alias("grown_shard"),
     )
-    shuffle_buckets(cut, seed).repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    return read_shards(narrow, ["shard", "bucket", "mix"]).select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
