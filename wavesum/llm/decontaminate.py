@@ -242,13 +242,16 @@ def matches(items: Items, symbols: np.ndarray, docs: np.ndarray) -> list[tuple[i
             begin, end = int(docs[d[a]]), int(docs[d[a] + 1])
             lo, hi = max(begin, int(s[a]) - k), min(end, int(s[b - 1]) + n + 2 * k + 1)
             words = items.symbols[items.begin[i[a]] : items.begin[i[a]] + n]
-            # a part within k edits has n - k of the item's words; after a match the rest of the stretch is searched
-            while np.isin(words, symbols[lo:hi]).sum() >= n - k:
+            # a part within k edits has n - k of the item's words; after a match both sides of it are searched
+            unsearched = [(lo, hi)]
+            while unsearched:
+                lo, hi = unsearched.pop()
+                if np.isin(words, symbols[lo:hi]).sum() < n - k:
+                    continue
                 cost, x, y = best_part(words, symbols[lo:hi])
-                if cost > k:
-                    break
-                out.append((int(d[a]), int(i[a]), lo + x - begin, lo + y - begin, cost))
-                lo += y
+                if cost <= k:
+                    out.append((int(d[a]), int(i[a]), lo + x - begin, lo + y - begin, cost))
+                    unsearched += [(lo + y, hi), (lo, lo + x)]
     return out
 
 
