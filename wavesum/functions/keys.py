@@ -102,7 +102,8 @@ def project(df: DataFrame, key: KeySpec, m: int, row_id: bool = False, clip: boo
     pos = F.expr(spark_text(key.position)).cast("long")
     top = (1 << key.log2u) - 1
     if clip:
-        pos = F.least(F.greatest(pos, F.lit(0)), F.lit(top))
+        # greatest and least pass nulls over, so a null key is kept null apart
+        pos = F.when(pos.isNotNull(), F.least(F.greatest(pos, F.lit(0)), F.lit(top)))
     elif check:
         pos = F.when(pos.between(0, top) | pos.isNull(), pos).otherwise(F.raise_error(F.concat(F.lit(f"{key.name} outside its domain: "), pos.cast("string"))).cast("long"))
     cols = [F.expr(key.site.format(m=m)).cast("long").alias("site"), pos.alias("pos")]

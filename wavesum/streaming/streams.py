@@ -21,8 +21,16 @@ def freq(stream: DataFrame) -> DataFrame:
 
 
 def deduplicated(stream: DataFrame, late: str = "7 days") -> DataFrame:
-    """Events once each, repeats dropped as long as the watermark reaches."""
-    return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+    """Events once each, repeats dropped as long as the watermark reaches.
+
+    A watermark begins at 1970 and drops what isn't later, so it runs on a column far ahead
+    of ts: events of any age come through.  The result has no watermark on ts.
+    """
+    mark = "ts_ahead"
+    while mark in stream.columns:
+        mark = f"_{mark}"
+    ahead = stream.withColumn(mark, F.col("ts") + F.expr("INTERVAL 3000 YEAR"))
+    return ahead.withWatermark(mark, late).dropDuplicatesWithinWatermark(["event_id"]).drop(mark)
 
 
 def windows(stream: DataFrame, by: str, late: str = "7 days", size: str = "1 day", slide: str | None = None) -> DataFrame:
