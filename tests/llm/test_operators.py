@@ -114,12 +114,28 @@ def test_token_files(spark, docs, rows, empty, vocabulary):
     for n in (1, 2, 63, 64, 65, 1000):
         v = np.sort(rng.integers(0, 10 ** int(rng.integers(1, 9)), n))
         e, _ = EliasFano.load(b"xx" + EliasFano.of(v).dump(), 2)
-        assert e.all().tolist() == v.tolist() == [e.select(i) for i in range(n)]
+        assert e.all().tolist() == v.tolist() == [e.select(i) for i in range(n)] == e.select_many(np.arange(n)).tolist()
+        some = np.sort(rng.integers(0, n, 9))
+        assert e.select_many(some).tolist() == v[some].tolist()
         assert len(EliasFano.of(v).dump()) <= n * (3 + max(1, int(v[-1]) // n).bit_length()) / 8 + n / 16 + 80
     s = Segment(pack(np.array([-5, 7, 7]), 1, np.array([2, 0, 3, 1]), np.arange(6), 2))
     assert s.doc_ids() == [None, -5, 7, 7] and s.document(2).tolist() == [2, 3, 4] and s.document(1).tolist() == []
 
 
+def test_word_ids_are_the_library_s(vocabulary):
+    from tokenizers import Tokenizer
+
+    from wavesum.llm.token_files import word_ids
+
+    path, rng = vocabulary("word_bpe_49k.json"), random.Random(4)
+    t = Tokenizer.from_file(path)
+    atoms = ["The", "ing", "don't", "I'LL", "'s", ",", "...", "&&&", "###", "é", "É", "İ", "ẞ", "e\u0301", "A\u030a", "3", "12.5", "<|endoftext|>", "<|STARTOFTEXT|>", "<|", "|>", "a<b", "_", "\x7f", "\x00", "日本", "ﬁ", "Σ", "\u200b", "\xa0", "-", "X", " ", "  ", "\n", "\t "]
+    texts = ["".join(rng.choice(atoms) for _ in range(rng.randrange(0, 40))) for _ in range(3_000)] + ["", "<|endoftext|>", "x" * 70_000]
+    ids, offs = word_ids(pa.array(texts), path, 1)
+    for i, text in enumerate(texts):
+        assert ids[offs[i] : offs[i + 1]].tolist() == [*t.encode(text, add_special_tokens=False).ids, 1], text
+
+
 def test_quality(docs, rows, empty):
     from wavesum.llm.quality import quality_digest, quality_filter
 

@@ -102,14 +102,16 @@ def strings(data: np.ndarray, offsets: np.ndarray, kind: pa.DataType | None = No
 def word_spans(data: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """starts, lengths of the words; word offsets by document; mask of the bytes in words."""
     inside = ~SPACE[data]
-    first = inside.copy()
+    first, last = inside.copy(), inside.copy()
     first[1:] &= ~inside[:-1]
+    last[:-1] &= ~inside[1:]
+    # words of neighbouring documents may touch
     edge = docs[:-1][docs[:-1] < len(data)]
     first[edge] = inside[edge]
+    edge = docs[1:][docs[1:] > 0] - 1
+    last[edge] = inside[edge]
     starts = np.flatnonzero(first)
-    # a word ends where its bytes do: the in-word bytes before the next start
-    upto = np.concatenate([[0], np.cumsum(inside, dtype=np.int64)])
-    lengths = np.diff(np.append(upto[starts], upto[-1]))
+    lengths = np.flatnonzero(last) + 1 - starts
     return starts, lengths, np.searchsorted(starts, docs), inside
 
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable
+from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable, listed
 from wavesum.llm.common import blocks, flat, fresh, strings, sums
 
 #: Fixed: the white-space mark of the library.
@@ -41,8 +41,13 @@ def table(path: str) -> ChunkTable:
     """The table of this worker.  A chunk is stored without its first mark, which the library adds."""
     model = check_model(path)
     mark = [model.piece_to_id(MARK)]
-    encode = lambda texts: [x or mark for x in model.encode(texts, num_threads=1)]
-    return ChunkTable(encode, {"ids": lambda _, lists: [" ".join(map(str, x)) for x in lists], "text": lambda texts, lists: [model.decode(x) for x in lists]})
+
+    def lists(length: np.ndarray, ids: np.ndarray) -> list[list[int]]:
+        flat_ids, ends = ids.tolist(), np.cumsum(length).tolist()
+        return [flat_ids[e - n : e] for e, n in zip(ends, length.tolist(), strict=True)]
+
+    encode = lambda texts: listed([x or mark for x in model.encode(texts, num_threads=1)])
+    return ChunkTable(encode, {"ids": lambda _, n, x: [" ".join(map(str, i)) for i in lists(n, x)], "text": lambda _, n, x: model.decode(lists(n, x))})
 
 
 def marked_chunks(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:

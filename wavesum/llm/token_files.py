@@ -24,12 +24,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable
-from wavesum.llm.common import blocks, shared_dir, spread, words_of
+from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable, apart
+from wavesum.llm.common import LOWER, blocks, flat, shared_dir, spread, strings, word_spans, words_of
 
 #: Fixed: the format's mark and version, and its header's layout.
 MAGIC, HEAD = b"EFTK\x01", "<5sBQQQqQQ"
 SAMPLE = 64
+#: Place of one bit number j in each byte.
+PLACE = np.array([([b for b in range(8) if x >> b & 1] + [0] * 8)[:8] for x in range(256)])
 
 
 class EliasFano:
@@ -80,6 +82,26 @@ class EliasFano:
         place = byte * 8 + ((word & -word).bit_length() - 1)
         return (place - i) << self.l | self.low_bits(i)
 
+    def select_many(self, i: np.ndarray) -> np.ndarray:
+        """Values number i, as `select` gives them: the sampled place before each, then whole bytes, then bits."""
+        if not len(i):
+            return np.zeros(0, np.uint64)
+        if not 0 <= int(i.min()) <= int(i.max()) < self.n:
+            raise IndexError(i)
+        first = self.samples[int(i.min()) // SAMPLE] // 8
+        last = int(self.samples[int(i.max()) // SAMPLE + 1]) // 8 + 1 if int(i.max()) // SAMPLE + 1 < len(self.samples) else len(self.high)
+        part = self.high[first:last].copy()
+        skip = int(self.samples[int(i.min()) // SAMPLE]) % 8
+        part[0] &= np.uint8(0xFF << skip & 0xFF)
+        upto = np.cumsum(np.bitwise_count(part), dtype=np.int64)
+        rank = i - int(i.min()) // SAMPLE * SAMPLE
+        byte = np.searchsorted(upto, rank, side="right")
+        left = rank - (upto[byte] - np.bitwise_count(part[byte]))
+        place = (int(first) + byte) * 8 + PLACE[part[byte], left]
+        bits = i[:, None] * self.l + np.arange(self.l)
+        low = (self.low[bits >> 3] >> (bits & 7).astype(np.uint8) & np.uint8(1)).astype(np.uint64) @ np.left_shift(np.uint64(1), np.arange(self.l, dtype=np.uint64)) if self.l else np.uint64(0)
+        return ((place - i).astype(np.uint64) << np.uint64(self.l)) + low
+
     def all(self) -> np.ndarray:
         ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n].astype(np.uint64)
         low = np.unpackbits(self.low, bitorder="little", count=self.n * self.l).reshape(self.n, self.l)
@@ -115,30 +137,69 @@ class Segment:
         return self.ids[self.offset(i) : self.offset(i + 1)]
 
     def doc_ids(self) -> list[int | None]:
-        return [None] * self.nulls + (self.names.all() + np.uint64(self.base % (1 << 64))).view(np.int64).tolist()
+        names = self.names.select_many(np.arange(self.names.n))
+        return [None] * self.nulls + (names + np.uint64(self.base % (1 << 64))).view(np.int64).tolist()
+
+    def offsets(self) -> np.ndarray:
+        """The offsets of all documents and the end."""
+        return self.borders.select_many(np.arange(self.n + 1)).astype(np.int64)
+
+
+#: Fixed: ASCII letters, and ASCII punctuation.
+LETTER, PUNCTUATION = (np.array([c < 128 and f(chr(c)) for c in range(256)]) for f in (str.isalpha, lambda x: x.isprintable() and not x.isalnum() and x != " "))
 
 
 @functools.cache
-def tokens(path: str) -> tuple[ChunkTable, int]:
-    """The worker's table of white-space separated chunks, and the bytes an id takes."""
+def tokens(path: str) -> tuple[ChunkTable, int, bool]:
+    """The worker's table of chunks, the bytes an id takes, and whether a word falls into chunks after letters and has no case."""
+    import json
     import os
 
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(path)
-    return ChunkTable(lambda texts: [x.ids for x in t.encode_batch_fast(texts, add_special_tokens=False)]), 2 if t.get_vocab_size() <= 1 << 16 else 4
+    with open(path) as f:
+        parts = json.load(f)
+    flatten = lambda x, key: [z for y in x[key] for z in flatten(y, key)] if x and key in x else [x or {}]
+    lower = any(x.get("type") == "Lowercase" for x in flatten(parts["normalizer"], "normalizers"))
+    patterns = [x["pattern"].get("Regex", "").split("|") for x in flatten(parts["pre_tokenizer"], "pretokenizers") if x.get("type") == "Split" and x.get("behavior") == "Removed" and x.get("invert")]
+    apart_ = any(r"[\p{L}]+" in x and r"[^\s\p{L}\p{N}]+" in x and all(y.startswith(("'", "[")) for y in x) for x in patterns)
+    return ChunkTable(apart(t)), 2 if t.get_vocab_size() <= 1 << 16 else 4, lower and apart_
+
+
+def chunks_of(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """The texts' words in lower case (A-Z) and cut where punctuation follows a letter, and chunk offsets by text.
+
+    Words with the start of an added token's spelling stay as they are.
+    """
+    data, docs = flat(texts)
+    _, lengths, by_doc, inside = word_spans(data, docs)
+    body = data[inside]
+    ends = np.cumsum(lengths)
+    border = np.zeros(len(body), bool)
+    border[1:] = LETTER[body[:-1]] & PUNCTUATION[body[1:]]
+    small = LOWER[body]
+    marks = np.flatnonzero((body[:-1] == ord("<")) & (body[1:] == ord("|")))
+    for w in np.unique(np.searchsorted(ends, marks, side="right")).tolist():
+        lo, hi = int(ends[w] - lengths[w]), int(ends[w])
+        border[lo:hi] = False
+        small[lo:hi] = body[lo:hi]
+    border[ends - lengths] = True
+    begin = np.flatnonzero(border)
+    upto = np.append(ends - lengths, len(body))[by_doc]
+    return strings(small, np.append(begin, len(body))), np.searchsorted(begin, upto)
 
 
 def word_ids(texts: pa.Array, path: str, end_id: int) -> tuple[np.ndarray, np.ndarray]:
     """ids of all texts, an end id after each, and the n + 1 offsets.
 
-    The tokenizer drops white space and its pieces end where it stands, so words are
-    encoded one by one.
+    The tokenizer drops white space and its pieces end where it stands, and if its rules say
+    so after a run of letters too, so distinct chunks are encoded once by the library.
     """
-    t, _ = tokens(path)
-    words, by_doc = words_of(texts)
-    at = t.index(words)
+    t, _, finer = tokens(path)
+    chunks, by_doc = chunks_of(texts) if finer else words_of(texts)
+    at = t.index(chunks)
     where, offs = spread(t.length, t.begin, at)
     ends = offs[by_doc]
     return np.insert(t.ids[where], ends[1:], end_id), ends + np.arange(len(ends))
@@ -177,13 +238,12 @@ def read_tokens(spark, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part, seq, blob in zip(batch.column("part").to_pylist(), batch.column("seq").to_pylist(), batch.column("segment"), strict=True):
-                s = Segment(blob.as_buffer().to_pybytes())
-                offs = s.borders.all().astype(np.int64)
+                s = Segment(blob.as_buffer())
+                offs = s.offsets()
                 wide = memoryview(np.ascontiguousarray(s.ids, "<u4")).cast("B") if s.tokens else memoryview(b"")
                 crc = [zlib.crc32(wide[4 * a : 4 * b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array([part] * s.n, pa.int32()), pa.array([seq] * s.n, pa.int32()), pa.array(s.doc_ids(), pa.int64()), pa.array(offs[:-1]), pa.array(np.diff(offs)), pa.array(crc, pa.int64())], names=["part", "seq", "doc_id", "local", "n_tokens", "ids_crc32"])
 
-    # a segment a batch: few rows of many bytes
     rows = segments.select("part", "seq", "segment").mapInArrow(run, "part int, seq int, doc_id bigint, local bigint, n_tokens bigint, ids_crc32 bigint")
     return rows.join(begin, ["part", "seq"]).select("doc_id", (F.col("begin") + F.col("local")).alias("start"), "n_tokens", "ids_crc32")
 
