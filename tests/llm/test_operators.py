@@ -378,23 +378,60 @@ def test_scoring(spark, docs, rows, empty, vocabulary):
 
 
 def test_attention_gradient_and_order():
-    from wavesum.llm.attention import Attention
+    from wavesum.llm.attention import SMALL, Adam, Attention, Words
 
     rng = np.random.default_rng(0)
-    ids, offs = rng.integers(0, 9, 60).astype(np.int32), np.array([0, 25, 25, 60])
-    a = Attention(10, np.ones(10))
-    a.train(ids, offs, 9, steps=0)
-    before = a.score(ids, offs, 9)
-    # causal: a later id doesn't change an earlier score; batches don't matter
-    changed = ids.copy()
-    changed[20] = (changed[20] + 1) % 9
-    assert np.allclose(a.score(changed, offs, 9)[:20], before[:20]) and np.allclose(a.score(ids, offs, 9, batch=2), before)
-    assert np.allclose(np.concatenate([a.score(ids[:25], offs[:2], 9), a.score(ids[25:], np.array([0, 35]), 9)]), before)
-    a.train(ids, offs, 9, steps=60)
-    assert a.score(ids, offs, 9).mean() > before.mean() + 0.2
-    # all next ids together have probability one
-    total = sum(10 ** a.score(np.append(ids[:5], i).astype(np.int32), np.array([0, 6]), 9)[-1] for i in range(10))
-    assert abs(total - 1) < 1e-3
+    n = 40
+    length = rng.integers(1, 4, n)
+    words = Words(rng.integers(0, 30, int(length.sum())).astype(np.uint32), np.cumsum(length) - length, length)
+    tokens, offs = rng.integers(1, n, 300).astype(np.int64), np.array([0, 125, 125, 300])
+    a = Attention(31, np.append(np.ones(30), 0))
+
+    def score(tokens, offs, **k):
+        x, logs, out = a.vectors(words, np.arange(n)), a.log_classes(words, np.arange(n)), np.full(len(tokens), np.nan)
+        for at, mix in a.mixtures(x, tokens, offs, 0, **k):
+            assert np.isnan(out[at]).all()  # every token once
+            out[at] = np.log((mix * np.exp(logs[tokens[at]])).sum(1))
+        return out
+
+    before = score(tokens, offs)
+    # causal: a later token doesn't change an earlier score; batches and neighbouring documents don't matter
+    changed = tokens.copy()
+    changed[100] = changed[100] % (n - 1) + 1
+    assert np.allclose(score(changed, offs)[:100], before[:100]) and not np.allclose(score(changed, offs)[101:125], before[101:125])
+    assert np.allclose(score(tokens, offs, batch=2), before, atol=1e-5)
+    assert np.allclose(np.concatenate([score(tokens[:125], offs[:2]), score(tokens[125:], np.array([0, 175]))]), before, atol=1e-5)
+
+    # the small parameters' gradients against differences
+    from wavesum.llm.attention import windowed
+
+    x, logs = a.vectors(words, np.arange(n)), a.log_classes(words, np.arange(n))
+    inputs, targets, first, place = windowed(tokens, offs, 0)
+    real = np.zeros(targets.size, np.float32)
+    real[place] = 1
+    weight = real.reshape(targets.shape) / real.sum()
+    prior = np.maximum(np.arange(len(inputs)) - 1, 0)
+
+    def loss():
+        s = a.state(x, inputs, inputs[prior], first)
+        joint = s["mix"] * np.exp(logs[targets] - logs[targets].max(-1, keepdims=True)).astype(np.float32)
+        return s, joint, -(weight * np.log(joint.sum(-1))).sum(dtype=np.float64)
+
+    s, joint, _ = loss()
+    g = a.gradients(s, joint, weight)[0]
+    for name in SMALL:
+        at = np.unravel_index(np.abs(g[name]).argmax(), g[name].shape)
+        old, sides = a.p[name][at], []
+        for step in (0.02, -0.02):
+            a.p[name][at] = old + np.float32(step)
+            sides.append(loss()[2])
+        a.p[name][at] = old
+        assert abs((sides[0] - sides[1]) / 0.04 - g[name][at]) < 0.1 * abs(g[name][at]) + 2e-5, name
+    a.train(words, tokens, offs, 0, steps=60)
+    assert score(tokens, offs).mean() > before.mean() + 0.2
+    trained = score(tokens, offs).mean()
+    assert a.refine(a.vectors(words, np.arange(n)), a.log_classes(words, np.arange(n)), tokens, offs, 0, Adam(a.p, SMALL), 1) == 300
+    assert score(tokens, offs).mean() > trained - 0.05
 
 
 def test_pipeline(spark, docs, tmp_path, vocabulary):

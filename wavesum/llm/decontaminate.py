@@ -26,8 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavesum.llm.common import LOWER, blocks, flat, spread, word_spans
-from wavesum.llm.repeats import mixed, powers
-from wavesum.llm.suffix_dedup import BYTE64
+from wavesum.llm.repeats import mixed, span_hashes
 
 SHARE, RECALL, SAMPLED, LEAST_WORDS = 0.3, 0.99, 3, 5
 WALKS = 6
@@ -46,13 +45,7 @@ def plain_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     data, docs = flat(texts)
     data = PLAIN[data]
     _, lengths, by_doc, inside = word_spans(data, docs)
-    body = BYTE64[data[inside]]
-    up, down = powers(len(body) + 1)
-    total = np.zeros(len(body) + 1, np.uint64)
-    np.cumsum(body * up[: len(body)], out=total[1:])
-    ends = np.cumsum(lengths)
-    begin = ends - lengths
-    return mixed((total[ends] - total[begin]) * down[begin] + lengths.astype(np.uint64)), by_doc
+    return span_hashes(data[inside], lengths), by_doc
 
 
 def allowed(n: int) -> int:

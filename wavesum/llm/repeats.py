@@ -48,11 +48,15 @@ def mixed(h: np.ndarray) -> np.ndarray:
 
 
 BASE = 0x9E3779B97F4A7C15 | 1
+#: A number for each byte value.
+BYTE64 = mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 _powers: dict[str, np.ndarray] = {}
+#: Symbols that are hashed at once, and the longest run of powers that is kept.
+PIECE = 1 << 18
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of BASE and of its inverse modulo 2^64, up to n of them."""
+    """Powers of BASE and of its inverse modulo 2^64, up to n of them; n is bounded by the callers' pieces."""
     if len(_powers.get("up", ())) < n:
         size = max(1 << 16, 1 << (n - 1).bit_length())
         for name, base in (("up", BASE), ("down", pow(BASE, -1, 1 << 64))):
@@ -66,14 +70,48 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def gram_hashes(symbols: np.ndarray, k: int) -> np.ndarray:
-    """Hash of each run of k symbols (uint64): differences of one running sum, made place-free by the inverse powers."""
+    """Hash of each run of k symbols (uint64): differences of one running sum, made place-free by the inverse powers.
+
+    Sums begin anew with each piece, so the powers kept don't grow with a text.
+    """
     n = len(symbols) - k + 1
     if n <= 0:
         return np.zeros(0, np.uint64)
-    up, down = powers(len(symbols) + 1)
-    total = np.zeros(len(symbols) + 1, np.uint64)
-    np.cumsum(symbols * up[: len(symbols)], out=total[1:])
-    return mixed((total[k:] - total[:-k]) * down[:n])
+    out = np.empty(n, np.uint64)
+    up, down = powers(min(PIECE, n) + k)
+    for lo in range(0, n, PIECE):
+        part = symbols[lo : lo + PIECE + k - 1]
+        total = np.zeros(len(part) + 1, np.uint64)
+        np.cumsum(part * up[: len(part)], out=total[1:])
+        out[lo : lo + PIECE] = mixed((total[k:] - total[:-k]) * down[: len(part) - k + 1])
+    return out
+
+
+def span_hashes(body: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Hash of each of the byte spans that make up body: powers begin anew with each span and, in a long one, each piece."""
+    out = np.zeros(len(lengths), np.uint64)
+    ends = np.cumsum(lengths)
+    lo = 0
+    while lo < len(lengths):
+        begin = int(ends[lo] - lengths[lo])
+        hi = max(lo + 1, int(np.searchsorted(ends, begin + PIECE, side="right")))
+        if hi == lo + 1 and lengths[lo] > PIECE:
+            h = np.uint64(0)
+            up, _ = powers(PIECE)
+            for a in range(begin, int(ends[lo]), PIECE):
+                part = BYTE64[body[a : min(a + PIECE, int(ends[lo]))]]
+                h = mixed(np.array([h + (part * up[: len(part)]).sum(dtype=np.uint64)]))[0]
+            out[lo] = h
+        else:
+            n, some = lengths[lo:hi], lengths[lo:hi] > 0
+            up, _ = powers(max(1, int(n.max())))
+            start = ends[lo:hi] - n - begin
+            place = np.arange(int(n.sum())) - np.repeat(start, n)
+            value = BYTE64[body[begin : begin + len(place)]] * up[place]
+            if len(value):
+                out[lo:hi][some] = np.add.reduceat(value, start[some])
+        lo = hi
+    return mixed(out + lengths.astype(np.uint64))
 
 
 def running_min(h: np.ndarray, w: int) -> np.ndarray:

@@ -17,8 +17,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from wavesum.llm.common import flat, spread, strings, sums, word_spans
-from wavesum.llm.repeats import NONE, anchors, bucket_of, cuts, gram_hashes, lookup, mixed, packed, pipeline, powers, ranges
-from wavesum.llm.suffix_dedup import BYTE64
+from wavesum.llm.repeats import NONE, anchors, bucket_of, cuts, gram_hashes, lookup, packed, pipeline, ranges, span_hashes
 
 WINDOW, GRAM, TEXT_BYTES = 20, 8, 6 << 20
 
@@ -29,13 +28,7 @@ def word_symbols(texts: pa.Array, letters: np.ndarray | None = None) -> tuple[np
     if letters is not None:
         data = letters[data]
     _, lengths, by_doc, inside = word_spans(data, docs)
-    body = BYTE64[data[inside]]
-    up, down = powers(len(body) + 1)
-    total = np.zeros(len(body) + 1, np.uint64)
-    np.cumsum(body * up[: len(body)], out=total[1:])
-    ends = np.cumsum(lengths)
-    begin = ends - lengths
-    return mixed((total[ends] - total[begin]) * down[begin] + lengths.astype(np.uint64)), by_doc
+    return span_hashes(data[inside], lengths), by_doc
 
 
 def send(window: int):

@@ -18,12 +18,10 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from wavesum.llm.common import flat, spread, strings, sums
-from wavesum.llm.repeats import NONE, anchors, bucket_of, cuts, gram_hashes, lookup, mixed, packed, pipeline, ranges
+from wavesum.llm.repeats import BYTE64, NONE, anchors, bucket_of, cuts, gram_hashes, lookup, mixed, packed, pipeline, ranges
 from wavesum.llm.suffixes import CoverSuffixes, same_prefix
 
 LENGTH, GRAM, TEXT_BYTES = 50, 20, 2_000_000
-#: A number for each byte value.
-BYTE64 = mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
 
 def byte_symbols(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
