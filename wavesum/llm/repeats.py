@@ -1,7 +1,7 @@
 """Repeated passages, found exactly and by hash-partitioned steps.
 
 Shared frame of the suffix-array and the seed-and-extend operators.  Documents get a *home*
-(a hash of doc_id; a bounded amount of text each) and anchors a *bucket* (the high bits of
+(a hash of doc_id and text; a bounded amount of text each) and anchors a *bucket* (the high bits of
 their hash).  An anchor is the least gram hash of a window, so equal windows have equal
 anchors:
 
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavesum.llm.common import blocks
+from wavesum.llm.common import blocks, fresh
 
 ROWS = "bucket int, home int, kind int, numbers binary, bytes binary"
 NAMES = ["bucket", "home", "kind", "numbers", "bytes"]
@@ -96,12 +96,12 @@ def span_hashes(body: np.ndarray, lengths: np.ndarray) -> np.ndarray:
         begin = int(ends[lo] - lengths[lo])
         hi = max(lo + 1, int(np.searchsorted(ends, begin + PIECE, side="right")))
         if hi == lo + 1 and lengths[lo] > PIECE:
-            h = np.uint64(0)
+            h = np.zeros(1, np.uint64)
             up, _ = powers(PIECE)
             for a in range(begin, int(ends[lo]), PIECE):
                 part = BYTE64[body[a : min(a + PIECE, int(ends[lo]))]]
-                h = mixed(np.array([h + (part * up[: len(part)]).sum(dtype=np.uint64)]))[0]
-            out[lo] = h
+                h = mixed(h + (part * up[: len(part)]).sum(dtype=np.uint64, keepdims=True))
+            out[lo] = h[0]
         else:
             n, some = lengths[lo:hi], lengths[lo:hi] > 0
             up, _ = powers(max(1, int(n.max())))
@@ -298,30 +298,34 @@ def ranges(starts: np.ndarray) -> np.ndarray:
     return np.stack([starts[c[:-1]], starts[c[1:] - 1] + 1], axis=1).astype(np.uint32).ravel()
 
 
-def plan(docs: DataFrame, text_bytes: int) -> tuple[DataFrame, int, int]:
-    """docs with a home, and the number of homes and buckets: both follow the total size of the texts."""
+def plan(docs: DataFrame, text_bytes: int, home: str) -> tuple[DataFrame, int, int]:
+    """docs with a home, and the number of homes and buckets: both follow the total size of the texts.
+
+    A home is drawn by doc_id and text, so rows that share an id, or have none, spread.
+    """
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     homes, buckets = max(1, -(-total // text_bytes)), max(1, -(-total // (2 * text_bytes)))
-    return docs.withColumn("home", F.pmod(F.xxhash64("doc_id"), F.lit(homes)).cast("int")), homes, buckets
+    return docs.withColumn(home, F.pmod(F.xxhash64("doc_id", "text"), F.lit(homes)).cast("int")), homes, buckets
 
 
 def pipeline(docs: DataFrame, text_bytes: int, symbols_of: Callable, window: int, gram: int, twice: bool, send: Callable, compare: Callable, cut: Callable, schema: str, hot: int = 4096) -> DataFrame:
     """The five steps as one lazy plan.  docs: any columns, doc_id and text among them.
 
     send(home, docs table, live keys, hot, buckets), compare(bucket, table) and cut(docs
-    table, mask) are the steps 3, 4 and 5 of the operator.
+    table, symbols, offsets, mask) are the steps 3, 4 and 5 of the operator.
     """
-    homed, _, buckets = plan(docs, text_bytes)
-    first = homed.select("home", "text").mapInArrow(anchor_rows(symbols_of, window, gram, buckets, twice, text_bytes), ROWS)
+    (name,) = fresh(docs.columns, "home")
+    homed, _, buckets = plan(docs, text_bytes, name)
+    first = homed.select(F.col(name).alias("home"), "text").mapInArrow(anchor_rows(symbols_of, window, gram, buckets, twice, text_bytes), ROWS)
     live = first.groupBy("bucket").applyInArrow(live_rows(hot), ROWS)
-    at_home = homed.groupBy("home")
+    at_home = homed.groupBy(name)
 
     def third(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         keys, many = live_set(right)
         return send(key[0].as_py(), sorted_table(left), keys, many, buckets) if left.num_rows and len(keys) else NONE.empty_table()
 
     def fifth(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        left = sorted_table(left)
+        left = sorted_table(left).drop_columns([name])
         symbols, offs = symbols_of(left.column("text").combine_chunks() if left.num_rows else pa.array([], pa.string()))
         return cut(left, symbols, offs, covered(right, len(symbols), window))
 

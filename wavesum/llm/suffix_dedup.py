@@ -176,7 +176,6 @@ def suffix_dedup(docs: DataFrame, length: int = LENGTH, text: str = "text") -> D
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema]
 
     def cut(table: pa.Table, symbols: np.ndarray, offs: np.ndarray, gone: np.ndarray) -> pa.Table:
-        table = table.drop_columns(["home"])
         data, _ = flat(table.column("text").combine_chunks())
         removed = sums(gone, offs)
         raw, ends = data[~gone].tobytes(), np.concatenate([[0], np.cumsum(np.diff(offs) - removed)]).tolist()
