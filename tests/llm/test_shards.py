@@ -30,3 +30,31 @@ def test_buckets_are_sized_by_bytes(spark):
     cut, (shard, bucket, _) = scatter(df, 2, 50_000, 100_000, 1, "text")
     n = [r["count"] for r in cut.groupBy(shard, bucket).count().collect()]
     assert len(n) > 15 and max(n) < 30
+
+
+def test_slots_follow_from_the_seed_alone(spark, docs):
+    from wavesum.llm.sharding import shard_documents
+
+    def slots(df):
+        return sorted(((r.shard, r.slot, str(r.doc_id), r.text_crc32) for r in shard_documents(df, 3, bucket_rows=40).collect()))
+
+    want = slots(docs)
+    old = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.enabled")}
+    try:
+        for n, adaptive in ((1, "true"), (13, "false"), (7, "true")):
+            spark.conf.set("spark.sql.shuffle.partitions", str(n))
+            spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+            assert slots(docs.repartition(n + 2)) == want
+    finally:
+        for k, v in old.items():
+            spark.conf.set(k, v)
+
+
+def test_a_hot_id_of_equal_rows_fills_no_bucket(spark):
+    from wavesum.llm.sharding import scatter
+
+    df = spark.createDataFrame([(7, "same")] * 900 + [(i, "x") for i in range(100, 1000)], "doc_id bigint, text string").repartition(5)
+    cut, (shard, bucket, _) = scatter(df, 2, 100, 1 << 30, 1, "text")
+    assert cut.columns == ["doc_id", "text", shard, bucket, "mix"]
+    n = [r["count"] for r in cut.groupBy(shard, bucket).count().collect()]
+    assert sum(n) == 1800 and max(n) < 260

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from wavesum.llm.common import blocks, written
 from wavesum.llm.graph import components
-from wavesum.llm.simhash import RADIUS, fingerprint_links, majority, shingle_hashes
+from wavesum.llm.simhash import RADIUS, fingerprint_links, firsts_only, majority, shingle_hashes
 
 BANDS, ROWS, SIMILARITY = 24, 5, 0.8
 _rng = np.random.default_rng(17)
@@ -191,6 +191,4 @@ def similar_dedup(docs: DataFrame, words: int = 5, similarity: float = SIMILARIT
 
     Repeated rows of one doc_id keep one row; rows without doc_id stay.
     """
-    first = near_copies(docs, words, similarity, radius).filter("doc_id = component_id").select(F.col("doc_id").alias("_kept")).distinct()
-    kept = docs.join(first, docs["doc_id"] == F.col("_kept"), "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(docs.filter("doc_id is null"))
+    return firsts_only(docs, near_copies(docs, words, similarity, radius))

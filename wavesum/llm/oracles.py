@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from wavesum.llm.quality import GROWTH, GUARDS, LEAST, SPREAD
+from wavesum.llm.quality import GROWTH, LEAST, LEAST_SPREAD, SPREAD
 
 WORD = r"'[^\x20\x09-\x0D]+'"
 
@@ -33,8 +33,8 @@ def quality() -> str:
         f", {n}_m AS (SELECT {by}, bucket, sum(n) AS n FROM k GROUP BY ALL), {n} AS (SELECT {by}, max(total) AS size, min(CASE WHEN upto >= total * 0.25 THEN v END) AS q25, min(CASE WHEN upto >= total * 0.75 THEN v END) AS q75 FROM (SELECT *, sum(n) OVER (PARTITION BY {by}) AS total, sum(n) OVER (PARTITION BY {by} ORDER BY bucket) AS upto, CASE WHEN bucket = 0 THEN 0.0::DOUBLE ELSE pow({GROWTH}::DOUBLE, bucket - 0.5) * 1e-4 END AS v FROM {n}_m) GROUP BY {by})"
         for n, by in groups.items()
     )
-    guard = "CASE own.rule " + " ".join(f"WHEN '{k}' THEN {g}::DOUBLE" for k, g in GUARDS.items()) + " END"
-    cut = lambda t: f"{t}.q75 + {SPREAD} * ({t}.q75 - {t}.q25)"
+    least = "CASE own.rule " + " ".join(f"WHEN '{k}' THEN {g}::DOUBLE" for k, g in LEAST_SPREAD.items()) + " END"
+    cut = lambda t: f"{t}.q75 + {SPREAD} * greatest({t}.q75 - {t}.q25, {least})"
     verdict = " UNION ALL ".join(f"SELECT r, lang, source, '{k}' AS rule, {v} AS x FROM c" for k, v in values.items())
     return f"""
 WITH d AS (SELECT row_number() OVER () AS r, doc_id, lang, source, coalesce(text, '') AS t FROM documents),
@@ -48,7 +48,7 @@ c AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_fail
     CAST(coalesce(n_repeat_words, 0) AS BIGINT) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines
   FROM d JOIN w USING (r) LEFT JOIN lines USING (r) LEFT JOIN rep USING (r))),
 k AS (SELECT lang, source, rule, greatest(0, ceil(ln(greatest(x, 1e-9) / 1e-4) / ln({GROWTH}::DOUBLE)))::INTEGER AS bucket, count(*) AS n FROM ({rules}) GROUP BY ALL){level},
-cuts AS (SELECT own.lang, own.source, own.rule, greatest({guard}, CASE WHEN own.size >= {LEAST} THEN {cut("own")} WHEN l.size >= {LEAST} THEN {cut("l")} ELSE {cut("a")} END) AS cut
+cuts AS (SELECT own.lang, own.source, own.rule, CASE WHEN own.size >= {LEAST} THEN {cut("own")} WHEN l.size >= {LEAST} THEN {cut("l")} ELSE {cut("a")} END AS cut
   FROM own LEFT JOIN l ON own.lang IS NOT DISTINCT FROM l.lang AND own.rule = l.rule LEFT JOIN a ON own.rule = a.rule),
 bad AS (SELECT DISTINCT r FROM ({verdict}) v JOIN cuts ON v.lang IS NOT DISTINCT FROM cuts.lang AND v.source IS NOT DISTINCT FROM cuts.source AND v.rule = cuts.rule WHERE x > cut)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND bad.r IS NULL AS kept FROM c LEFT JOIN bad USING (r)

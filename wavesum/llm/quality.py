@@ -5,10 +5,11 @@ sketch is the counts by bucket, so two sketches merge by adding counts and a qua
 within (g - 1) / (g + 1) of the true one, whatever the order of merging.  As rows
 (lang, source, rule, bucket, n) it needs one partially aggregated groupBy.
 
-A rule rejects a document whose value is over q75 + spread * (q75 - q25) of its group and
-over a guard that keeps near-constant groups from rejecting ordinary variation.  Groups of
-under `least` documents take their language's merged sketch, and those of too small
-languages the one of all documents.
+A rule rejects a document whose value is over q75 + SPREAD * (q75 - q25) of its group, up or
+down with the group; where the quartiles lie closer than the rule's LEAST_SPREAD (in a group
+in which three quarters have no symbol they coincide), that stands for their distance.
+Groups of under `least` documents take their language's merged sketch, and those of too
+small languages the one of all documents.
 """
 
 from __future__ import annotations
@@ -25,10 +26,10 @@ from pyspark.sql import functions as F
 from wavesum.llm.common import SPACE, blocks, flat, fresh, strings, sums, word_spans, written
 
 GROWTH = 1.02
-SPREAD = 3.0
+SPREAD = 5.0
 LEAST = 30
-#: Rule: its guard.  Values at or under the guard never reject.
-GUARDS = {"symbols": 0.2, "dup_lines": 0.3, "repeats": 0.3, "long_words": 12.0, "short_words": 0.5}
+#: Rule: the least distance of quartiles that is believed.
+LEAST_SPREAD = {"symbols": 0.03, "dup_lines": 0.07, "repeats": 0.06, "long_words": 0.1, "short_words": 0.004}
 #: Fixed: the symbols counted in n_symbols.
 SYMBOLS = np.zeros(256, dtype=bool)
 SYMBOLS[list(b"#*$%&|<>")] = True
@@ -128,13 +129,14 @@ def quantiles(sketch: DataFrame, by: list[str]) -> DataFrame:
 
 def thresholds(sketch: DataFrame, spread: float = SPREAD, least: int = LEAST) -> DataFrame:
     """One row for each (lang, source): a cutoff for each rule, from the smallest group that is large enough."""
-    cut = lambda d: d.withColumn("cut", F.col("q75") + spread * (F.col("q75") - F.col("q25"))).drop("q25", "q75")
+    believed = F.create_map(*[F.lit(x) for pair in LEAST_SPREAD.items() for x in pair])[F.col("rule")]
+    cut = lambda d: d.withColumn("cut", F.col("q75") + spread * F.greatest(F.col("q75") - F.col("q25"), believed)).drop("q25", "q75")
     own = cut(quantiles(sketch, ["lang", "source"]))
     lang = cut(quantiles(sketch, ["lang"])).select(F.col("lang").alias("l_lang"), F.col("rule").alias("l_rule"), F.col("size").alias("l_size"), F.col("cut").alias("l_cut"))
     every = cut(quantiles(sketch, [])).select(F.col("rule").alias("a_rule"), F.col("cut").alias("a_cut"))
     both = own.join(lang, F.col("lang").eqNullSafe(F.col("l_lang")) & (F.col("rule") == F.col("l_rule")), "left").join(every, F.col("rule") == F.col("a_rule"), "left")
     chosen = F.when(F.col("size") >= least, F.col("cut")).when(F.col("l_size") >= least, F.col("l_cut")).otherwise(F.col("a_cut"))
-    return both.groupBy(F.col("lang").alias("t_lang"), F.col("source").alias("t_source")).agg(*[F.max(F.when(F.col("rule") == k, F.greatest(chosen, F.lit(g)))).alias(f"cut_{k}") for k, g in GUARDS.items()])
+    return both.groupBy(F.col("lang").alias("t_lang"), F.col("source").alias("t_source")).agg(*[F.max(F.when(F.col("rule") == k, chosen)).alias(f"cut_{k}") for k in LEAST_SPREAD])
 
 
 def judged(features: DataFrame, cuts: DataFrame, n: dict[str, str], lang: str = "lang", source: str = "source", most_groups: int = 100_000) -> DataFrame:
@@ -143,15 +145,17 @@ def judged(features: DataFrame, cuts: DataFrame, n: dict[str, str], lang: str =
     The cutoffs are broadcast while there are at most `most_groups` groups; beyond that the
     join is left to the optimizer, which splits hot groups.
     """
-    fails = [v > F.col(f"cut_{k}") for k, v in values(n).items()]
-    verdict = fails[0]
-    for f in fails[1:]:
-        verdict |= f
+    names = fresh([*features.columns, lang, source], *cuts.columns)
+    cuts = cuts.toDF(*names)
+    limit = dict(zip(LEAST_SPREAD, names[2:], strict=True))
+    verdict = F.lit(False)
+    for k, v in values(n).items():
+        verdict |= v > F.col(limit[k])
     cuts = F.broadcast(cuts) if cuts.limit(most_groups + 1).count() <= most_groups else cuts
     bad = base_failed(n)
-    joined = features.join(cuts, F.col(lang).eqNullSafe(F.col("t_lang")) & F.col(source).eqNullSafe(F.col("t_source")), "left")
-    flag, kept = fresh(features.columns, "base_failed", "kept")
-    return joined.withColumns({flag: bad, kept: ~bad & ~F.coalesce(verdict, F.lit(False))}).select(*features.columns, flag, kept)
+    joined = features.join(cuts, F.col(lang).eqNullSafe(F.col(names[0])) & F.col(source).eqNullSafe(F.col(names[1])), "left")
+    flag, kept = fresh(joined.columns, "base_failed", "kept")
+    return joined.withColumns({flag: bad, kept: ~bad & ~F.coalesce(verdict, F.lit(False))}).select(*[F.col(f"`{c}`") for c in features.columns], flag, kept)
 
 
 def quality_digest(docs: DataFrame) -> DataFrame:
@@ -168,11 +172,15 @@ def quality_digest(docs: DataFrame) -> DataFrame:
 
 
 def quality_filter(docs: DataFrame) -> DataFrame:
-    """The documents that the rules keep, with all their columns; two scans, no shuffle of texts."""
+    """The documents that the rules keep, with all their columns; two scans, no shuffle of texts.
+
+    Cases as in `quality_digest`: null, empty and short texts go; columns of any other name
+    are carried along; repeated rows stay or go together.
+    """
     narrow, names = measured(docs, ["lang", "source"])
     n = dict(zip(FEATURES, names, strict=True))
     cuts = written(thresholds(sketches(narrow, n)), "quality-cuts")
     wide, names = measured(docs, docs.columns)
     n = dict(zip(FEATURES, names, strict=True))
     out = judged(wide, cuts, n)
-    return out.filter(F.col(out.columns[-1])).select(*docs.columns)
+    return out.filter(F.col(out.columns[-1])).select(*[F.col(f"`{c}`") for c in docs.columns])

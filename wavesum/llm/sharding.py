@@ -10,9 +10,12 @@ bucket with long texts needn't fit in memory) and writes the records into their
 folders.  A record's slot is its place in its bucket after the buckets before it, so a
 shard's slots are gapless and its order uniform; `read_shards` numbers what was written.
 
-Hot keys: repeated rows of one doc_id must share a shard (the law says so), but the bucket
-hash takes the row's partition and running number too, so they are spread over the buckets
-of that shard.
+The order is a function of the seed and the records: the hashes take doc_id and a record's
+columns, so neither partitions nor adaptive execution move a slot, and only equal records
+change places.  Hot keys: repeated rows of one doc_id must share a shard (the law says so),
+but their bucket goes by their other columns too; a doc_id with more rows than an eighth of
+a bucket, of which equal ones could fill a bucket, goes by its rows' running number besides,
+so the order inside such an id is as arbitrary as its rows' order in the table.
 """
 
 from __future__ import annotations
@@ -40,14 +43,26 @@ def scatter(docs: DataFrame, shards: int, bucket_rows: int, bucket_bytes: int, s
     rows, total = docs.agg(F.count("*"), F.coalesce(F.sum(size.cast("long")), F.lit(0))).first()
     buckets = max(1, -(-rows // (shards * bucket_rows)), -(-total // (shards * bucket_bytes)))
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 62)))
-    shard, bucket, mix, number = names = fresh(docs.columns, "shard", "bucket", "mix", "number")
-    numbered = docs.withColumn(number, F.monotonically_increasing_id())
-    hashed = lambda k: F.xxhash64(F.lit(seed + k), key, F.col(number))
+    shard, bucket, mix, number, hot = names = fresh(docs.columns, "shard", "bucket", "mix", "number", "hot")
+    most = max(1, bucket_rows // 8)
+    often = docs.groupBy(key.alias(hot)).agg(F.count("*").alias(number)).filter(F.col(number) > most).select(hot)
+    content = F.xxhash64(*[F.col(f"`{f.name}`") for f in docs.schema if not f.dataType.simpleString().startswith(("map", "variant"))])
+    numbered = docs
+    if (ids := often.count()) > 0:  # at most rows / most ids
+        numbered = docs.withColumn(number, F.monotonically_increasing_id()).join(F.broadcast(often) if ids <= 1_000_000 else often, key == F.col(hot), "left")
+        numbered = numbered.withColumn(number, F.when(F.col(hot).isNotNull(), F.col(number)).otherwise(F.lit(0))).drop(hot)
+    else:
+        numbered = docs.withColumn(number, F.lit(0).cast("long"))
+    hashed = lambda k: F.xxhash64(F.lit(seed + k), key, content, F.col(number))
     return numbered.withColumns({shard: rendezvous(key, shards, seed), bucket: F.pmod(hashed(1), F.lit(buckets)).cast("int"), mix: hashed(2)}).drop(number), names[:3]
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = 24, bucket_rows: int = 50_000, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES, text: str = "text") -> tuple[DataFrame, list[str]]:
-    """The records themselves, whole, as one folder per shard, each bucket in slot order; returns them read back, and the names of shard, bucket and mix."""
+    """The records themselves, whole, as one folder per shard, each bucket in slot order; returns them read back, and the names of shard, bucket and mix.
+
+    All columns are kept, whatever their names; nulls, repeated rows and empty tables as in
+    `shard_documents`.
+    """
     mixed, names = scatter(docs, shards, bucket_rows, bucket_bytes, seed, text)
     mixed.repartition(*names[:2]).sortWithinPartitions(*names).write.partitionBy(names[0]).parquet(path)
     return docs.sparkSession.read.schema(mixed.schema).parquet(path), names
@@ -56,9 +71,10 @@ def write_shards(docs: DataFrame, path: str, shards: int = 24, bucket_rows: int
 def read_shards(records: DataFrame, names: list[str]) -> DataFrame:
     """Written records with `slot` running through the buckets of a shard."""
     shard, bucket, mix = names
+    ties = [c for c in ("doc_id", "text_crc32") if c in records.columns]
     before = Window.partitionBy(shard).orderBy(bucket).rowsBetween(Window.unboundedPreceding, -1)
     begin = records.groupBy(shard, bucket).count().select(shard, bucket, F.coalesce(F.sum("count").over(before), F.lit(0)).alias("begin"))
-    at = F.row_number().over(Window.partitionBy(shard, bucket).orderBy(mix)) - 1
+    at = F.row_number().over(Window.partitionBy(shard, bucket).orderBy(mix, *ties)) - 1
     return records.withColumn("at", at).join(begin, [shard, bucket]).withColumn("slot", (F.col("begin") + F.col("at")).cast("long")).drop("begin", "at")
 
 

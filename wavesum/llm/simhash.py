@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavesum.llm.common import LOWER, blocks, flat, word_spans, written
+from wavesum.llm.common import LOWER, blocks, flat, fresh, word_spans, written
 from wavesum.llm.graph import components
 
 WORDS, RADIUS, SEED = 3, 2, 42
@@ -134,6 +134,12 @@ def near_dedup(docs: DataFrame, words: int = 5, radius: int = RADIUS) -> DataFra
 
     Repeated rows of one doc_id keep one row; rows without doc_id stay.
     """
-    first = near_components(docs, words, radius).filter("doc_id = component_id").select(F.col("doc_id").alias("_kept")).distinct()
-    kept = docs.join(first, docs["doc_id"] == F.col("_kept"), "left_semi").dropDuplicates(["doc_id"])
+    return firsts_only(docs, near_components(docs, words, radius))
+
+
+def firsts_only(docs: DataFrame, classes: DataFrame) -> DataFrame:
+    """One row of each doc_id that is its class's (classes: doc_id, component_id); rows without doc_id stay."""
+    (name,) = fresh(docs.columns, "kept_id")
+    first = classes.filter("doc_id = component_id").select(F.col("doc_id").alias(name)).distinct()
+    kept = docs.join(first, docs["doc_id"] == F.col(name), "left_semi").dropDuplicates(["doc_id"])
     return kept.unionByName(docs.filter("doc_id is null"))
