@@ -102,6 +102,14 @@ def by_basis(freq: DataFrame, log2u: int, measures: tuple[str, ...] = ("cnt",),
     return parts.groupBy(*by, F.col("c.coef_id").alias("coef_id"), F.col("c.level").alias("level")).agg(*sums).filter(some)
 
 
+def with_root(ids: np.ndarray, levels: np.ndarray, diffs: np.ndarray, root: np.ndarray, total: np.ndarray, **more) -> pa.Table:
+    """A subtree's details and its sum, which is marked by a null coefficient, with its block as level."""
+    none = np.zeros(len(ids) + 1, bool)
+    none[-1] = True
+    cols = {"coef_id": pa.array(np.append(ids, 0), pa.int64(), mask=none), "level": pa.array(np.append(levels, np.int32(root[0])), pa.int32()), "diff": pa.array(np.append(diffs, total[0]), pa.int64())}
+    return pa.table(cols | more)
+
+
 def by_subtree(freq: DataFrame, log2u: int, subtree_log2: int | None = None) -> DataFrame:
     """Nonzero coefficients by aligned subtrees of 2^subtree_log2 positions, one shuffle of freq.
 
@@ -117,8 +125,7 @@ def by_subtree(freq: DataFrame, log2u: int, subtree_log2: int | None = None) ->
         pos, cnt = (table.column(c).to_numpy().astype(np.int64) for c in ("pos", "cnt"))
         order = np.argsort(pos)
         ids, levels, diffs, root, total = sparse(pos[order], cnt[order], log2u, top)
-        # the sum is marked by a null coefficient, with its block as level
-        return pa.table([pa.array([*ids.tolist(), None], pa.int64()), pa.array([*levels.tolist(), int(root[0])], pa.int32()), pa.array([*diffs.tolist(), int(total[0])], pa.int64())], names=["coef_id", "level", "diff"])
+        return with_root(ids, levels, diffs, root, total)
 
     from wavesum.functions.tables import materialize
 
@@ -127,19 +134,51 @@ def by_subtree(freq: DataFrame, log2u: int, subtree_log2: int | None = None) ->
     return parts.filter("coef_id is not null").unionByName(by_basis(sums, top))
 
 
-def local_sparse(local: DataFrame, log2u: int) -> DataFrame:
-    """(site, coef_id, level, diff): each site's own nonzero coefficients, a site at a time in Arrow."""
+def extreme(values: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
+    """Mask of the k highest and the k lowest values, the lower ids first among equal ones."""
+    out = np.zeros(len(values), bool)
+    if len(values) <= 2 * k:
+        out[:] = True
+        return out
+    for v in (values, -values):
+        edge = np.partition(v, len(v) - k)[len(v) - k]
+        over, on = v > edge, np.flatnonzero(v == edge)
+        out |= over
+        out[on[np.argsort(ids[on])[: k - int(over.sum())]]] = True
+    return out
+
+
+def local_sparse(local: DataFrame, log2u: int, k: int = 0, subtree_log2: int = 16) -> DataFrame:
+    """(site, coef_id, level, diff): each site's own nonzero coefficients, by subtrees of a site, so no task holds a whole one.
+
+    With k there is a column `cand`: whether a coefficient may be among the k highest or
+    lowest values of its site.
+    """
+    low = min(subtree_log2, log2u)
+    top = log2u - low
+    more = ", cand boolean" if k else ""
 
     def one(key: tuple, table: pa.Table) -> pa.Table:
         pos, cnt = (table.column(c).to_numpy().astype(np.int64) for c in ("pos", "cnt"))
         order = np.argsort(pos)
-        ids, levels, diffs, _, total = sparse(pos[order], cnt[order], log2u)
-        n = int(total.sum())
-        if n:
-            ids, levels, diffs = np.append(ids, 1), np.append(levels, np.int32(AVERAGE)), np.append(diffs, n)
-        return pa.table([pa.array(np.full(len(ids), key[0].as_py())), pa.array(ids), pa.array(levels), pa.array(diffs)], names=["site", "coef_id", "level", "diff"])
+        ids, levels, diffs, root, total = sparse(pos[order], cnt[order], log2u, top)
+        if not top and int(total.sum()):
+            ids, levels, diffs = np.append(ids, 1), np.append(levels, np.int32(AVERAGE)), np.append(diffs, int(total.sum()))
+        cand = extreme(diffs * np.sqrt(2.0 ** (np.maximum(levels, 0) - log2u)), ids, k) if k else np.zeros(0, bool)
+        if top:
+            out = with_root(ids, levels, diffs, root, total, **({"cand": pa.array(np.append(cand, True))} if k else {}))
+        else:
+            out = pa.table({"coef_id": pa.array(ids, pa.int64()), "level": pa.array(levels, pa.int32()), "diff": pa.array(diffs, pa.int64())} | ({"cand": pa.array(cand)} if k else {}))
+        return out.add_column(0, "site", pa.array(np.full(len(out), key[0].as_py()), pa.int64()))
+
+    if not top:
+        return local.groupBy("site").applyInArrow(one, f"site bigint, {COEF}{more}")
+    from wavesum.functions.tables import materialize
 
-    return local.groupBy("site").applyInArrow(one, f"site bigint, {COEF}")
+    parts = materialize(local.groupBy("site", F.call_function("shiftright", F.col("pos"), F.lit(low)).alias("subtree")).applyInArrow(one, f"site bigint, {COEF}{more}"), "site-subtrees")
+    sums = parts.filter("coef_id is null").select("site", F.col("level").cast("long").alias("pos"), F.col("diff").alias("cnt"))
+    above = by_basis(sums, top, by=("site",))
+    return parts.filter("coef_id is not null").unionByName(above.withColumn("cand", F.lit(True)) if k else above)
 
 
 def value_of(diff: Column, level: Column, log2u: int) -> Column:

@@ -72,7 +72,7 @@ def spec(name: str, sf: str = "0.01") -> KeySpec:
         "value": ("events", "cast(floor(value) as bigint)", (9, 9, 10)[at], event, "event_id"),
         "value_cents": ("events", "cast(floor(value * 100) as bigint)", (15, 16, 16)[at], event, "event_id"),
         "nchars": ("documents", "n_chars", (15, 16, 17)[at], "doc_id % {m}", "doc_id"),
-        "words": ("words", "pos", (15, 17, 19)[at], "doc_id % {m}", "doc_id"),
+        "words": ("words", "pos", (15, 17, 19)[at], "doc_id % {m}", "concat_ws(':', doc_id, ord)"),
     }
     return KeySpec(name, *all_[name])
 
@@ -85,12 +85,36 @@ def duck_text(text: str) -> str:
     return text.replace("datediff({day})", "datediff('day', timestamp '1992-01-01', l_shipdate)")
 
 
-def scale_of(sf_dir: str) -> str:
-    """The scale in a folder's name; other folders are taken for the middle one."""
-    for sf in ("0.001", "0.01", "0.1"):
-        if sf_dir.rstrip("/").endswith(f"sf{sf}"):
-            return sf
-    return "0.01"
+def scale_of(sf_dir: str) -> str | None:
+    """The scale in the name of one of the given folders, else None."""
+    name = sf_dir.rstrip("/").rpartition("/")[2]
+    return name[2:] if name in ("sf0.001", "sf0.01", "sf0.1") else None
+
+
+def spec_for(spark, sf_dir: str, name: str) -> KeySpec:
+    """The key of a folder: domains of the given folders are listed, others follow from the largest position there."""
+    if scale := scale_of(sf_dir):
+        return spec(name, scale)
+    key = spec(name)
+    if name == "words":
+        from wavesum.functions.tables import words
+
+        most = words(spark, sf_dir).agg(F.count_distinct("word")).first()[0]
+    elif name == "pair":
+        low = spec_for(spark, sf_dir, "partkey").log2u
+        key = key.at(position=f"l_suppkey * {1 << low} + l_partkey")
+        most = _most(spark, sf_dir, key) + 1
+    else:
+        most = _most(spark, sf_dir, key) + 1
+    return key.at(log2u=max(1, (most - 1).bit_length()))
+
+
+def _most(spark, sf_dir: str, key: KeySpec) -> int:
+    """The largest position of a key; a negative one is outside any domain."""
+    low, high = spark.read.parquet(f"{sf_dir}/{key.table}.parquet").agg(F.min(F.expr(spark_text(key.position))), F.max(F.expr(spark_text(key.position)))).first()
+    if low is not None and low < 0:
+        raise ValueError(f"{key.name} has positions under 0")
+    return int(high or 0)
 
 
 def project(df: DataFrame, key: KeySpec, m: int, row_id: bool = False, clip: bool = False, check: bool = True) -> DataFrame:

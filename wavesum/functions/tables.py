@@ -31,17 +31,33 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 
 
 def words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, word): every white-space token of the documents."""
+    """(doc_id, ord, word): every white-space token of the documents and its place."""
     text = F.split(F.trim("text"), r"\s+")
-    return spark.read.parquet(f"{sf_dir}/documents.parquet").filter("text is not null").select("doc_id", F.explode(text).alias("word")).filter("word <> ''")
+    return spark.read.parquet(f"{sf_dir}/documents.parquet").filter("text is not null").select("doc_id", F.posexplode(text).alias("ord", "word")).filter("word <> ''")
+
+
+def word_counts(spark: SparkSession, sf_dir: str, key, m: int) -> DataFrame:
+    """(site, pos, cnt): tokens counted by site and word before anything moves; a position is the word's rank.
+
+    One pass over the texts; the ranks and their join see a row for each word and site.
+    """
+    from wavesum.functions.keys import dense_rank_ids
+
+    tokens = words(spark, sf_dir).select(F.expr(key.site.format(m=m)).cast("long").alias("site"), "word")
+    counts = materialize(tokens.groupBy("site", "word").agg(F.count("*").alias("cnt")), "word-counts")
+    ranks = dense_rank_ids(counts, "word").withColumnRenamed("value", "word")
+    return counts.join(ranks, "word").select("site", "pos", "cnt")
 
 
 def word_positions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, pos): tokens as dense ranks of the words."""
+    """(doc_id, ord, pos): tokens as ranks of the words, for methods that sample single tokens."""
     from wavesum.functions.keys import dense_rank_ids
 
     tokens = words(spark, sf_dir)
-    return tokens.join(dense_rank_ids(tokens, "word").withColumnRenamed("value", "word"), "word").select("doc_id", "pos")
+    ranks = dense_rank_ids(tokens.select("word").distinct(), "word").withColumnRenamed("value", "word")
+    # a hot word is one key of the join: the ranks are broadcast while they're few
+    ranks = F.broadcast(ranks) if ranks.count() <= 1_000_000 else ranks
+    return tokens.join(ranks, "word").select("doc_id", "ord", "pos")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -17,8 +17,8 @@ def ship_counts(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
     return haar.best_k(haar.by_subtree(global_freq(keyed), log2u), k, log2u)
 
 
-def local_coefs(keyed: DataFrame, log2u: int) -> DataFrame:
-    return haar.local_sparse(local_freq(keyed), log2u)
+def local_coefs(keyed: DataFrame, log2u: int, k: int = 0) -> DataFrame:
+    return haar.local_sparse(local_freq(keyed), log2u, k)
 
 
 def ship_coefs(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
@@ -29,7 +29,7 @@ def ship_coefs(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
 
 def scores_of(local: DataFrame, log2u: int) -> DataFrame:
     """Local coefficients as scores: item, the integer behind it, and its value."""
-    return local.select("site", F.col("coef_id").alias("item"), F.col("diff").alias("score"), haar.value_of(F.col("diff"), F.col("level"), log2u).alias("value"))
+    return local.select("site", F.col("coef_id").alias("item"), F.col("diff").alias("score"), haar.value_of(F.col("diff"), F.col("level"), log2u).alias("value"), *(["cand"] if "cand" in local.columns else []))
 
 
 def level_expr(item):
@@ -37,10 +37,18 @@ def level_expr(item):
 
 
 def signed_topk(keyed: DataFrame, log2u: int, k: int = 30, m: int | None = None, **options) -> topk.TopkResult:
-    """The best k coefficients by three threshold rounds; items are (coef_id, diff, value)."""
-    scores = scores_of(local_coefs(keyed, log2u), log2u)
+    """The best k coefficients by three threshold rounds; items are (coef_id, diff, value).
+
+    Null keys are not among the records; a tie goes to the lower id; no records, no items.
+    """
+    send = max(k, options.get("fanout") or k)
+    return signed_topk_of(local_coefs(keyed, log2u, send), log2u, k, m, **options)
+
+
+def signed_topk_of(local: DataFrame, log2u: int, k: int = 30, m: int | None = None, **options) -> topk.TopkResult:
+    """`signed_topk` from the sites' coefficients (site, coef_id, level, diff[, cand])."""
     exact = haar.energy_key(F.col("score"), level_expr(F.col("item"))).desc()
-    got = topk.signed(scores, k, m, order=[exact], **options)
+    got = topk.signed(scores_of(local, log2u), k, m, order=[exact], **options)
     if options.get("stop_after", 3) == 2:
         got.items = got.items.withColumnRenamed("item", "coef_id")
     else:
@@ -49,15 +57,17 @@ def signed_topk(keyed: DataFrame, log2u: int, k: int = 30, m: int | None = None,
 
 
 def planned(keyed: DataFrame, log2u: int, k: int = 30, m: int | None = None) -> tuple[str, DataFrame]:
-    """signed_topk unless its first round gives no threshold and counts are fewer than coefficients; then ship_counts."""
+    """signed_topk unless its first round gives no threshold and counts are fewer than coefficients; then ship_counts.
+
+    Both go on from the same local state.
+    """
     local = materialize(local_freq(keyed), "local-freq")
-    coefs = materialize(haar.local_sparse(local, log2u), "local-coefs")
-    state, bounds = topk.extremes(scores_of(coefs, log2u), k)
-    t1 = topk.kth(topk.with_bounds(state.filter("first"), bounds), "floor", k)
-    if t1 == 0 and local.count() < coefs.count():
+    coefs = materialize(haar.local_sparse(local, log2u, k), "local-coefs")
+    first = topk.first_round(scores_of(coefs, log2u), k, m)
+    if first.t1 == 0 and local.count() < coefs.count():
         freq = local.groupBy("pos").agg(F.sum("cnt").cast("long").alias("cnt"))
         return "ship_counts", haar.best_k(haar.by_subtree(freq, log2u), k, log2u)
-    return "signed_topk", signed_topk(keyed, log2u, k, m).items
+    return "signed_topk", signed_topk_of(coefs, log2u, k, m, first=first).items
 
 
 def ship_counts_2d(cells: DataFrame, log2us: list[int], k: int = 30) -> DataFrame:

@@ -68,10 +68,13 @@ def level1(keyed: DataFrame, plan: Plan, design: str = "coin", seed: int = SEED,
         return keyed.filter(h32(F.col("row_id"), seed, 1, fast=fast) < plan.coin).select("site", "pos")
     if design != "wor":
         raise ValueError("design is coin or wor")
-    h = h32(F.col("row_id"), seed, 1, fast=fast)
+    # hashes far over a site's share are left out before the rest are ranked; too few left, which is next to impossible, raises
+    sizes = keyed.groupBy("site").agg(F.count("*").alias("n")).select("site", F.round(F.lit(plan.p) * F.col("n")).alias("take"), (F.lit(4294967296.0) * (2 * plan.p + 64 / F.col("n"))).alias("reach"))
+    near = keyed.withColumn("h", h32(F.col("row_id"), seed, 1, fast=fast)).join(F.broadcast(sizes), "site").filter("h < reach")
     order = Window.partitionBy("site").orderBy("h", "row_id")
-    sizes = keyed.groupBy("site").agg(F.round(F.lit(plan.p) * F.count("*")).alias("take"))
-    return keyed.withColumn("h", h).withColumn("rank", F.row_number().over(order)).join(F.broadcast(sizes), "site").filter("rank <= take").select("site", "pos")
+    ranked = near.withColumns({"rank": F.row_number().over(order), "left": F.count("*").over(Window.partitionBy("site"))})
+    enough = F.when(F.col("left") >= F.col("take"), F.col("rank") <= F.col("take")).otherwise(F.raise_error(F.lit("a site's sample is short")).cast("boolean"))
+    return ranked.filter(enough).select("site", "pos")
 
 
 def sample_freq(sampled: DataFrame) -> DataFrame:

@@ -38,26 +38,40 @@ class TopkResult:
         return sum(p.get("pairs", 0) for p in self.phases)
 
 
+#: Rows up to which a side of a join is broadcast: sites' bounds and candidates, some 50 bytes each.
+FEW = 1_000_000
+
+
 def extremes(scores: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
-    """Scores with `first` (sent in round 1) and the sites' bounds (site, hi, lo): one window each way, materialized.
+    """Scores with `first` (sent in round 1) and the sites' bounds (site, hi, lo, ..), both materialized.
 
     hi, lo: the k-th highest and lowest scores, or 0 where a site has fewer, clamped at 0.
+    Only rows marked `cand`, if there is such a mark, are ranked; whether a row is sent
+    follows from comparing it with its site's k-th rows.
     """
+    state = materialize(scores, "topk-state")
     down, up = Window.partitionBy("site").orderBy(F.desc("value"), "item"), Window.partitionBy("site").orderBy("value", "item")
-    ranked = scores.withColumns({"d": F.row_number().over(down), "u": F.row_number().over(up)})
-    state = materialize(ranked.select("site", "item", "score", "value", "d", "u", ((F.col("d") <= k) | (F.col("u") <= k)).alias("first")), "topk-state")
-    bounds = state.groupBy("site").agg(
-        F.greatest(F.lit(0.0), F.coalesce(F.max(F.when(F.col("d") == k, F.col("value"))), F.lit(0.0))).alias("hi"),
-        F.least(F.lit(0.0), F.coalesce(F.max(F.when(F.col("u") == k, F.col("value"))), F.lit(0.0))).alias("lo"),
-    )
-    return state.drop("d", "u"), materialize(bounds, "topk-bounds")
+    some = state.filter("cand").drop("cand") if "cand" in state.columns else state
+    ranked = some.withColumns({"d": F.row_number().over(down), "u": F.row_number().over(up)}).filter((F.col("d") <= k) | (F.col("u") <= k))
+    at = lambda r, c: F.max(F.when(F.col(r) == k, F.col(c)))
+    bounds = ranked.groupBy("site").agg(at("d", "value").alias("high"), at("d", "item").alias("high_item"), at("u", "value").alias("low"), at("u", "item").alias("low_item"), F.count("*").alias("sent"))
+    zero = F.lit(0.0)
+    bounds = materialize(bounds.withColumns({"hi": F.greatest(zero, F.coalesce("high", zero)), "lo": F.least(zero, F.coalesce("low", zero))}), "topk-bounds")
+    small = F.broadcast(bounds) if bounds.count() <= FEW else bounds
+    value, item = F.col("value"), F.col("item")
+    above = F.col("high").isNull() | (value > F.col("high")) | ((value == F.col("high")) & (item <= F.col("high_item")))
+    below = (value < F.col("low")) | ((value == F.col("low")) & (item <= F.col("low_item")))
+    marked = state.join(small.drop("hi", "lo", "sent"), "site").select("site", "item", "score", "value", (above | F.coalesce(below, F.lit(False))).alias("first"))
+    return marked, bounds
 
 
 def with_bounds(messages: DataFrame, bounds: DataFrame) -> DataFrame:
-    """(item, partial, low, high, floor) of every item that some site sent."""
-    all_hi, all_lo = bounds.agg(F.coalesce(F.sum("hi"), F.lit(0.0)), F.coalesce(F.sum("lo"), F.lit(0.0))).first()
-    per = messages.join(bounds, "site").groupBy("item").agg(F.sum("value").alias("partial"), F.sum("hi").alias("seen_hi"), F.sum("lo").alias("seen_lo"))
-    per = per.select("item", "partial", (F.col("partial") + F.lit(all_lo) - F.col("seen_lo")).alias("low"), (F.col("partial") + F.lit(all_hi) - F.col("seen_hi")).alias("high"))
+    """(item, partial, low, high, floor, n) of every item that some site sent; n: of how many messages."""
+    rows, all_hi, all_lo = bounds.agg(F.count("*"), F.coalesce(F.sum("hi"), F.lit(0.0)), F.coalesce(F.sum("lo"), F.lit(0.0))).first()
+    few = bounds.select("site", "hi", "lo")
+    joined = messages.join(F.broadcast(few) if rows <= FEW else few, "site")
+    per = joined.groupBy("item").agg(F.sum("value").alias("partial"), F.sum("hi").alias("seen_hi"), F.sum("lo").alias("seen_lo"), F.count("*").alias("n"))
+    per = per.select("item", "partial", (F.col("partial") + F.lit(all_lo) - F.col("seen_lo")).alias("low"), (F.col("partial") + F.lit(all_hi) - F.col("seen_hi")).alias("high"), "n")
     return per.withColumn("floor", F.when((F.col("low") <= 0) & (F.col("high") >= 0), 0.0).otherwise(F.least(F.abs("low"), F.abs("high"))))
 
 
@@ -67,45 +81,67 @@ def kth(df: DataFrame, column: str, k: int) -> float:
     return float(top[-1]) if len(top) == k else 0.0
 
 
-def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True, resend: bool = False, fanout: int | None = None, stop_after: int = 3, order: list | None = None) -> TopkResult:
+@dataclass
+class FirstRound:
+    """What the first round leaves: the state with its marks, the sites' bounds, how many sites and pairs, the threshold."""
+
+    state: DataFrame
+    bounds: DataFrame
+    sites: int
+    pairs: int
+    t1: float
+
+
+def first_round(scores: DataFrame, k: int, m: int | None = None, send: int | None = None) -> FirstRound:
+    """m: the number of sites, at least those that have scores; more are sites without any."""
+    state, bounds = extremes(scores, send or k)
+    sites, pairs = bounds.agg(F.count("*"), F.coalesce(F.sum("sent"), F.lit(0))).first()
+    if m is not None and m < sites:
+        raise ValueError(f"{sites} sites have scores, more than m = {m}: the bounds would not hold")
+    t1 = kth(with_bounds(state.filter("first"), bounds), "floor", k)
+    return FirstRound(state, bounds, m or max(1, sites), int(pairs), t1)
+
+
+def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True, resend: bool = False, fanout: int | None = None, stop_after: int = 3, order: list | None = None, first: FirstRound | None = None) -> TopkResult:
     """Three rounds over one materialized state.
 
     tight: bounds of both rounds are intersected.  resend: pairs are sent again where a later
     round asks for them (for comparison of costs; the result is the same).  fanout: that many
     extremes, k at least, go out in round 1.  stop_after=2: no third round, the estimate is
     the middle of the bounds, with columns low and high.  order: exact sort of the summed
-    items, by |value| and item otherwise.
+    items, by |value| and item otherwise.  first: a first round that was made before.
+
+    Scores are of distinct (site, item) without nulls; ties go by `order`, then to the lower
+    item; a table without scores gives no items.
     """
-    send = max(k, fanout or k)
-    state, bounds = extremes(scores, send)
-    m = m or max(1, bounds.count())
-    one = state.filter("first")
-    t1 = kth(with_bounds(one, bounds), "floor", k)
-    phases = [{"phase": 1, "pairs": one.count(), "t1": t1}]
+    one = first or first_round(scores, k, m, max(k, fanout or k))
+    state, m, t1 = one.state, one.sites, one.t1
+    phases = [{"phase": 1, "pairs": one.pairs, "t1": t1}]
 
     reach = t1 / m
     second = F.abs("value") >= reach * (1 - SLACK) if t1 > 0 else F.lit(True)
-    extra = state.filter(second if resend else ~F.col("first") & second)
-    got = state.filter(F.col("first") | second)
+    sent = F.col("first") | second
     edge = F.lit(reach)
-    later = bounds.select("site", (F.least("hi", edge) if tight else edge).alias("hi"), (F.greatest("lo", -edge) if tight else -edge).alias("lo"))
-    refined = materialize(with_bounds(got, later), "topk-refined")
+    later = one.bounds.select("site", (F.least("hi", edge) if tight else edge).alias("hi"), (F.greatest("lo", -edge) if tight else -edge).alias("lo"))
+    refined = materialize(with_bounds(state.filter(sent), later), "topk-refined")
     t2 = kth(refined, "floor", k)
     if tight:
         t2 = max(t1, t2)
-    left = refined.filter(F.greatest(F.abs("low"), F.abs("high")) >= t2 * (1 - SLACK))
-    phases.append({"phase": 2, "pairs": extra.count(), "t1_over_m": reach, "t2": t2, "candidates": left.count(), "down_bytes": 8 * m})
+    hopeful = F.greatest(F.abs("low"), F.abs("high")) >= t2 * (1 - SLACK)
+    got, size = refined.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count_if(hopeful)).first()
+    again = state.filter(second).count() if resend else got - one.pairs
+    left = refined.filter(hopeful)
+    phases.append({"phase": 2, "pairs": again, "t1_over_m": reach, "t2": t2, "candidates": size, "down_bytes": 8 * m})
     if stop_after == 2:
         middle = ((F.col("low") + F.col("high")) / 2).alias("value")
         return TopkResult(left.select("item", middle, "low", "high").orderBy(F.abs("value").desc(), "item").limit(k), phases)
 
     wanted = left.select("item")
-    size = phases[-1]["candidates"]
-    wanted = F.broadcast(wanted) if size <= 1_000_000 else wanted
-    third = state.join(wanted, "item", "left_semi")
-    phases.append({"phase": 3, "pairs": third.filter(F.lit(True) if resend else ~(F.col("first") | second)).count(), "down_bytes": 4 * size * m})
-    sums = third.groupBy("item").agg(F.sum("score").cast("long").alias("score"), F.sum("value").alias("value"))
-    return TopkResult(sums.orderBy(*(order or [F.abs("value").desc()]), "item").limit(k), phases)
+    third = state.join(F.broadcast(wanted) if size <= FEW else wanted, "item", "left_semi")
+    sums = third.groupBy("item").agg(F.sum("score").cast("long").alias("score"), F.sum("value").alias("value"), F.count_if(F.lit(True) if resend else ~sent).alias("n"))
+    sums = materialize(sums, "topk-sums")
+    phases.append({"phase": 3, "pairs": int(sums.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]), "down_bytes": 4 * size * m})
+    return TopkResult(sums.drop("n").orderBy(*(order or [F.abs("value").desc()]), "item").limit(k), phases)
 
 
 def nonneg(scores: DataFrame, k: int, m: int | None = None) -> TopkResult:
@@ -126,7 +162,7 @@ def nonneg(scores: DataFrame, k: int, m: int | None = None) -> TopkResult:
     t2 = kth(seen, "partial", k)
     left = seen.filter(F.col("partial") + (m - F.col("n")) * (t1 / m) >= t2 * (1 - SLACK)).select("item")
     size = left.count()
-    third = state.join(F.broadcast(left) if size <= 1_000_000 else left, "item", "left_semi")
+    third = state.join(F.broadcast(left) if size <= FEW else left, "item", "left_semi")
     phases = [{"phase": 1, "pairs": one.count(), "t1": t1}, {"phase": 2, "pairs": state.filter(sent & ~F.col("first")).count(), "t2": t2, "candidates": size}, {"phase": 3, "pairs": third.filter(~sent).count()}]
     sums = third.groupBy("item").agg(F.sum("score").cast("long").alias("score"), F.sum("value").alias("value"))
     return TopkResult(sums.orderBy(F.desc("value"), "item").limit(k), phases)

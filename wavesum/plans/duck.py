@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from wavesum.functions.keys import KeySpec, duck_text
 
-WORDS = "(SELECT t.doc_id, r.pos FROM (SELECT doc_id, unnest(regexp_split_to_array(trim(text), '\\s+')) AS word FROM documents) t JOIN (SELECT word, row_number() OVER (ORDER BY word) - 1 AS pos FROM (SELECT DISTINCT unnest(regexp_split_to_array(trim(text), '\\s+')) AS word FROM documents) WHERE word <> '') r ON t.word = r.word)"
+_SPLIT = "regexp_split_to_array(trim(text), '\\s+')"
+WORDS = f"(SELECT t.doc_id, t.ord, r.pos FROM (SELECT doc_id, unnest({_SPLIT}) AS word, unnest(range(0, len({_SPLIT}))) AS ord FROM documents) t JOIN (SELECT word, row_number() OVER (ORDER BY word) - 1 AS pos FROM (SELECT DISTINCT unnest({_SPLIT}) AS word FROM documents) WHERE word <> '') r ON t.word = r.word)"
 
 
 def rows(key: KeySpec, m: int, row_id: bool = False) -> str:

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wavesum.functions import haar
-from wavesum.functions.keys import KeySpec, scale_of, spec
+from wavesum.functions.keys import KeySpec, spec, spec_for
 from wavesum.operators import exact, sample, sketch, topk
 from wavesum.operators.freq import global_freq, local_freq, rows
 from wavesum.operators.hist import WaveletHistogram
@@ -30,12 +30,12 @@ def register(name: str, sql: str | None = None):
     return keep
 
 
-def here(name: str, sf_dir: str) -> KeySpec:
-    return spec(name, scale_of(sf_dir))
+def here(name: str, sf_dir: str, spark: SparkSession | None = None) -> KeySpec:
+    return spec_for(spark or SparkSession.active(), sf_dir, name)
 
 
 def keyed(spark: SparkSession, sf_dir: str, name: str, m: int = M, row_id: bool = False) -> tuple[DataFrame, KeySpec]:
-    key = here(name, sf_dir)
+    key = here(name, sf_dir, spark)
     return rows(spark, sf_dir, key, m, row_id), key
 
 
@@ -44,7 +44,7 @@ def shown(top: DataFrame) -> DataFrame:
 
 
 def sampling_plan(df: DataFrame, m: int = M, eps: float = EPS) -> sample.Plan:
-    return sample.Plan(df.count(), m, eps)
+    return sample.Plan(df.count() if "cnt" not in df.columns else int(df.agg(F.sum("cnt")).first()[0] or 0), m, eps)
 
 
 # --- frequencies and transforms -------------------------------------------------------
@@ -186,7 +186,6 @@ def rounded(top: DataFrame) -> DataFrame:
     return top.select("coef_id", "level", F.round("value", 6).alias("value"))
 
 
-# words: a row of a repeated token has no id of its own, so its sample is by document
 for _method, _name, _eps in (("two_stage", "user", 0.02), ("two_stage", "partkey", EPS), ("two_stage", "words", EPS), ("floor", "user", 0.02), ("uniform", "user", 0.02), ("precombine", "value", 0.02)):
     _sql = f"SELECT coef_id, level, round(value, 6) AS value FROM ({duck.sampled_top(_method, spec(_name), M, _eps, K)})"
     register(f"{_method}_hist_{'events' if _name == 'user' else _name}", _sql)(lambda s, d, a=_method, b=_name, e=_eps: rounded(sampled_hist(a, b, e)(s, d)))
@@ -290,7 +289,7 @@ register("comm_ship_coefs", PAIRS.format(12, _local_coefs_sql))(lambda s, d: sen
 @register("comm_signed_topk_phase1", f"SELECT CAST(count(*) AS BIGINT) AS pairs, CAST(count(*) * 16 AS BIGINT) AS bytes FROM (SELECT row_number() OVER (PARTITION BY site ORDER BY v DESC, coef_id) AS d, row_number() OVER (PARTITION BY site ORDER BY v, coef_id) AS u FROM (SELECT site, coef_id, CAST(diff AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), greatest(level, 0) - 11)) AS v FROM ({_local_coefs_sql}))) WHERE d <= {K} OR u <= {K}")
 def comm_signed_topk_phase1(spark: SparkSession, sf_dir: str) -> DataFrame:
     df, log2u = _with_log2u(spark, sf_dir, "partkey")
-    state, _ = topk.extremes(exact.scores_of(exact.local_coefs(df, log2u), log2u), K)
+    state, _ = topk.extremes(exact.scores_of(exact.local_coefs(df, log2u, K), log2u), K)
     return sent(state.filter("first"), 16)
 
 
