@@ -141,7 +141,7 @@ def approx_topk_words(spark: SparkSession, sf_dir: str) -> DataFrame:
 def signed_topk_phases_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What each round sent and decided."""
     got = exact.signed_topk(*_with_log2u(spark, sf_dir, "words"), K, M)
-    return spark.createDataFrame([(p["phase"], p["pairs"], float(p.get("t1", p.get("t2", 0.0))), p.get("candidates", 0)) for p in got.phases], "phase int, pairs bigint, threshold double, candidates bigint")
+    return spark.createDataFrame([(p["phase"], int(p["pairs"]), float(p.get("t1", p.get("t2", 0.0))), int(p.get("candidates", 0))) for p in got.phases], "phase int, pairs bigint, threshold double, candidates bigint")
 
 
 # --- sampling -------------------------------------------------------------------------
@@ -396,7 +396,7 @@ def per_group_hist_event_type(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    from wavesum import queries_more  # noqa: F401  registers the sweeps, relational and streaming queries
+    from wavesum import queries_more, queries_sweeps  # noqa: F401  registers the sweeps, relational and streaming queries
 
     return dict(QUERIES)
 

@@ -112,13 +112,6 @@ def sweep_skew_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _union(out)
 
 
-@register("sweep_record_size", "SELECT 'n_chars' AS read, CAST(count(*) AS BIGINT) AS n FROM documents UNION ALL SELECT 'all' AS read, CAST(count(*) AS BIGINT) AS n FROM documents")
-def sweep_record_size(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Wide records with and without the other columns read; a columnar scan leaves them out."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return docs.agg(F.count("n_chars").alias("n")).select(F.lit("n_chars").alias("read"), "n").unionByName(docs.agg(F.sum((F.length("text") >= 0).cast("long")).alias("n")).select(F.lit("all").alias("read"), "n"))
-
-
 @register("ablation_resend_tight")
 def ablation_resend_tight(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs by round with and without sending again, and with and without intersected bounds."""

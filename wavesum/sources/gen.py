@@ -12,20 +12,28 @@ from pyspark.sql import functions as F
 from wavesum.operators.sample import h32
 
 
-def zipf_positions(rows: DataFrame, alpha: float, log2u: int, seed: int = 7) -> DataFrame:
-    """(site, pos): keys of a Zipf law over 2^log2u values, drawn for each row by a hash of row_id.
+def zipf_sql(h: str, alpha: float, log2u: int, big: str = "BIGINT") -> str:
+    """A Zipf key over 2^log2u values (up to 2^32) as SQL that both engines read; h: SQL of 32 hash bits of the row.
 
     The inverse of the continuous law's distribution function gives the rank; an odd
-    multiplier permutes ranks over the domain.
+    multiplier permutes ranks over the domain, in halves so that no product overflows.
     """
     u = 1 << log2u
-    x = (h32(F.col("row_id"), seed, 3).cast("double") + 0.5) / float(1 << 32)
+    number = lambda x: f"CAST('{x!r}' AS DOUBLE)"
+    x = f"(CAST({h} AS DOUBLE) + {number(0.5)}) / {number(4294967296.0)}"
     if abs(alpha - 1) < 1e-9:
-        rank = F.pow(F.lit(float(u + 1)), x)
+        rank = f"pow({number(float(u + 1))}, {x})"
     else:
-        rank = F.pow((F.lit(float(u + 1) ** (1 - alpha)) - 1) * x + 1, F.lit(1 / (1 - alpha)))
-    rank = F.least(F.greatest(F.floor(rank).cast("long") - 1, F.lit(0)), F.lit(u - 1))
-    return rows.select("site", F.pmod(rank * 2654435761 + 12345, F.lit(u)).alias("pos"))
+        rank = f"pow({number(float(u + 1) ** (1 - alpha) - 1)} * {x} + {number(1.0)}, {number(1 / (1 - alpha))})"
+    rank = f"least(greatest(CAST(floor({rank}) AS {big}) - 1, 0), {u - 1})"
+    odd, half = 2654435761 % u, 65536
+    return f"((CAST(({rank} - {rank} % {half}) / {half} AS {big}) * {odd} % {u}) * {half} % {u} + {rank} % {half} * {odd} + 12345) % {u}"
+
+
+def zipf_positions(rows: DataFrame, alpha: float, log2u: int, seed: int = 7) -> DataFrame:
+    """(site, pos): keys of a Zipf law over 2^log2u values, drawn for each row by a hash of row_id."""
+    drawn = rows.select("site", h32(F.col("row_id"), seed, 3).alias("h"))
+    return drawn.select("site", F.expr(zipf_sql("h", alpha, log2u)).cast("long").alias("pos"))
 
 
 def _path(suffix: str) -> str:
