@@ -25,6 +25,46 @@ def test_delimited(spark, unbias):
     assert all(r.record in want and r.length == len(r.record) for r in df)
 
 
+def test_a_split_short_of_records_is_read_through(spark):
+    """One record takes nearly all bytes, so draws hardly ever meet the others."""
+    register_sources(spark)
+    texts = spark.createDataFrame([("x" * 200_000,), *((f"short{i}",) for i in range(30))], "t string").coalesce(1)
+    path = delimited_file(texts)
+    load = lambda n: spark.read.format("delimited_sample").option("path", path).option("p", 1.0).option("n_records", n).load()
+    assert load(31).count() == 31 and load(20).select("offset").distinct().count() == 20
+    assert load(50).count() == 31  # there are no more
+
+
+def test_estimates_of_records_in_a_split():
+    from wavesum.sources.readers import DelimitedReader
+
+    of = lambda stat: DelimitedReader({"path": "x", "stat": stat}).estimated([10, 10, 40], 1200)
+    assert (of("avg"), of("median"), of("min")) == (60, 120, 120)
+    assert DelimitedReader({"path": "x", "n_records": "7"}).estimated([], 1200) == 7
+
+
+def test_min_gap_and_unbiased_lengths(spark):
+    register_sources(spark)
+    texts = spark.createDataFrame([("x" * (400 if i % 2 else 20),) for i in range(400)], "t string").coalesce(1)
+    path = delimited_file(texts)
+    load = lambda **o: spark.read.format("delimited_sample").options(path=path, p="0.2", n_records="400", **o).load()
+    far = sorted((r.offset, r.length) for r in load(min_gap="500").collect())
+    assert len(far) == 80
+    long = {u: load(unbias=u).filter("length > 100").count() for u in ("false", "true")}
+    assert long["false"] > 65 and 25 <= long["true"] <= 55
+
+
+def test_only_drawn_records_are_fetched(spark, tmp_path):
+    from wavesum.sources.readers import FixedReader, files
+
+    path = fixed_file(spark.range(20_000).selectExpr("id AS k").coalesce(1), 100)
+    reader = FixedReader({"path": path, "record": "100", "p": "0.01", "gap": "0"})
+    got = [b for part in reader.partitions() for b in reader.read(part)]
+    assert sum(b.num_rows for b in got) == 200 and reader.bytes_read == 800
+    assert sum(size for _, size in files(path)) == 2_000_000
+    assert all(p == o for b in got for p, o in zip(b.column("pos").to_pylist(), b.column("ordinal").to_pylist()))
+
+
 def test_parquet(spark, tmp_path):
     register_sources(spark)
     path = str(tmp_path / "t")

@@ -7,16 +7,19 @@ median over the rows of its cells' sum of squares, and a search goes down from t
 the groups with the most energy.  Tug-of-war: signed sums over all ids; a coefficient is the
 median over rows of the mean over columns of sign times cell.
 
-Hashes are (a x + b) mod (2^31 - 1) mod B, so cells are the same in any engine; cells of
+Hashes are (a x + b) mod (2^31 - 1) mod B, with another factor for what of x is over the
+prime, so ids of any 62 bits are told apart and cells are the same in any engine; cells of
 sites or parts add up, which is all that merging is.
 """
 
 from __future__ import annotations
 
 import heapq
+from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Fixed: the Mersenne prime of the hashes.
@@ -29,6 +32,24 @@ def coefficients_of(seed: int, count: int) -> list[tuple[int, int]]:
     return [(int(a), int(b)) for a, b in zip(rng.integers(1, PRIME, count), rng.integers(0, PRIME, count), strict=True)]
 
 
+def high(a: int, b: int) -> int:
+    """The factor of the part of an id that is over the prime."""
+    return (a * 48_271 + b) % PRIME or 1
+
+
+def hashed(x, ab: tuple[int, int]):
+    """The hash of numbers (Python or NumPy integers)."""
+    a, b = ab
+    return (x % PRIME * a % PRIME + x // PRIME % PRIME * high(a, b) + b) % PRIME
+
+
+def hash_column(x: Column, ab: tuple[int, int]) -> Column:
+    a, b = ab
+    p = F.lit(PRIME)
+    over = ((x - x % p) / p).cast("long")  # exact: a multiple of the prime under 2^62
+    return (x % p * F.lit(a) % p + over % p * F.lit(high(a, b)) + F.lit(b)) % p
+
+
 class GroupSketch:
     """Shape and hashes of a sketch of a domain of 2^log2u coefficients."""
 
@@ -45,7 +66,7 @@ class GroupSketch:
 
     def cells(self, coefs: DataFrame, value: str = "value", by: tuple[str, ...] = ()) -> DataFrame:
         """(lvl, row, bucket, sub, val) summed over the coefficients (coef_id, value): nonzero cells only."""
-        mod = lambda x, ab: (x * F.lit(ab[0]) + F.lit(ab[1])) % F.lit(PRIME)
+        mod = hash_column
         spots = []
         for level in range(self.levels):
             group = F.call_function("shiftright", F.col("coef_id"), F.lit(self.d * level))
@@ -68,14 +89,14 @@ class GroupSketch:
         return out
 
     def energy(self, grid: np.ndarray, level: int, group: int) -> float:
-        return float(np.median([(grid[level, row, (group * a + b) % PRIME % self.buckets] ** 2).sum() for row in range(ROWS) for a, b in [self.params(level, row)[0]]]))
+        return float(np.median([(grid[level, row, hashed(group, self.params(level, row)[0]) % self.buckets] ** 2).sum() for row in range(ROWS)]))
 
     def point(self, grid: np.ndarray, coef_id: int) -> float:
         est = []
         for row in range(ROWS):
             g, s, t = self.params(0, row)
-            cell = grid[0, row, (coef_id * g[0] + g[1]) % PRIME % self.buckets, (coef_id * s[0] + s[1]) % PRIME % SUBS]
-            est.append((1 - 2 * ((coef_id * t[0] + t[1]) % PRIME % 2)) * cell)
+            cell = grid[0, row, hashed(coef_id, g) % self.buckets, hashed(coef_id, s) % SUBS]
+            est.append((1 - 2 * (hashed(coef_id, t) % 2)) * cell)
         return float(np.median(est))
 
     def top_k(self, grid: np.ndarray, k: int) -> list[tuple[int, float]]:
@@ -107,30 +128,49 @@ class TugOfWar:
         self.columns = max(1, (bytes_total or 20 * 1024 * log2u) // 8 // ROWS)
         self.hash = coefficients_of(seed, 2 * ROWS)
 
-    def _sign(self, coef: Column, row: int, column: Column) -> Column:
-        (a, b), (c, e) = self.hash[2 * row : 2 * row + 2]
-        x = (coef * F.lit(a) + F.lit(b)) % F.lit(PRIME)
-        return F.lit(1) - 2 * (((x + column * F.lit(c) + F.lit(e)) % F.lit(PRIME) * ((x + column) % F.lit(65_521) + 1)) % F.lit(PRIME) % 2)
+    def signs(self, ids: np.ndarray, row: int) -> np.ndarray:
+        """(ids, columns) of +1 and -1."""
+        ab, (c, e) = self.hash[2 * row : 2 * row + 2]
+        x, cols = hashed(ids.astype(np.int64)[:, None], ab), np.arange(self.columns, dtype=np.int64)
+        return 1 - 2 * (((x + cols * c + e) % PRIME * ((x + cols) % 65_521 + 1)) % PRIME % 2)
 
     def cells(self, coefs: DataFrame, value: str = "value") -> DataFrame:
-        """(row, column, val); every coefficient touches every cell, which is why it is the slow one."""
-        out = None
-        for row in range(ROWS):
-            part = coefs.select(F.lit(row).alias("row"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(self.columns - 1).cast("long"))).alias("column"), "coef_id", F.col(value).alias("v"))
-            part = part.groupBy("row", "column").agg(F.sum(F.col("v") * self._sign(F.col("coef_id"), row, F.col("column"))).alias("val"))
-            out = part if out is None else out.unionByName(part)
-        return out
+        """(site, row, column, val): every coefficient touches every cell, which is why it is the slow one.
+
+        Tasks add up their rows' signs in blocks, so what moves is cells, not contributions.
+        """
+        columns = self.columns
+
+        def flush(sums: dict) -> Iterator[pa.RecordBatch]:
+            for site, grid in sums.items():
+                r, c = np.nonzero(grid)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(r), site)), pa.array(r.astype(np.int32)), pa.array(c), pa.array(grid[r, c])], names=["site", "row", "column", "val"])
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            sums: dict[int, np.ndarray] = {}
+            for b in batches:
+                sites, ids, v = (b.column(c).to_numpy(zero_copy_only=False) for c in ("site", "coef_id", "v"))
+                for site in np.unique(sites).tolist():
+                    mine = np.flatnonzero(sites == site)
+                    grid = sums.setdefault(site, np.zeros((ROWS, columns)))
+                    for at in np.array_split(mine, -(-len(mine) // 512)):
+                        for row in range(ROWS):
+                            grid[row] += v[at] @ self.signs(ids[at], row)
+                if len(sums) * ROWS * columns > 1 << 22:
+                    yield from flush(sums)
+                    sums = {}
+            yield from flush(sums)
+
+        parts = coefs.select("site", "coef_id", F.col(value).cast("double").alias("v")).mapInArrow(run, "site bigint, row int, column bigint, val double")
+        return parts.groupBy("site", "row", "column").agg(F.sum("val").alias("val"))
+
+    @staticmethod
+    def merge(cells: DataFrame) -> DataFrame:
+        return cells.groupBy("row", "column").agg(F.sum("val").alias("val"))
 
     def estimate(self, grid: np.ndarray, ids: np.ndarray) -> np.ndarray:
         """Estimates for the given ids; finding the best k means asking for all of them."""
-        cols = np.arange(self.columns, dtype=np.int64)
-        per_row = []
-        for row in range(ROWS):
-            (a, b), (c, e) = self.hash[2 * row : 2 * row + 2]
-            x = (ids.astype(np.int64)[:, None] * a + b) % PRIME
-            sign = 1 - 2 * (((x + cols * c + e) % PRIME * ((x + cols) % 65_521 + 1)) % PRIME % 2)
-            per_row.append((sign * grid[row]).mean(1))
-        return np.median(per_row, axis=0)
+        return np.median([(self.signs(ids, row) * grid[row]).mean(1) for row in range(ROWS)], axis=0)
 
     def load(self, cells: DataFrame) -> np.ndarray:
         out = np.zeros((ROWS, self.columns))
@@ -138,11 +178,19 @@ class TugOfWar:
             out[r.row, r.column] = r.val
         return out
 
-    def top_k(self, grid: np.ndarray, k: int) -> list[tuple[int, float]]:
-        ids = np.arange(1, (1 << self.log2u) + 1)
-        est = np.concatenate([self.estimate(grid, part) for part in np.array_split(ids, max(1, len(ids) // 1024))])
-        order = np.lexsort((ids, -np.abs(est)))[:k]
-        return [(int(ids[i]), float(est[i])) for i in order]
+    def top_k(self, spark: SparkSession, grid: np.ndarray, k: int) -> list[tuple[int, float]]:
+        """All ids of the domain asked by tasks, each sending its best k."""
+        shared = spark.sparkContext.broadcast(grid)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                ids = b.column("id").to_numpy()
+                est = np.concatenate([self.estimate(shared.value, part) for part in np.array_split(ids, max(1, len(ids) // 512))]) if len(ids) else np.zeros(0)
+                order = np.lexsort((ids, -np.abs(est)))[:k]
+                yield pa.RecordBatch.from_arrays([pa.array(ids[order]), pa.array(est[order])], names=["coef_id", "est"])
+
+        best = spark.range(1, (1 << self.log2u) + 1).mapInArrow(run, "coef_id bigint, est double").orderBy(F.abs("est").desc(), "coef_id").limit(k)
+        return [(r.coef_id, r.est) for r in best.collect()]
 
 
 def ship_sketch(local: DataFrame, log2u: int, k: int = 30, kind: str = "group", bytes_total: int | None = None) -> tuple[list[tuple[int, float]], DataFrame]:
@@ -153,7 +201,7 @@ def ship_sketch(local: DataFrame, log2u: int, k: int = 30, kind: str = "group",
         return s.top_k(s.load(s.merge(sent)), k), sent
     s = TugOfWar(log2u, bytes_total)
     sent = s.cells(local)
-    return s.top_k(s.load(sent), k), sent
+    return s.top_k(local.sparkSession, s.load(s.merge(sent)), k), sent
 
 
 def key_updates(local: DataFrame, log2u: int) -> DataFrame:

@@ -134,7 +134,7 @@ def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True,
     phases.append({"phase": 2, "pairs": again, "t1_over_m": reach, "t2": t2, "candidates": size, "down_bytes": 8 * m})
     if stop_after == 2:
         middle = ((F.col("low") + F.col("high")) / 2).alias("value")
-        return TopkResult(left.select("item", middle, "low", "high").orderBy(F.abs("value").desc(), "item").limit(k), phases)
+        return TopkResult(left.select("item", middle, "low", "high").orderBy(F.round(F.abs("value"), 9).desc(), "item").limit(k), phases)
 
     wanted = left.select("item")
     third = state.join(F.broadcast(wanted) if size <= FEW else wanted, "item", "left_semi")

@@ -63,8 +63,9 @@ def sampled(key: KeySpec, m: int, eps: float, seed: int, design: str = "coin") -
     return f"SELECT site, pos FROM (SELECT *, row_number() OVER (PARTITION BY site ORDER BY {h32('row_id', str(seed), '1')}, CAST(row_id AS VARCHAR)) AS rank, round(p * count(*) OVER (PARTITION BY site)) AS take FROM ({rows(key, m, True)}), ({plan(key, m, eps)})) WHERE p >= 1 OR rank <= take"
 
 
-def messages(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin") -> str:
-    s = sampled(key, m, eps, seed, design)
+def messages(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin", drawn: str | None = None) -> str:
+    """drawn: SQL of the sampled (site, pos) records, if they come from elsewhere."""
+    s = drawn or sampled(key, m, eps, seed, design)
     if method == "uniform":
         return f"SELECT site, pos, CAST(1 AS BIGINT) AS cnt FROM ({s})"
     counts = f"SELECT site, pos, CAST(count(*) AS BIGINT) AS scnt FROM ({s}) GROUP BY site, pos"
@@ -75,18 +76,18 @@ def messages(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, desi
     return f"SELECT site, pos, CASE WHEN scnt * weight >= 1 THEN scnt END AS cnt FROM ({counts}), ({plan(key, m, eps)}) WHERE scnt * weight >= 1 OR {h32('site', 'pos', str(seed), '2')} < scnt * weight_coin"
 
 
-def totals(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin") -> str:
-    return f"SELECT pos, CAST(coalesce(sum(cnt), 0) AS BIGINT) AS rho, CAST(sum(CASE WHEN cnt IS NULL THEN 1 ELSE 0 END) AS BIGINT) AS bare FROM ({messages(method, key, m, eps, seed, design)}) GROUP BY pos"
+def totals(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin", drawn: str | None = None) -> str:
+    return f"SELECT pos, CAST(coalesce(sum(cnt), 0) AS BIGINT) AS rho, CAST(sum(CASE WHEN cnt IS NULL THEN 1 ELSE 0 END) AS BIGINT) AS bare FROM ({messages(method, key, m, eps, seed, design, drawn)}) GROUP BY pos"
 
 
-def estimated(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin") -> str:
+def estimated(method: str, key: KeySpec, m: int, eps: float, seed: int = 42, design: str = "coin", drawn: str | None = None) -> str:
     """(coef_id, level, value) estimates, unrounded."""
-    parts = coefs(totals(method, key, m, eps, seed, design), key.log2u, ("rho", "bare"), ("rho", "bare"))
+    parts = coefs(totals(method, key, m, eps, seed, design, drawn), key.log2u, ("rho", "bare"), ("rho", "bare"))
     return f"SELECT coef_id, level, (rho + bare / weight) / p * sqrt(pow(CAST(2 AS DOUBLE), greatest(level, 0) - {key.log2u})) AS value FROM ({parts}), ({plan(key, m, eps)})"
 
 
-def sampled_top(method: str, key: KeySpec, m: int, eps: float, k: int, seed: int = 42, design: str = "coin") -> str:
-    return f"SELECT coef_id, level, value FROM ({estimated(method, key, m, eps, seed, design)}) WHERE round(value, 9) <> 0 ORDER BY round(abs(value), 9) DESC, coef_id LIMIT {k}"
+def sampled_top(method: str, key: KeySpec, m: int, eps: float, k: int, seed: int = 42, design: str = "coin", drawn: str | None = None) -> str:
+    return f"SELECT coef_id, level, value FROM ({estimated(method, key, m, eps, seed, design, drawn)}) WHERE round(value, 9) <> 0 ORDER BY round(abs(value), 9) DESC, coef_id LIMIT {k}"
 
 
 def sse(key: KeySpec, top_sql: str) -> str:
@@ -108,3 +109,22 @@ def coefs_2d(of: str, a: int, b: int, measures: tuple[str, ...] = ("cnt",)) -> s
 def top_2d(of: str, a: int, b: int, k: int) -> str:
     weight = "(greatest(l_1, 0) + greatest(l_2, 0))"
     return f"SELECT c_1, c_2, cnt AS diff, round(CAST(cnt AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), {weight} - {a + b})), 6) AS value FROM ({coefs_2d(of, a, b)}) ORDER BY CAST(cnt AS HUGEINT) * cnt * (CAST(1 AS HUGEINT) << {weight}) DESC, c_1, c_2 LIMIT {k}"
+
+
+def coefs_nd(of: str, log2us: list[int], measures: tuple[str, ...] = ("cnt",)) -> str:
+    """The transform of cells (pos_1 .., measures), an axis at a time."""
+    done: list[str] = []
+    for a, log2u in enumerate(log2us, 1):
+        rest = [f"pos_{b}" for b in range(a + 1, len(log2us) + 1)]
+        sums = ", ".join(f"CAST(sum(CASE WHEN j < 0 OR ((pos_{a} >> greatest({log2u} - j - 1, 0)) & 1) = 1 THEN {x} ELSE -{x} END) AS BIGINT) AS {x}" for x in measures)
+        keep = ", ".join([*done, *rest])
+        of = f"SELECT {keep}{', ' if keep else ''}CASE WHEN j < 0 THEN 1 ELSE (CAST(1 AS BIGINT) << greatest(j, 0)) + (pos_{a} >> ({log2u} - greatest(j, 0))) + 1 END AS c_{a}, j AS l_{a}, {sums} FROM ({of}), (SELECT unnest(range(-1, {log2u})) AS j) GROUP BY ALL"
+        done += [f"c_{a}", f"l_{a}"]
+    return f"SELECT * FROM ({of}) WHERE {' OR '.join(f'{x} <> 0' for x in measures)}"
+
+
+def top_nd(of: str, log2us: list[int], k: int) -> str:
+    axes = range(1, len(log2us) + 1)
+    weight = "(" + " + ".join(f"greatest(l_{a}, 0)" for a in axes) + ")"
+    ids = ", ".join(f"c_{a}" for a in axes)
+    return f"SELECT {ids}, cnt AS diff, round(CAST(cnt AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), {weight} - {sum(log2us)})), 6) AS value FROM ({coefs_nd(of, log2us)}) ORDER BY CAST(cnt AS HUGEINT) * cnt * (CAST(1 AS HUGEINT) << {weight}) DESC, {ids} LIMIT {k}"

@@ -173,23 +173,32 @@ def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]
 # --- the same in SQL ------------------------------------------------------------------
 
 
-def phases_sql(local: str, log2u: int, k: int, m: int) -> str:
-    """(phase, pairs, threshold, candidates) of the threshold rounds over local coefficients (site, coef_id, level, diff)."""
+def phases_sql(local: str, log2u: int, k: int, m: int, tight: bool = True, resend: bool = False, estimates: bool = False) -> str:
+    """(phase, pairs, threshold, candidates) of the threshold rounds over local coefficients (site, coef_id, level, diff).
+
+    estimates: instead of it the (coef_id, value, low, high) that are known after two rounds.
+    """
     near = "(1 - 1e-9)"
+    again, more = ("later", "TRUE") if resend else ("later AND NOT sent", "NOT sent AND NOT later")
+    least, most = (f"least(hi, t1 / {m})", f"greatest(lo, -t1 / {m})") if tight else (f"t1 / {m}", f"-t1 / {m}")
+    last = f"""SELECT CAST(1 AS INTEGER) AS phase, (SELECT count(*) FROM f WHERE sent) AS pairs, round((SELECT t1 FROM t), 6) AS threshold, CAST(0 AS BIGINT) AS candidates
+UNION ALL SELECT 2, (SELECT count(*) FROM g WHERE {again}), round((SELECT t2 FROM t2), 6), (SELECT count(*) FROM w)
+UNION ALL SELECT 3, (SELECT count(*) FROM g JOIN w USING (item) WHERE {more}), 0.0, CAST(0 AS BIGINT)"""
+    if estimates:
+        last = f"SELECT item AS coef_id, round((low + high) / 2, 6) AS value, round(low, 6) AS low, round(high, 6) AS high FROM w ORDER BY round(abs((low + high) / 2), 9) DESC, item LIMIT {k}"
     kth = f"coalesce((SELECT fl FROM (SELECT CASE WHEN low <= 0 AND high >= 0 THEN 0.0 ELSE least(abs(low), abs(high)) END AS fl FROM {{0}}) ORDER BY fl DESC LIMIT 1 OFFSET {k - 1}), 0.0)"
+    t2 = f"greatest(t1, {kth.format('two')})" if tight else kth.format("two")
     return f"""WITH l AS MATERIALIZED (SELECT site, coef_id AS item, CAST(diff AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), greatest(level, 0) - {log2u})) AS v FROM ({local})),
 f AS MATERIALIZED (SELECT *, d <= {k} OR u <= {k} AS sent FROM (SELECT *, row_number() OVER (PARTITION BY site ORDER BY v DESC, item) AS d, row_number() OVER (PARTITION BY site ORDER BY v, item) AS u FROM l)),
 b AS MATERIALIZED (SELECT site, greatest(0.0, coalesce(max(CASE WHEN d = {k} THEN v END), 0.0)) AS hi, least(0.0, coalesce(max(CASE WHEN u = {k} THEN v END), 0.0)) AS lo FROM f GROUP BY site),
 one AS (SELECT item, sum(v) + (SELECT sum(lo) FROM b) - sum(lo) AS low, sum(v) + (SELECT sum(hi) FROM b) - sum(hi) AS high FROM f JOIN b USING (site) WHERE sent GROUP BY item),
 t AS MATERIALIZED (SELECT CAST({kth.format('one')} AS DOUBLE) AS t1),
 g AS MATERIALIZED (SELECT f.*, t1 = 0 OR abs(v) >= t1 / {m} * {near} AS later FROM f, t),
-c AS MATERIALIZED (SELECT site, least(hi, t1 / {m}) AS hi, greatest(lo, -t1 / {m}) AS lo FROM b, t),
+c AS MATERIALIZED (SELECT site, {least} AS hi, {most} AS lo FROM b, t),
 two AS MATERIALIZED (SELECT item, sum(v) + (SELECT sum(lo) FROM c) - sum(lo) AS low, sum(v) + (SELECT sum(hi) FROM c) - sum(hi) AS high FROM g JOIN c USING (site) WHERE sent OR later GROUP BY item),
-t2 AS MATERIALIZED (SELECT greatest(t1, {kth.format('two')}) AS t2 FROM t),
-w AS MATERIALIZED (SELECT item FROM two, t2 WHERE greatest(abs(low), abs(high)) >= t2 * {near})
-SELECT CAST(1 AS INTEGER) AS phase, (SELECT count(*) FROM f WHERE sent) AS pairs, round((SELECT t1 FROM t), 6) AS threshold, CAST(0 AS BIGINT) AS candidates
-UNION ALL SELECT 2, (SELECT count(*) FROM g WHERE later AND NOT sent), round((SELECT t2 FROM t2), 6), (SELECT count(*) FROM w)
-UNION ALL SELECT 3, (SELECT count(*) FROM g JOIN w USING (item) WHERE NOT sent AND NOT later), 0.0, CAST(0 AS BIGINT)"""
+t2 AS MATERIALIZED (SELECT {t2} AS t2 FROM t),
+w AS MATERIALIZED (SELECT item, low, high FROM two, t2 WHERE greatest(abs(low), abs(high)) >= t2 * {near})
+{last}"""
 
 
 def exact_share(key: KeySpec, k: int) -> str:

@@ -130,20 +130,6 @@ def nonneg_topk_partkey(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.nonneg(scores, K, M).items.select("item", "score")
 
 
-@register("approx_topk_words")
-def approx_topk_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two rounds only: middles of the bounds."""
-    got = exact.signed_topk(*_with_log2u(spark, sf_dir, "words"), K, M, stop_after=2)
-    return got.items.select("coef_id", "value", "low", "high")
-
-
-@register("signed_topk_phases_words")
-def signed_topk_phases_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """What each round sent and decided."""
-    got = exact.signed_topk(*_with_log2u(spark, sf_dir, "words"), K, M)
-    return spark.createDataFrame([(p["phase"], int(p["pairs"]), float(p.get("t1", p.get("t2", 0.0))), int(p.get("candidates", 0))) for p in got.phases], "phase int, pairs bigint, threshold double, candidates bigint")
-
-
 # --- sampling -------------------------------------------------------------------------
 
 
@@ -161,9 +147,11 @@ for _design in ("coin", "wor"):
         lambda s, d, x=_design: sampled("uniform", "user", x, 0.02)(s, d).groupBy("site", "pos").agg(F.sum("cnt").alias("cnt"))
     )
 register("uniform_precombine_events", duck.messages("precombine", spec("user"), M, 0.02))(sampled("precombine", "user", eps=0.02))
-for _name, _eps in (("user", 0.02), ("partkey", EPS)):
+for _name, _eps in (("user", 0.02), ("value", 0.02)):
     _label = {"user": "events"}.get(_name, _name)
     register(f"floor_sample_{_label}", duck.messages("floor", spec(_name), M, _eps))(sampled("floor", _name, eps=_eps))
+for _name, _eps in (("user", 0.02), ("partkey", EPS)):
+    _label = {"user": "events"}.get(_name, _name)
     register(f"two_stage_messages_{_label}", duck.messages("two_stage", spec(_name), M, _eps))(sampled("two_stage", _name, eps=_eps))
 
 
@@ -271,6 +259,26 @@ def two_stage_2d(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sample.two_stage_nd(cells, sampling_plan(cells), [8, 6], K).select("c_1", "c_2", F.round("value", 6).alias("value"))
 
 
+CUBE = "SELECT CAST(l_orderkey % 16 AS BIGINT) AS site, CAST(datediff('day', timestamp '1992-01-01', l_shipdate) >> 8 AS BIGINT) AS pos_1, CAST(l_quantity AS BIGINT) >> 2 AS pos_2, CAST(l_linenumber AS BIGINT) AS pos_3 FROM lineitem"
+CUBE_FREQ = f"SELECT pos_1, pos_2, pos_3, CAST(count(*) AS BIGINT) AS cnt FROM ({CUBE}) GROUP BY 1, 2, 3"
+CUBE_SIZE = [4, 4, 3]
+
+
+def cube(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(site, pos_1: 256-day period, pos_2: quantity / 4, pos_3: line number)."""
+    day = F.expr("datediff(l_shipdate, timestamp'1992-01-01')")
+    right = lambda x, n: F.call_function("shiftright", x, F.lit(n)).cast("long")
+    return spark.read.parquet(f"{sf_dir}/lineitem.parquet").select((F.col("l_orderkey") % M).alias("site"), right(day, 8).alias("pos_1"), right(F.col("l_quantity").cast("long"), 2).alias("pos_2"), F.col("l_linenumber").cast("long").alias("pos_3"))
+
+
+def shown_3d(top: DataFrame) -> DataFrame:
+    return top.select("c_1", "c_2", "c_3", "diff", F.round("value", 6).alias("value"))
+
+
+register("ship_counts_3d", duck.top_nd(CUBE_FREQ, CUBE_SIZE, K))(lambda s, d: shown_3d(exact.ship_counts_2d(cube(s, d), CUBE_SIZE, K)))
+register("signed_topk_3d", duck.top_nd(CUBE_FREQ, CUBE_SIZE, K))(lambda s, d: shown_3d(exact.signed_topk_2d(cube(s, d), CUBE_SIZE, K, M).items))
+
+
 # --- costs ----------------------------------------------------------------------------
 
 _part = spec("partkey")
@@ -336,10 +344,19 @@ def sse_of(spark: SparkSession, sf_dir: str, name: str, top: DataFrame) -> DataF
     return accuracy.sse(accuracy.energy(global_freq(df)), true_values(df, log2u), top).select(F.round("sse", 3).alias("sse"))
 
 
-_exact_values = f"SELECT coef_id, CAST(diff AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), greatest(level, 0) - 11)) AS value FROM ({duck.coefs(duck.freq(_part), 11)}) ORDER BY {duck.ENERGY} DESC, coef_id LIMIT {K}"
-register("sse_exact", duck.sse(_part, _exact_values))(lambda s, d: sse_of(s, d, "partkey", exact.ship_counts(*_with_log2u(s, d, "partkey"), K)))
+_user = spec("user")
+_exact_values = f"SELECT coef_id, CAST(diff AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), greatest(level, 0) - {_user.log2u})) AS value FROM ({duck.coefs(duck.freq(_user), _user.log2u)}) ORDER BY {duck.ENERGY} DESC, coef_id LIMIT {K}"
+register("sse_exact", duck.sse(_user, _exact_values))(lambda s, d: sse_of(s, d, "user", exact.ship_counts(*_with_log2u(s, d, "user"), K)))
 for _method in ("two_stage", "floor", "uniform"):
-    register(f"sse_{_method}", duck.sse(_part, duck.sampled_top(_method, _part, M, EPS, K)))(lambda s, d, x=_method: sse_of(s, d, "partkey", sampled_hist(x, "partkey")(s, d)))
+    register(f"sse_{_method}", duck.sse(_user, duck.sampled_top(_method, _user, M, 0.02, K)))(lambda s, d, x=_method: sse_of(s, d, "user", sampled_hist(x, "user", 0.02)(s, d)))
+
+
+@register("recall_samplers", " UNION ALL ".join(f"SELECT '{x}' AS method, round(CAST(count(*) AS DOUBLE) / {K}, 6) AS recall FROM ({duck.sampled_top(x, _user, M, 0.02, K)}) WHERE coef_id IN (SELECT coef_id FROM ({_exact_values}))" for x in ("uniform", "floor", "two_stage")))
+def recall_samplers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Share of the exact best coefficients that each sampler's summary has."""
+    best = exact.ship_counts(*_with_log2u(spark, sf_dir, "user"), K)
+    got = [(x, round(accuracy.recall(sampled_hist(x, "user", 0.02)(spark, sf_dir), best), 6)) for x in ("uniform", "floor", "two_stage")]
+    return spark.createDataFrame(got, "method string, recall double")
 
 
 # --- use of the summary ---------------------------------------------------------------
@@ -372,7 +389,79 @@ def range_count_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(a, b, hist.range_count(a, b)) for a, b in _RANGES], "lo bigint, hi bigint, estimate double").withColumn("estimate", F.round("estimate", 3))
 
 
-@register("balanced_boundaries_shipday")
+_every = f"SELECT p.pos, sum(CASE WHEN coef_id = 1 THEN v WHEN p.pos >= mid AND p.pos < hi THEN v WHEN p.pos >= lo AND p.pos < mid THEN -v ELSE 0 END) AS estimate FROM (SELECT unnest(range(0, 4096)) AS pos) p, ({_terms_sql(_day_top, 12)}) GROUP BY p.pos"
+_running = f"SELECT pos, sum(greatest(estimate, 0)) OVER (ORDER BY pos) AS run, sum(greatest(estimate, 0)) OVER () AS total FROM ({_every})"
+_QUANTILES = (0.01, 0.11, 0.37, 0.52, 0.73, 0.99)
+
+
+def _day_hist(spark: SparkSession, sf_dir: str) -> WaveletHistogram:
+    df, log2u = _with_log2u(spark, sf_dir, "shipday")
+    return WaveletHistogram.of(exact.ship_counts(df, log2u, K), log2u)
+
+
+@register("quantiles_shipday", f"SELECT q, CAST(min(pos) FILTER (WHERE run >= q * total) AS BIGINT) AS pos FROM ({_running}), (SELECT CAST(unnest({list(_QUANTILES)}) AS DOUBLE) AS q) GROUP BY q")
+def quantiles_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quantiles of the key read from the summary's pieces."""
+    hist = _day_hist(spark, sf_dir)
+    return spark.createDataFrame([(q, hist.quantile(q)) for q in _QUANTILES], "q double, pos bigint")
+
+
+@register("selectivity_shipday", f"SELECT lo, hi, round(least(1, greatest(0, estimate / total)), 6) AS share FROM (SELECT r.lo AS lo, r.hi AS hi, sum(e.estimate) FILTER (WHERE e.pos >= r.lo AND e.pos < r.hi) AS estimate, sum(e.estimate) AS total FROM (VALUES {', '.join(f'(CAST({a} AS BIGINT), CAST({b} AS BIGINT))' for a, b in _RANGES)}) r(lo, hi), ({_every}) e GROUP BY r.lo, r.hi)")
+def selectivity_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
+    hist = _day_hist(spark, sf_dir)
+    return spark.createDataFrame([(a, b, hist.selectivity(a, b)) for a, b in _RANGES], "lo bigint, hi bigint, share double").withColumn("share", F.round("share", 6))
+
+
+_flag_key = lambda flag: spec("partkey").at(table=f"(SELECT * FROM lineitem WHERE l_returnflag = '{flag}')")
+_flag_top = lambda flag: f"SELECT coef_id, CAST(diff AS DOUBLE) * sqrt(pow(CAST(2 AS DOUBLE), (CASE WHEN coef_id = 1 THEN 0 ELSE CAST(floor(log2(coef_id - 1)) AS INTEGER) END) - 11)) AS value FROM ({duck.best_k(_flag_key(flag), K)})"
+
+
+def _flag_hist(spark: SparkSession, sf_dir: str, flag: str) -> WaveletHistogram:
+    from wavesum.functions.keys import project
+
+    key = here("partkey", sf_dir)
+    rows_ = project(spark.read.parquet(f"{sf_dir}/lineitem.parquet").filter(F.col("l_returnflag") == flag), key, M)
+    return WaveletHistogram.of(exact.ship_counts(rows_, key.log2u, K), key.log2u)
+
+
+@register("join_size_returned", f"SELECT round(sum(a.value * b.value), 3) AS pairs FROM ({_flag_top('R')}) a JOIN ({_flag_top('A')}) b ON a.coef_id = b.coef_id")
+def join_size_returned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Size of an equi-join on part keys, estimated from two summaries."""
+    a, b = (_flag_hist(spark, sf_dir, x) for x in "RA")
+    return spark.createDataFrame([(a.inner_product(b),)], "pairs double").select(F.round("pairs", 3).alias("pairs"))
+
+
+@register("merged_hist_returned", f"SELECT coef_id, round(sum(value), 6) AS value FROM (SELECT * FROM ({_flag_top('R')}) UNION ALL SELECT * FROM ({_flag_top('A')})) GROUP BY coef_id ORDER BY round(abs(sum(value)), 9) DESC, coef_id LIMIT {K}")
+def merged_hist_returned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The best of two added summaries."""
+    a, b = (_flag_hist(spark, sf_dir, x) for x in "RA")
+    return a.merge(b, K).frame(spark).select("coef_id", F.round("value", 6).alias("value"))
+
+
+@register("saved_hist_shipday", f"SELECT coef_id, value FROM ({_day_top})")
+def saved_hist_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A summary saved as a row of a table, and loaded again."""
+    import uuid
+
+    from wavesum.functions.tables import shared_folder
+
+    path = f"{shared_folder(spark)}/summaries-{uuid.uuid4().hex}"
+    _day_hist(spark, sf_dir).save(spark, path, "shipday")
+    return WaveletHistogram.load(spark, path, "shipday").frame(spark).select("coef_id", F.round("value", 6).alias("value"))
+
+
+@register("support_shipday", f"SELECT coef_id, CAST(CASE WHEN coef_id = 1 THEN 0 ELSE lo END AS BIGINT) AS lo, CAST(CASE WHEN coef_id = 1 THEN 0 ELSE mid END AS BIGINT) AS mid, CAST(CASE WHEN coef_id = 1 THEN 4096 ELSE hi END AS BIGINT) AS hi FROM ({_terms_sql(_day_top, 12)})")
+def support_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Where each kept coefficient lies: half [lo, mid) counts against it, [mid, hi) for it."""
+    df, log2u = _with_log2u(spark, sf_dir, "shipday")
+    at = haar.support(F.col("coef_id"), log2u)
+    return exact.ship_counts(df, log2u, K).select("coef_id", *[at[c].cast("long").alias(c) for c in ("lo", "mid", "hi")])
+
+
+_cut = f"SELECT unnest(range(1, 8)) AS part, unnest([{', '.join(f'(SELECT min(pos) FROM ({_running}) WHERE run >= CAST({i / 8!r} AS DOUBLE) * total) + 1' for i in range(1, 8))}]) AS start"
+
+
+@register("balanced_boundaries_shipday", f"SELECT CAST(part AS INTEGER) AS part, CAST(count(*) AS BIGINT) AS n, CAST(min(pos) AS BIGINT) AS lo, CAST(max(pos) AS BIGINT) AS hi FROM (SELECT r.pos, (SELECT count(*) FROM ({_cut}) WHERE r.pos >= start) AS part FROM ({duck.rows(spec('shipday'), 1)}) r) GROUP BY 1")
 def balanced_boundaries_shipday(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight key ranges from the summary, and how many records each gets."""
     df, log2u = _with_log2u(spark, sf_dir, "shipday")

@@ -112,18 +112,6 @@ def sweep_skew_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _union(out)
 
 
-@register("ablation_resend_tight")
-def ablation_resend_tight(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs by round with and without sending again, and with and without intersected bounds."""
-    df, log2u = _with_log2u(spark, sf_dir, "value")
-    out = []
-    for resend in (False, True):
-        for tight in (False, True):
-            got = exact.signed_topk(df, log2u, K, M, resend=resend, tight=tight)
-            out += [(resend, tight, p["phase"], int(p["pairs"])) for p in got.phases]
-    return spark.createDataFrame(out, "resend boolean, tight boolean, phase int, pairs bigint")
-
-
 @register("cost_vs_sse")
 def cost_vs_sse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes sent and squared error of samplers over eps and of the sketch over its size."""
@@ -339,35 +327,147 @@ def stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run_windows(read(spark, sf_dir, _EV).select("event_id", "ts", "event_type"), _scratch(spark, "stream"))
 
 
-@register("seek_sample_fixed")
+@register("stream_sliding", "SELECT start, event_type, CAST(count(*) AS BIGINT) AS n FROM (SELECT time_bucket(INTERVAL '12 hours', ts, TIMESTAMP '1970-01-01') - CAST(o AS INTEGER) * INTERVAL '12 hours' AS start, event_type FROM events, (SELECT unnest([0, 1]) AS o)) GROUP BY 1, 2")
+def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One-day windows every twelve hours over a file stream."""
+    from wavesum.streaming.streams import run_sliding
+
+    return run_sliding(read(spark, sf_dir, _EV).select("event_id", "ts", "event_type"), _scratch(spark, "stream"))
+
+
+@register("stream_sessions", "SELECT user_id, min(ts) AS start, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL '6 hours' THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, session")
+def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sessions of a user, closed by six hours without an event."""
+    from wavesum.streaming.streams import run_sessions
+
+    return run_sessions(read(spark, sf_dir, _EV).select("event_id", "ts", "user_id"), _scratch(spark, "stream"))
+
+
+@register("stream_deduplicated", "SELECT event_id, user_id FROM events")
+def stream_deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events that all come twice, once each."""
+    from wavesum.streaming.streams import run_deduplicated
+
+    events = read(spark, sf_dir, _EV).select("event_id", "ts", "user_id")
+    return run_deduplicated(events.unionByName(events), _scratch(spark, "stream")).select("event_id", "user_id")
+
+
+@register("stream_stateful_counts", duck.freq(spec("user")))
+def stream_stateful_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts by key kept by a stateful operator."""
+    from wavesum.streaming.streams import run_state
+
+    return run_state(read(spark, sf_dir, _EV).select("event_id", "ts", F.col("user_id").alias("pos")), _scratch(spark, "stream"))
+
+
+@register("stream_late_rows")
+def stream_late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily counts with a watermark of a day: what later files bring for passed days is left out."""
+    from wavesum.streaming.streams import run_late
+
+    return run_late(read(spark, sf_dir, _EV).select("event_id", "ts", "event_type"), _scratch(spark, "stream"))
+
+
+#: Bytes of a split of the fixture files, so that the given tables have several.
+_FIXED_SPLIT, _TEXT_SPLIT = 32_768, 262_144
+
+
+def _drawn_sql(numbered: str, site: str, ordinal: str, p: str) -> str:
+    """The drawn records of a relation with its site and the record's number in it."""
+    from wavesum.sources.readers import mix_sql
+
+    return f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY {site} ORDER BY {mix_sql(ordinal, site, 42)}, {ordinal}) AS drawn, floor({p} * count(*) OVER (PARTITION BY {site}) + 0.5) AS take FROM ({numbered})) WHERE drawn <= take"
+
+
+_lines_sql = "SELECT CAST((o - o % 8192) / 8192 AS BIGINT) AS site, o, o % 8192 AS i, l_partkey AS pos FROM (SELECT row_number() OVER () - 1 AS o, l_partkey FROM lineitem)"
+
+
+@register("seek_sample_fixed", f"SELECT site, o AS ordinal, CAST(pos AS BIGINT) AS pos FROM ({_drawn_sql(_lines_sql, 'site', 'i', '0.05')})")
 def seek_sample_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A share of the records of a fixed-length file by seeking: exact sizes, no scan."""
+    return _fixed_records(spark, sf_dir, 0.05)
+
+
+def _fixed_records(spark: SparkSession, sf_dir: str, p: float) -> DataFrame:
     from wavesum.sources.gen import fixed_file
     from wavesum.sources.readers import register_sources
 
     register_sources(spark)
     path = fixed_file(read(spark, sf_dir, _LINE).select("l_partkey"), 4)
-    return spark.read.format("fixed_sample").option("path", path).option("record", 4).option("p", 0.05).option("split", 32_768).load()
+    return spark.read.format("fixed_sample").option("path", path).option("record", 4).option("p", p).option("split", _FIXED_SPLIT).load()
+
+
+_text_sql = "SELECT row_number() OVER () - 1 AS r, octet_length(encode(replace(coalesce(text, ''), chr(10), ' '))) AS n FROM documents"
+_text_sql = f"SELECT start, start + n + 5 AS stop, n, CAST((start - start % {_TEXT_SPLIT}) / {_TEXT_SPLIT} AS BIGINT) AS site FROM (SELECT *, CAST(sum(n + 5) OVER (ORDER BY r) - n - 5 AS BIGINT) AS start FROM ({_text_sql}))"
+_WANTED = 5
 
 
-@register("seek_sample_delimited")
+def _hits_sql() -> str:
+    from wavesum.sources.readers import mix_sql
+
+    whole = f"SELECT *, (SELECT max(stop) FROM ({_text_sql})) AS total FROM (SELECT DISTINCT site FROM ({_text_sql}))"
+    span = f"least({_TEXT_SPLIT}, total - site * {_TEXT_SPLIT})"
+    tries = f"SELECT site, t, CAST(site * {_TEXT_SPLIT} + ({mix_sql('t', 'site', 42)} * CAST({span} AS UBIGINT) >> 32) AS BIGINT) AS byte FROM ({whole}), (SELECT unnest(range(0, 300)) AS t)"
+    first = f"SELECT d.site, d.start, any_value(d.n) AS n, min(t) AS t FROM ({tries}) x JOIN ({_text_sql}) d ON d.site = x.site AND x.byte >= d.start AND x.byte < d.stop GROUP BY d.site, d.start"
+    return f"SELECT CAST(start AS BIGINT) AS \"offset\", CAST(n AS BIGINT) AS length FROM (SELECT *, row_number() OVER (PARTITION BY site ORDER BY t) AS hit FROM ({first})) WHERE hit <= {_WANTED}"
+
+
+@register("seek_sample_delimited", _hits_sql())
 def seek_sample_delimited(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Records of varying length found from random bytes by their trailing length."""
+    """Records of varying length found from random bytes by their trailing length: five of each split."""
     from wavesum.sources.gen import delimited_file
     from wavesum.sources.readers import register_sources
 
     register_sources(spark)
     path = delimited_file(read(spark, sf_dir, "documents.parquet").select("text"))
-    return spark.read.format("delimited_sample").option("path", path).option("p", 0.05).option("split", 524_288).load().select("offset", "length")
+    return spark.read.format("delimited_sample").option("path", path).option("p", 0.1).option("n_records", 10 * _WANTED).option("split", _TEXT_SPLIT).load().select("offset", "length")
+
+
+_rows_sql = "SELECT 0 AS site, row_number() OVER () - 1 AS o, l_partkey AS pos FROM lineitem"
 
 
-@register("parquet_ordinal_sample")
+@register("parquet_ordinal_sample", f"SELECT CAST(site AS BIGINT) AS site, o AS ordinal, CAST(pos AS BIGINT) AS pos FROM ({_drawn_sql(_rows_sql, 'site', 'o', '0.05')})")
 def parquet_ordinal_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows of a Parquet file by ordinal, row groups without one left out, the key column only."""
+    return _parquet_records(spark, sf_dir, 0.05)
+
+
+def _parquet_records(spark: SparkSession, sf_dir: str, p: float) -> DataFrame:
     from wavesum.sources.readers import register_sources
 
     register_sources(spark)
-    return spark.read.format("parquet_ordinal_sample").option("path", f"{sf_dir}/{_LINE}").option("column", "l_partkey").option("p", 0.05).load()
+    return spark.read.format("parquet_ordinal_sample").option("path", f"{sf_dir}/{_LINE}").option("column", "l_partkey").option("p", p).load()
+
+
+def _seek_top_sql(method: str, numbered: str, ordinal: str, m: int) -> str:
+    p = f"(SELECT p FROM ({duck.plan(_part, m, 0.02)}))"
+    drawn = f"SELECT CAST(site AS BIGINT) AS site, CAST(pos AS BIGINT) AS pos FROM ({_drawn_sql(numbered, 'site', ordinal, p)})"
+    return f"SELECT coef_id, level, round(value, 6) AS value FROM ({duck.sampled_top(method, _part, m, 0.02, K, drawn=drawn)})"
+
+
+for _method in ("precombine", "two_stage"):
+
+    @register(f"{_method}_hist_seek_fixed", _seek_top_sql(_method, _lines_sql, "i", 8))
+    def seek_fixed_hist(spark: SparkSession, sf_dir: str, method: str = _method) -> DataFrame:
+        """A summary from a fixed-length file: n follows from its length, and only drawn records are fetched."""
+        n = read(spark, sf_dir, _LINE).count()  # as the file's length over the record's
+        plan = sample.Plan(n, -(-n * 4 // _FIXED_SPLIT), 0.02)
+        return _seek_hist(method, _fixed_records(spark, sf_dir, plan.p), plan, here("partkey", sf_dir).log2u)
+
+    @register(f"{_method}_hist_seek_parquet", _seek_top_sql(_method, _rows_sql, "o", 1))
+    def seek_parquet_hist(spark: SparkSession, sf_dir: str, method: str = _method) -> DataFrame:
+        """A summary from Parquet ordinals: n and the row groups' sizes come from the footers."""
+        from wavesum.sources.readers import ParquetOrdinalReader
+
+        parts = ParquetOrdinalReader({"path": f"{sf_dir}/{_LINE}", "column": "l_partkey"}).partitions()
+        plan = sample.Plan(sum(x.hi for x in parts), len(parts), 0.02)
+        return _seek_hist(method, _parquet_records(spark, sf_dir, plan.p), plan, here("partkey", sf_dir).log2u)
+
+
+def _seek_hist(method: str, drawn: DataFrame, plan: sample.Plan, log2u: int) -> DataFrame:
+    counts = sample.sample_freq(drawn)
+    sent = sample.two_stage_messages(counts, plan) if method == "two_stage" else counts.withColumnRenamed("scnt", "cnt")
+    return sample.best_k(sample.coefficients(sample.totals(sent), plan, log2u), K).select("coef_id", "level", F.round("value", 6).alias("value"))
 
 
 @register("bounds_worked_sizes")

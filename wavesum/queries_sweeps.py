@@ -126,7 +126,7 @@ def bandwidth_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
 for _name in ("words", "value", "partkey"):
     _key = spec(_name)
 
-    @register(f"rounds_{_name}", phases_sql(experiments.duck.coefs(experiments.duck.local(_key, M), _key.log2u, by="site"), _key.log2u, K, M))
+    @register("signed_topk_phases_words" if _name == "words" else f"rounds_{_name}", phases_sql(experiments.duck.coefs(experiments.duck.local(_key, M), _key.log2u, by="site"), _key.log2u, K, M))
     def rounds(spark: SparkSession, sf_dir: str, name: str = _name) -> DataFrame:
         """What each round sends, its threshold, and how many candidates are left."""
         from wavesum.operators import exact
@@ -137,6 +137,38 @@ for _name in ("words", "value", "partkey"):
         return spark.createDataFrame([(p["phase"], int(p["pairs"]), round(float(p.get("t1", p.get("t2", 0.0))), 6), int(p.get("candidates", 0))) for p in got.phases], "phase int, pairs bigint, threshold double, candidates bigint")
 
 
+@register("approx_topk_words", phases_sql(experiments.duck.coefs(experiments.duck.local(spec("words"), M), spec("words").log2u, by="site"), spec("words").log2u, K, M, estimates=True))
+def approx_topk_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two rounds only: middles of the bounds."""
+    from wavesum.operators import exact
+    from wavesum.operators.freq import rows
+
+    key = here("words", sf_dir, spark)
+    got = exact.signed_topk(rows(spark, sf_dir, key, M), key.log2u, K, M, stop_after=2)
+    return got.items.select("coef_id", *[F.round(c, 6).alias(c) for c in ("value", "low", "high")])
+
+
+def _ablation_sql() -> str:
+    key = spec("value")
+    local = experiments.duck.coefs(experiments.duck.local(key, M), key.log2u, by="site")
+    return " UNION ALL ".join(f"SELECT {resend} AS resend, {tight} AS tight, phase, pairs FROM ({phases_sql(local, key.log2u, K, M, tight, resend)})" for resend in (False, True) for tight in (False, True))
+
+
+@register("ablation_resend_tight", _ablation_sql())
+def ablation_resend_tight(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs by round with and without sending again, and with and without intersected bounds."""
+    from wavesum.operators import exact
+    from wavesum.operators.freq import rows
+
+    key, out = here("value", sf_dir, spark), []
+    df = rows(spark, sf_dir, key, M)
+    for resend in (False, True):
+        for tight in (False, True):
+            got = exact.signed_topk(df, key.log2u, K, M, resend=resend, tight=tight)
+            out += [(resend, tight, p["phase"], int(p["pairs"])) for p in got.phases]
+    return spark.createDataFrame(out, "resend boolean, tight boolean, phase int, pairs bigint")
+
+
 # seconds of every method by itself, and the sketch beside them: nothing that SQL could repeat
 for _name in ("partkey", "value"):
 

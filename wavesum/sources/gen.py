@@ -1,11 +1,12 @@
-"""Files and keys made from the given tables, for tests and experiments on one machine."""
+"""Files and keys made from the given tables, for tests and experiments."""
 
 from __future__ import annotations
 
-import os
 import struct
-import tempfile
+import uuid
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,29 +37,49 @@ def zipf_positions(rows: DataFrame, alpha: float, log2u: int, seed: int = 7) ->
     return drawn.select("site", F.expr(zipf_sql("h", alpha, log2u)).cast("long").alias("pos"))
 
 
-def _path(suffix: str) -> str:
-    fd, path = tempfile.mkstemp(suffix=suffix)
-    os.close(fd)
+def _written(df: DataFrame, path: str | None, kind: str, pack) -> str:
+    """A folder of files, one from each partition in order, through any file system that Arrow can open; a retried task overwrites its own."""
+    from wavesum.functions.tables import shared_folder
+    from wavesum.sources.readers import file_system
+
+    path = path or f"{shared_folder(df.sparkSession)}/{kind}-{uuid.uuid4().hex}"
+    store, inner = file_system(path)
+    store.create_dir(inner, recursive=True)
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        store, inner = file_system(path)
+        n = 0
+        with store.open_output_stream(f"{inner}/part-{TaskContext.get().partitionId():08d}.{kind}") as f:
+            for b in batches:
+                f.write(pack(b.column(0)))
+                n += b.num_rows
+        yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], names=["n"])
+
+    df.mapInArrow(run, "n bigint").agg(F.sum("n")).collect()
     return path
 
 
 def fixed_file(keys: DataFrame, record: int = 4, path: str | None = None) -> str:
-    """Records of `record` bytes, the key as 4 bytes and the rest zeros, row by row through the driver: a fixture for one machine."""
-    path = path or _path(".bin")
-    with open(path, "wb") as f:
-        for r in keys.toLocalIterator(prefetchPartitions=True):
-            f.write(struct.pack("<i", r[0]).ljust(record, b"\0"))
-    return path
+    """Records of `record` bytes in a folder, the key as 4 bytes and the rest zeros."""
+
+    def pack(column: pa.Array) -> bytes:
+        out = np.zeros((len(column), record), np.uint8)
+        out[:, :4] = column.to_numpy(zero_copy_only=False).astype("<i4").view(np.uint8).reshape(-1, 4)
+        return out.tobytes()
+
+    return _written(keys, path, "bin", pack)
 
 
 def delimited_file(texts: DataFrame, path: str | None = None) -> str:
-    """Each text, its length in 4 bytes and a newline: a fixture for one machine."""
-    path = path or _path(".txt")
-    with open(path, "wb") as f:
-        for r in texts.toLocalIterator(prefetchPartitions=True):
-            raw = (r[0] or "").replace("\n", " ").encode()
-            f.write(raw + struct.pack("<i", len(raw)) + b"\n")
-    return path
+    """Each text (newlines as blanks, null as nothing), its length in 4 bytes and a newline, in a folder."""
+
+    def pack(column: pa.Array) -> bytes:
+        raw = [(t or "").replace("\n", " ").encode() for t in column.to_pylist()]
+        return b"".join(r + struct.pack("<i", len(r)) + b"\n" for r in raw)
+
+    return _written(texts, path, "txt", pack)
 
 
 def splits_parquet(df: DataFrame, path: str, files: int = 16, rows_per_group: int = 1_000) -> str:

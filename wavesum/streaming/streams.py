@@ -92,6 +92,36 @@ def run_windows(events: DataFrame, folder: str) -> DataFrame:
     return got.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
 
 
+def run_sliding(events: DataFrame, folder: str) -> DataFrame:
+    stream = source(events, folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    got = _final(windows(stream, "event_type", late="3650 days", size="1 day", slide="12 hours"), "complete", folder)
+    return got.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+def run_sessions(events: DataFrame, folder: str, gap: str = "6 hours") -> DataFrame:
+    stream = source(events, folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    got = _final(sessions(stream, "user_id", gap, late="3650 days"), "complete", folder)
+    return got.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+def run_deduplicated(events: DataFrame, folder: str) -> DataFrame:
+    stream = source(events, folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    return _final(deduplicated(stream, late="3650 days"), "append", folder).drop("epoch")
+
+
+def run_state(events: DataFrame, folder: str) -> DataFrame:
+    """The last total of each key from the stateful operator's updates."""
+    got = _final(running_counts_with_state(source(events, folder)), "update", folder)
+    return got.groupBy("pos").agg(F.max("total").alias("cnt"))
+
+
+def run_late(events: DataFrame, folder: str, late: str = "1 day") -> DataFrame:
+    """Daily counts of a stream in which rows of windows that the watermark has passed are dropped."""
+    stream = source(events, folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    got = _final(windows(stream, "event_type", late=late), "update", folder)
+    return got.groupBy(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type").agg(F.max("n").alias("n"))
+
+
 def run_coefs(events: DataFrame, log2u: int, folder: str) -> DataFrame:
     stream = source(events, folder)
     finish(stream.writeStream.option("checkpointLocation", f"{folder}/checkpoint").foreachBatch(coefficient_sink(log2u, f"{folder}/state")).start())
