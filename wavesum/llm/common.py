@@ -44,9 +44,23 @@ def shared_dir(spark: SparkSession) -> str:
     return _own
 
 
+#: Tables that this process has written and not removed.
+_tables: list[str] = []
+
+
+def cleanup(spark: SparkSession) -> int:
+    """Removes the tables that `written` has made; to be called when nothing that reads them is wanted any more."""
+    gone = 0
+    while _tables:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_tables.pop())
+        gone += path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return gone
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a table in the shared folder, read back: computed once, and safe if executors go."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    _tables.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

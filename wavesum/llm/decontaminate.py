@@ -11,7 +11,9 @@ distance floor(0.3 n).
    bit of the current word, so sequences at a small edit distance get embeddings at a small
    Hamming distance.  There are WALKS walks, and from each a number of tables that sample a
    few of its 3n steps; equal samples make a candidate.  The number of tables is the least
-   power of two that finds the target share of items with k random edits.
+   power of two that finds the target share of items with k random edits; for a length that
+   no number up to the largest does it for (very short items), every item that shares a word
+   pair with a window, or is its one word, is a candidate, which loses nothing.
 3. Every candidate is verified by the exact edit distance of the item to the best part of
    the text around the window.
 """
@@ -28,11 +30,13 @@ from pyspark.sql import functions as F
 from wavesum.llm.common import LOWER, blocks, flat, spread, word_spans
 from wavesum.llm.repeats import mixed, span_hashes
 
-SHARE, RECALL, SAMPLED, LEAST_WORDS = 0.3, 0.99, 3, 5
+SHARE, RECALL, SAMPLED = 0.3, 0.99, 3
+#: The pipeline's filter: an item of fewer words is found, but is no reason to drop a document.
+TELLING_WORDS = 5
 WALKS = 6
 GATHER = 2_000_000
-#: Items are broadcast in groups of at most so many bytes of text.
-ITEM_BYTES = 32 << 20
+#: Items are broadcast in groups of at most so many bytes of text and so many items: an item's keys take 6 kB at most.
+ITEM_BYTES, ITEMS = 8 << 20, 1 << 14
 PAD = np.uint64(0x5851F42D4C957F2D)
 
 #: ASCII punctuation counts as a blank at a word's edges and inside it alike.
@@ -72,12 +76,19 @@ class Items:
         self.symbols, by = plain_words(pa.array(texts, pa.string()))
         self.ids, self.begin, self.length = ids, by[:-1].copy(), np.diff(by)
         self.classes = {}
-        for n in np.unique(self.length[self.length >= LEAST_WORDS]).tolist():
+        for n in np.unique(self.length[self.length > 0]).tolist():
             rows = np.flatnonzero(self.length == n)
-            self.classes[n] = {"rows": rows, "pairs": np.unique(np.concatenate([pair_hash(self.symbols[b : b + n]) for b in self.begin[rows]]))}
+            self.classes[n] = {"rows": rows, "pairs": np.unique(np.concatenate([np.zeros(0, np.uint64), *(pair_hash(self.symbols[b : b + n]) for b in self.begin[rows])]))}
             # repeated pairs of an item count once, as they do in a window
             self.classes[n]["need"] = max(1, min(len(np.unique(pair_hash(self.symbols[b : b + n]))) for b in self.begin[rows]) - 2 * allowed(n))
-            self.classes[n]["tables"] = self.tables(rows, n)
+            self.classes[n]["tables"] = self.tables(rows, n) if n > 1 else None
+            # each pair (or the one word) with the items that have it
+            own = [np.unique(pair_hash(self.symbols[b : b + n]) if n > 1 else self.symbols[b : b + 1]) for b in self.begin[rows]]
+            pair, item = np.concatenate(own), np.repeat(rows, [len(x) for x in own])
+            order = np.argsort(pair, kind="stable")
+            self.classes[n]["having"] = pair[order], item[order]
+            if n == 1:
+                self.classes[n]["need"] = 1
         self.pairs = np.unique(np.concatenate([c["pairs"] for c in self.classes.values()])) if self.classes else np.zeros(0, np.uint64)
         self.screen = np.zeros(1 << 20, bool)
         self.screen[(self.pairs >> np.uint64(44)).astype(np.int64)] = True
@@ -99,8 +110,8 @@ class Items:
             offs.append(len(words))
         return np.array(words, np.uint64), np.array(offs)
 
-    def tables(self, rows: np.ndarray, n: int, trials: int = 128) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-        """(seed, sampled steps of each table, sorted keys of all tables, their items) of each walk."""
+    def tables(self, rows: np.ndarray, n: int, trials: int = 128) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]] | None:
+        """(seed, sampled steps of each table, sorted keys of all tables, their items) of each walk; None if they miss the target."""
         every = np.arange(3 * n)
         own = [walk(self.symbols, self.begin[rows], self.length[rows], seed, every) for seed in range(WALKS)]
         words, offs = self.edited(rows, n, trials)
@@ -113,6 +124,8 @@ class Items:
                 met |= (keys_of(a, s)[item] == keys_of(b, s)).any(1)
             if met.mean() >= RECALL:
                 break
+        else:
+            return None
         out = []
         for seed, (s, a) in enumerate(zip(steps, own, strict=True)):
             keys = keys_of(a, s).ravel()
@@ -121,12 +134,17 @@ class Items:
         return out
 
     def candidates(self, symbols: np.ndarray, start: np.ndarray, length: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-        """(window, item) rows that fall together in some table."""
+        """(window, item) rows that fall together in some table, or without tables those that share a pair."""
         found = [np.zeros((0, 2), np.int64)]
-        for seed, steps, keys, rows in self.classes[n]["tables"]:
-            mine = keys_of(walk(symbols, start, length, seed, np.arange(int(steps.max()) + 1)), steps)
-            window = np.repeat(np.arange(len(start)), steps.shape[0])
-            mine = mine.ravel()
+        for seed, steps, keys, rows in self.classes[n]["tables"] or [(None, None, *self.classes[n]["having"])]:
+            if steps is None:
+                size = np.maximum(length - (n > 1), 0)
+                at, _ = spread(size, start, np.arange(len(start)))
+                window = np.repeat(np.arange(len(start)), size)
+                mine = mixed(symbols[at] * np.uint64(0x9E3779B97F4A7C15) + symbols[at + 1]) if n > 1 else symbols[at]
+            else:
+                mine = keys_of(walk(symbols, start, length, seed, np.arange(int(steps.max()) + 1)), steps).ravel()
+                window = np.repeat(np.arange(len(start)), steps.shape[0])
             lo, hi = np.searchsorted(keys, mine), np.searchsorted(keys, mine, side="right")
             hit = np.flatnonzero(hi > lo)
             lo, size = lo[hit], (hi - lo)[hit]
@@ -169,6 +187,10 @@ def best_part(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
 
 def windows(items: Items, symbols: np.ndarray, docs: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
     """For each item length, the first words of the windows that pass the screen, ascending."""
+    if 1 in items.classes:
+        first = np.flatnonzero(np.isin(symbols, items.classes[1]["having"][0]))
+        if len(first):
+            yield 1, first
     if len(symbols) < 2 or not items.classes:
         return
     pair = pair_hash(symbols)
@@ -180,6 +202,8 @@ def windows(items: Items, symbols: np.ndarray, docs: np.ndarray) -> Iterator[tup
     hit = hit[items.pairs[at] == pair[hit]]
     value = pair[hit]
     for n, c in items.classes.items():
+        if n == 1:
+            continue
         mine = np.isin(value, c["pairs"])
         p, v, t = hit[mine], value[mine], c["need"]
         if len(p) < t:
@@ -272,11 +296,13 @@ def verified(items: Items, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[
         yield rows, [], matches(items, np.concatenate(words), np.concatenate(offs))
 
 
-def benchmark_items(benchmark: DataFrame) -> list[Items]:
-    """The items on the driver, in groups of bounded size; null or empty items match nothing."""
+def benchmark_items(benchmark: DataFrame, least_words: int = 1) -> list[Items]:
+    """The items on the driver, in groups of bounded size; null items, and those of fewer words, match nothing."""
     groups, size = [([], [])], 0
     for r in benchmark.select("item_id", "text").filter("text is not null").orderBy("item_id").toLocalIterator():
-        if size + len(r.text) > ITEM_BYTES:
+        if least_words > 1 and plain_words(pa.array([r.text]))[1][-1] < least_words:
+            continue
+        if size + len(r.text) > ITEM_BYTES or len(groups[-1][0]) >= ITEMS:
             groups.append(([], []))
             size = 0
         groups[-1][0].append(r.item_id)
@@ -288,9 +314,9 @@ def benchmark_items(benchmark: DataFrame) -> list[Items]:
 def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id, first_word, end_word, distance: one row for each verified part of a document.
 
-    Words are counted after punctuation is blanked.  Items of under 5 words are not
-    searched; null texts match nothing; repeated rows are reported each; empty tables give
-    an empty result.
+    Words are counted after punctuation is blanked.  Items of any length are searched, those
+    without a word match nothing; null texts match nothing; repeated rows are reported each;
+    a text of any length is searched whole; empty tables give an empty result.
     """
     spark, schema = docs.sparkSession, "doc_id bigint, item_id bigint, first_word bigint, end_word bigint, distance bigint"
     out = spark.createDataFrame([], schema)
@@ -310,9 +336,13 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     return out
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The documents that no item contaminates, in one scan for each group of items."""
-    for group in benchmark_items(benchmark):
+def decontaminate(docs: DataFrame, benchmark: DataFrame, least_words: int = TELLING_WORDS) -> DataFrame:
+    """The documents that no item of at least `least_words` words contaminates, in one scan for each group of items.
+
+    All columns are kept, whatever their names; null and empty texts stay; repeated rows stay
+    or go together; without items or documents, documents come back as they are.
+    """
+    for group in benchmark_items(benchmark, least_words):
         shared = docs.sparkSession.sparkContext.broadcast(group)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:

@@ -91,16 +91,19 @@ def covering_masks(radius: int) -> list[int]:
 
 
 def fingerprint_links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """(x, y): pairs of fingerprints whose components are those of all pairs within the radius (0 to 2).
+    """(x, y): pairs of fingerprints whose components are those of all pairs within the radius.
 
-    distinct: (fp), each value once.
+    distinct: (fp), each value once.  Up to radius 2 nothing is compared pairwise; beyond it a
+    bucket is searched by one task, from fingerprint to fingerprint, and what is linked isn't
+    compared again.
     """
-    if radius > 2:
-        raise ValueError("links are made for radius 0 to 2")
     masks = covering_masks(radius)
     keyed = distinct.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(signed(m)).cast("long")) for m in masks])).alias("mask", "key"))
     shared = keyed.groupBy("mask", "key").agg(F.count("*").alias("n")).filter("n > 1").select("mask", "key")
     inside = keyed.join(shared, ["mask", "key"]).select("mask", "fp")
+    if radius > 2:
+        linked = inside.groupBy("mask", F.col("fp").bitwiseAND(F.element_at(F.array(*[F.lit(signed(m)).cast("long") for m in masks]), F.col("mask") + 1)).alias("key"))
+        return linked.applyInArrow(lambda t: near_chains(t, radius), "x bigint, y bigint").distinct()
     outside = F.array(*[F.array(*[F.lit(signed(1 << b)).cast("long") for b in range(64) if radius == 2 and not m >> b & 1] or [F.lit(0).cast("long")]) for m in masks])
     one = F.lit(0).cast("long")
     if radius == 1:  # one flip on one side is enough: each with its flips, but only originals receive
@@ -112,6 +115,22 @@ def fingerprint_links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     return meet.select(F.explode("all").alias("x"), F.array_min("all").alias("y")).filter("x <> y").distinct()
 
 
+def near_chains(bucket: pa.Table, radius: int) -> pa.Table:
+    """Links of a bucket's fingerprints under which those within the radius of each other are together."""
+    left = np.sort(bucket.column("fp").to_numpy().view(np.uint64))
+    x, y = [np.zeros(0, np.uint64)], [np.zeros(0, np.uint64)]
+    while len(left):
+        queue, left = [left[0]], left[1:]
+        while queue and len(left):
+            one = queue.pop()
+            near = np.bitwise_count(left ^ one) <= radius
+            x.append(left[near])
+            y.append(np.full(int(near.sum()), one))
+            queue += list(left[near])
+            left = left[~near]
+    return pa.table([pa.array(np.concatenate(z).view(np.int64)) for z in (x, y)], names=["x", "y"])
+
+
 def near_components(docs: DataFrame, words: int = WORDS, radius: int = RADIUS) -> DataFrame:
     """doc_id, fingerprint, component_id of every document.
 
