@@ -23,9 +23,23 @@ def shared_folder(spark: SparkSession) -> str:
     return _local[0]
 
 
+#: Tables that this process has written and not removed.
+_tables: list[str] = []
+
+
+def cleanup(spark: SparkSession) -> int:
+    """Removes the tables that `materialize` has made; to be called when nothing that reads them is wanted any more."""
+    gone = 0
+    while _tables:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_tables.pop())
+        gone += path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return gone
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """df written to the shared folder and read back: later rounds don't compute it again, and lost executors don't matter."""
     path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    _tables.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

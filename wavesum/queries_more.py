@@ -541,10 +541,11 @@ def coef_variance_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     df, key = keyed(spark, sf_dir, "user", row_id=True)
     plan = sampling_plan(df, eps=0.02)
     counts = sample.sample_freq(sample.level1(df, plan))
-    n = counts.agg(F.sum("scnt")).first()[0] or 0
     runs = [sample.coefficients(sample.totals(sample.two_stage_messages(counts, plan, seed=s)), plan, key.log2u) for s in range(10)]
-    whole = coef_variance(runs)
-    return whole.select("coef_id", "variance", F.lit(float(coefficient_variance_bound(n, plan.n, plan.m, plan.eps, 0, key.log2u))).alias("bound"))
+    # each coefficient's own support in the sample
+    inside = counts.groupBy("pos").agg(F.sum("scnt").alias("cnt")).select(*haar.contributions(key.log2u, F.col("pos"), F.col("cnt"))).groupBy(F.col("c.coef_id").alias("coef_id"), F.greatest(F.col("c.level"), F.lit(0)).alias("level")).agg(F.sum("cnt").alias("inside"))
+    unit = coefficient_variance_bound(1, plan.n, plan.m, plan.eps, 0, key.log2u)
+    return coef_variance(runs).join(inside, "coef_id").select("coef_id", "variance", (F.lit(float(unit)) * F.col("inside") * F.pow(F.lit(2.0), F.col("level"))).alias("bound"))
 
 
 # --- one of each kind of relational operator ------------------------------------------
