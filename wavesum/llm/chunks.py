@@ -71,7 +71,7 @@ def apart(tokenizer, lead: str = "", literal: bool = False) -> Callable:
 
 
 class ChunkTable:
-    """`encode`: list of texts to (lengths, ids); `extra`: names to functions from (texts, lengths, ids) to a list of strings."""
+    """`encode`: list of texts to (lengths, ids); `extra`: names to functions from (texts, lengths, ids) to strings."""
 
     def __init__(self, encode: Callable, extra: dict[str, Callable] | None = None, cap: int = CAP):
         self.encode, self.extra, self.cap = encode, extra or {}, cap
@@ -116,7 +116,8 @@ class ChunkTable:
                 lengths.append(n)
                 ids.append(x)
                 for k, f in self.extra.items():
-                    more[k].append(pa.array(f(texts, n, x), pa.large_string()))
+                    got = f(texts, n, x)
+                    more[k].append(got if isinstance(got, pa.Array) else pa.array(got, pa.large_string()))
             length = np.concatenate(lengths)
             self.begin = np.concatenate([self.begin, len(self.ids) + np.cumsum(length) - length])
             self.ids, self.length = np.concatenate([self.ids, *ids]), np.concatenate([self.length, length])

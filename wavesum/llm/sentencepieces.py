@@ -21,6 +21,8 @@ from pyspark.sql import DataFrame
 from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable, listed
 from wavesum.llm.common import blocks, flat, fresh, strings, sums
 
+#: Chunks that a worker keeps; with their texts some 200 bytes each.
+CAP = 800_000
 #: Fixed: the white-space mark of the library.
 MARK = "▁"
 
@@ -42,12 +44,17 @@ def table(path: str) -> ChunkTable:
     model = check_model(path)
     mark = [model.piece_to_id(MARK)]
 
-    def lists(length: np.ndarray, ids: np.ndarray) -> list[list[int]]:
+    names = pa.array(map(str, range(model.get_piece_size())), pa.large_string())
+
+    def decoded(_, length: np.ndarray, ids: np.ndarray) -> list[str]:
         flat_ids, ends = ids.tolist(), np.cumsum(length).tolist()
-        return [flat_ids[e - n : e] for e, n in zip(ends, length.tolist(), strict=True)]
+        return model.decode([flat_ids[e - n : e] for e, n in zip(ends, length.tolist(), strict=True)])
+
+    def written_out(_, length: np.ndarray, ids: np.ndarray) -> pa.Array:
+        return join_by_doc(names.take(pa.array(ids)), np.concatenate([[0], np.cumsum(length)]))
 
     encode = lambda texts: listed([x or mark for x in model.encode(texts, num_threads=1)])
-    return ChunkTable(encode, {"ids": lambda _, n, x: [" ".join(map(str, i)) for i in lists(n, x)], "text": lambda _, n, x: model.decode(lists(n, x))})
+    return ChunkTable(encode, {"ids": written_out, "text": decoded}, cap=CAP)
 
 
 def marked_chunks(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
