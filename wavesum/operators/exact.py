@@ -13,7 +13,11 @@ from wavesum.operators.freq import global_freq, local_freq
 
 
 def ship_counts(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
-    """Local counts (the partial aggregate), their sum by key, the transform by subtrees, the best k."""
+    """Local counts (the partial aggregate), their sum by key, the transform by subtrees, the best k.
+
+    keyed: (site, pos) records without null keys, or (site, pos, cnt).  Ties go to the lower
+    id; without records there are no coefficients; with fewer than k nonzero ones, these.
+    """
     return haar.best_k(haar.by_subtree(global_freq(keyed), log2u), k, log2u)
 
 
@@ -22,7 +26,7 @@ def local_coefs(keyed: DataFrame, log2u: int, k: int = 0) -> DataFrame:
 
 
 def ship_coefs(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
-    """Nonzero local coefficients, summed by id: right because the transform is linear."""
+    """Nonzero local coefficients, summed by id: right because the transform is linear.  Cases as in `ship_counts`."""
     sums = local_coefs(keyed, log2u).groupBy("coef_id", "level").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
     return haar.best_k(sums, k, log2u)
 

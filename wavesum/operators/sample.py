@@ -9,6 +9,9 @@ hash of its row id, or exactly round(p n_j) records of each site.  What a site t
   probability eps sqrt(m) count.  The sum of sent counts plus bare keys / (eps sqrt m) is an
   unbiased estimate of the sampled count, and 1 / p of it of the count.
 
+Records with a null key are left out before; repeated rows are records each, told apart by
+their row ids (equal ids share a coin); an empty table gives p = 1 and an empty summary.
+
 Coins are integers from md5, the same in any engine and under any partitioning; with
 fast=True they are xxhash64, which is what large runs want.
 """

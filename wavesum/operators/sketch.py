@@ -9,7 +9,8 @@ median over rows of the mean over columns of sign times cell.
 
 Hashes are (a x + b) mod (2^31 - 1) mod B, with another factor for what of x is over the
 prime, so ids of any 62 bits are told apart and cells are the same in any engine; cells of
-sites or parts add up, which is all that merging is.
+sites or parts add up, which is all that merging is.  Without coefficients a sketch has no
+cells and no best; values are not null; ties go to the lower id.
 """
 
 from __future__ import annotations

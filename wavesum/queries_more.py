@@ -96,22 +96,6 @@ def sweep_eps_sse(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _union(out)
 
 
-@register("sweep_skew_comm")
-def sweep_skew_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Zipf keys of three exponents drawn by row hash: pairs of the baselines and energy share of 30 terms."""
-    from wavesum.sources.gen import zipf_positions
-
-    rows = keyed(spark, sf_dir, "partkey", row_id=True)[0]
-    out = []
-    for alpha in (0.8, 1.1, 1.4):
-        df = zipf_positions(rows, alpha, 14)
-        local, freq = local_freq(df), global_freq(df)
-        total = float(accuracy.energy(freq))
-        top = haar.best_k(haar.by_subtree(freq, 14), K, 14).agg(F.sum(F.col("value") ** 2).alias("kept"))
-        out.append(local.agg(F.count("*").alias("count_pairs")).join(top).select(F.lit(alpha).alias("alpha"), "count_pairs", F.round((F.lit(total) - F.col("kept")) / F.lit(total), 6).alias("sse_share")))
-    return _union(out)
-
-
 @register("cost_vs_sse")
 def cost_vs_sse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes sent and squared error of samplers over eps and of the sketch over its size."""
@@ -470,21 +454,27 @@ def _seek_hist(method: str, drawn: DataFrame, plan: sample.Plan, log2u: int) ->
     return sample.best_k(sample.coefficients(sample.totals(sent), plan, log2u), K).select("coef_id", "level", F.round("value", 6).alias("value"))
 
 
-@register("bounds_worked_sizes")
+@register("bounds_worked_sizes", "SELECT quantity, round(bytes, 3) AS bytes FROM (SELECT unnest(['uniform', 'floor', 'two_stage', 'two_stage_pairs']) AS quantity, unnest([4 / (eps * eps), 4 * m / eps, 8 * sqrt(m) / eps, 2 * sqrt(m) / eps]) AS bytes FROM (SELECT CAST(0.0001 AS DOUBLE) AS eps, CAST(1000 AS DOUBLE) AS m))")
 def bounds_worked_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes at 1,000 sites and eps 1e-4: what each sampler may send."""
     from wavesum.plans.cost import worked_sizes
 
-    return spark.createDataFrame([(k, float(v)) for k, v in worked_sizes(1000, 1e-4).items()], "quantity string, bytes double")
+    return spark.createDataFrame([(k, round(float(v), 3)) for k, v in worked_sizes(1000, 1e-4).items()], "quantity string, bytes double")
+
 
+def _trials_sql(seeds: int) -> str:
+    key = spec("user")
+    runs = " UNION ALL ".join(f"SELECT pos, (rho + bare / weight) / p AS v FROM ({duck.totals('two_stage', key, M, 0.02, s)}), ({duck.plan(key, M, 0.02)})" for s in range(seeds))
+    return f"SELECT f.pos, f.cnt, round(coalesce(s, 0) / {seeds} - f.cnt, 6) AS bias, round(sqrt(greatest(0, coalesce(q, 0) / {seeds} - pow(coalesce(s, 0) / {seeds}, 2))), 6) AS sd FROM ({duck.freq(key)}) f LEFT JOIN (SELECT pos, sum(v) AS s, sum(v * v) AS q FROM ({runs}) GROUP BY pos) t ON f.pos = t.pos"
 
-@register("sampler_trials_user")
+
+@register("sampler_trials_user", _trials_sql(10))
 def sampler_trials_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bias and deviation of two-stage count estimates over ten seeds."""
     df, _ = keyed(spark, sf_dir, "user", row_id=True)
-    plan = sampling_plan(df, eps=max(EPS, 0.02))
+    plan = sampling_plan(df, eps=0.02)
     runs = [sample.estimates(sample.totals(sample.messages("two_stage", df, plan, seed=s)), plan) for s in range(10)]
-    return accuracy.trials(global_freq(df), runs)
+    return accuracy.trials(global_freq(df), runs).select("pos", "cnt", F.round("bias", 6).alias("bias"), F.round("sd", 6).alias("sd"))
 
 
 @register("sketch_cells_keywise_user", ORACLES["sketch_cells_user"])
@@ -626,6 +616,20 @@ def distinct_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read(spark, sf_dir, _EV).groupBy("event_type").agg(F.count_distinct("user_id").alias("users"))
 
 
+@register("exact_distinct", f"SELECT CAST(count(DISTINCT pos) AS BIGINT) AS keys, CAST(min(pos) AS BIGINT) AS lo, CAST(max(pos) AS BIGINT) AS hi FROM ({duck.rows(_part, 1)})")
+def exact_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return keyed(spark, sf_dir, "partkey")[0].agg(F.count_distinct("pos").alias("keys"), F.min("pos").alias("lo"), F.max("pos").alias("hi"))
+
+
+@register("map_functions", "SELECT k, CAST(sum(v) AS BIGINT) AS n FROM (SELECT event_type AS k, count(*) AS v FROM events GROUP BY 1) GROUP BY 1")
+def map_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts by type as one map a day, merged from its entries; to JSON and back on the way."""
+    days = read(spark, sf_dir, _EV).groupBy(F.date_trunc("day", "ts").alias("day"), "event_type").agg(F.count("*").alias("n"))
+    maps = days.groupBy("day").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("counts"))
+    back = maps.select(F.from_json(F.to_json("counts"), "map<string,bigint>").alias("counts")).select(F.transform_values("counts", lambda k, v: v).alias("counts"))
+    return back.select(F.explode("counts").alias("k", "v")).groupBy("k").agg(F.sum("v").alias("n"))
+
+
 @register("approximate_distinct")
 def approximate_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Distinct keys and a built-in histogram beside the exact ones: fixed-size state whatever the input."""

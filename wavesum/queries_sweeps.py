@@ -78,6 +78,25 @@ def _zipf(key: KeySpec, n: int) -> dict:
 sweeping("sweep_skew_methods", "partkey", "alpha", MAIN, _zipf)
 
 
+def _skew_comm_sql() -> str:
+    parts = []
+    for alpha, s in _zipf(spec("partkey"), 0).items():
+        key = s.sql_key()
+        parts.append(f"SELECT CAST({alpha} AS DOUBLE) AS alpha, CAST(count(*) AS BIGINT) AS count_pairs, {experiments.exact_share(key, K)} AS sse_share FROM ({experiments.duck.local(key, M)})")
+    return " UNION ALL ".join(parts)
+
+
+@register("sweep_skew_comm", _skew_comm_sql())
+def sweep_skew_comm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Zipf keys of three exponents drawn by row hash: pairs of the baseline and error of the best terms."""
+    out = []
+    for alpha, s in _zipf(here("partkey", sf_dir, spark), 0).items():
+        run = s.run(spark, sf_dir)
+        _, pairs, _, share = run.method("ship_counts")
+        out.append((alpha, pairs, share))
+    return spark.createDataFrame(out, "alpha double, count_pairs bigint, sse_share double")
+
+
 # composite keys of a log: (user, event type), and (supplier, part)
 def user_type(spark: SparkSession | None, sf_dir: str | None) -> KeySpec:
     users = here("user", sf_dir, spark) if spark else spec("user")
