@@ -81,8 +81,8 @@ def training_rows(docs: DataFrame, folds: int, most: int) -> tuple[list[str], np
             vectors = [v.astype(np.float16).tobytes() for v in grams(block.column("text"))]
             yield pa.RecordBatch.from_arrays([block.column("lang"), pa.array(vectors, pa.binary())], names=["lang", "vector"])
 
-    # a repeated doc_id may come with many rows, so the sample itself is bounded again
-    got = sample.mapInArrow(run, "lang string, vector binary").limit(2 * most).collect()
+    # a repeated doc_id may come with many rows, so the sample itself is bounded again, by the vectors' hashes
+    got = sample.mapInArrow(run, "lang string, vector binary").orderBy(F.xxhash64("vector"), "lang").limit(2 * most).collect()
     return langs, np.stack([np.frombuffer(r.vector, np.float16) for r in got]).astype(np.float64), [r.lang for r in got]
 
 
