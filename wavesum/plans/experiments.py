@@ -19,7 +19,7 @@ from wavesum.functions.tables import materialize, table
 from wavesum.operators import exact, sample, sketch
 from wavesum.operators.freq import global_freq, local_freq, rows
 from wavesum.plans import accuracy, duck
-from wavesum.plans.cost import WIDTHS
+from wavesum.plans.cost import WIDTHS, physical
 
 EXACT = ("ship_counts", "ship_coefs", "signed_topk")
 SAMPLERS = ("uniform", "precombine", "floor", "two_stage")
@@ -145,11 +145,11 @@ class Run:
 
 
 def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]) -> DataFrame:
-    """Each method by itself, from the table to its k terms: (method, seconds, pairs, bytes, sse_share)."""
+    """Each method by itself, from the table to its k terms: (method, seconds, shuffle_bytes, pairs, bytes, sse_share)."""
     out = []
-    for name in methods:
-        began = time.perf_counter()
-        keyed = rows(spark, sf_dir, s.key, s.m) if name in (*EXACT, "sketch") else s.rows(spark, sf_dir)
+
+    def alone(name: str) -> None:
+        keyed = rows(spark, sf_dir, s.key, s.m) if name in (*EXACT, "sketch") and not s.source else s.rows(spark, sf_dir)
         if name == "ship_counts":
             top = exact.ship_counts(keyed, s.key.log2u, s.k)
         elif name == "ship_coefs":
@@ -159,15 +159,27 @@ def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]
         elif name == "sketch":
             local = exact.local_coefs(keyed, s.key.log2u)
             sketch.ship_sketch(local.select("site", "coef_id", haar.value_of(F.col("diff"), F.col("level"), s.key.log2u).alias("value")), s.key.log2u, s.k)
-            top = None
+            return
         else:
-            n = spark.read.parquet(f"{sf_dir}/{s.key.table}.parquet").count() if s.key.table != "words" else keyed.count()  # from footers
+            n = spark.read.parquet(f"{sf_dir}/{s.key.table}.parquet").count() if s.key.table != "words" and not s.source else keyed.count()  # from footers
             top = sample.histogram(name, keyed, sample.Plan(n, s.m, s.eps), s.key.log2u, s.k, fast=True)
-        if top is not None:
-            top.collect()
-        out.append((name, time.perf_counter() - began))
+        top.collect()
+
+    for name in methods:
+        began = time.perf_counter()
+        stages = physical(spark, lambda name=name: alone(name))
+        out.append((name, time.perf_counter() - began, stages["shuffle_write"]))
     run = s.run(spark, sf_dir)
-    return spark.createDataFrame([(name, took, *run.method(name)[1:]) for name, took in out], "method string, seconds double, pairs bigint, bytes bigint, sse_share double")
+    return spark.createDataFrame([(name, took, int(size), *run.method(name)[1:]) for name, took, size in out], "method string, seconds double, shuffle_bytes bigint, pairs bigint, bytes bigint, sse_share double")
+
+
+def timed_sweep(spark: SparkSession, sf_dir: str, settings: dict, methods: tuple[str, ...], column: str) -> DataFrame:
+    """`timed` at every setting."""
+    out = None
+    for x, s in settings.items():
+        got = timed(spark, sf_dir, s, methods).select(F.lit(float(x)).alias(column), "*")
+        out = got if out is None else out.unionByName(got)
+    return out
 
 
 # --- the same in SQL ------------------------------------------------------------------

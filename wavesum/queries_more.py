@@ -259,10 +259,20 @@ def sql_ship_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("incremental_freq", f"SELECT coef_id, diff FROM ({duck.coefs(duck.freq(spec('user')), 8)})")
 def incremental_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Coefficients of a stored state plus a delta: the transform is linear, so both are just added."""
+    """Coefficients of a stored state plus those of what came later: the transform is linear, so both are just added.
+
+    The state is a table of epochs; the later part is one more epoch, so running it again
+    replaces it and counts it once.
+    """
+    from wavesum.streaming.streams import coefficient_sink, coefficient_state
+
     df, log2u = _with_log2u(spark, sf_dir, "user")
-    old, new = (haar.by_basis(global_freq(df.filter(c)), log2u) for c in ("site < 8", "site >= 8"))
-    return old.unionByName(new).groupBy("coef_id").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
+    path = _scratch(spark, "coefficients")
+    keep = coefficient_sink(log2u, path)
+    keep(df.filter("site < 8"), 0)
+    for _ in range(2):  # the second time changes nothing
+        keep(df.filter("site >= 8"), 1)
+    return coefficient_state(spark, path).select("coef_id", "diff")
 
 
 # --- sources and streams --------------------------------------------------------------

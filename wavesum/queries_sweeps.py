@@ -197,6 +197,33 @@ for _name in ("partkey", "value"):
         return experiments.timed(spark, sf_dir, _default(here(name, sf_dir, spark)), (*MAIN, "uniform", "sketch"))
 
 
+for _sweep in ("sweep_n_methods", "sweep_m_methods"):
+
+    @register(_sweep.replace("methods", "times"))
+    def sweep_times(spark: SparkSession, sf_dir: str, of: str = _sweep) -> DataFrame:
+        """Seconds, shuffled bytes, pairs, bytes and error of the methods at each setting of a sweep."""
+        key, column, methods, settings = SWEEPS[of]
+        found = here(key, sf_dir, spark)
+        n = spark.read.parquet(f"{sf_dir}/{found.table}.parquet").count()
+        return experiments.timed_sweep(spark, sf_dir, settings(found, n), methods, column)
+
+
+@register("sweep_skew_sketch")
+def sweep_skew_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes and error of the sketch over the Zipf exponent."""
+    out = []
+    for alpha, s in _zipf(here("partkey", sf_dir, spark), 0).items():
+        out.append((alpha, *s.run(spark, sf_dir).method("sketch", bytes_total=5 * 1024 * ZIPF_LOG2U)))
+    return spark.createDataFrame(out, f"alpha double, {experiments.SCHEMA}")
+
+
+@register("sweep_k_sketch_user")
+def sweep_k_sketch_user(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes and error of the sketch over k."""
+    run = _default(here("user", sf_dir, spark)).run(spark, sf_dir)
+    return spark.createDataFrame([(k, *run.method("sketch", k)) for k in (10, 30, 50)], f"k int, {experiments.SCHEMA}")
+
+
 @register("sweep_sketch_user")
 def sweep_sketch_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes and error of the sketch over its size."""
