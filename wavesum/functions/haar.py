@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 COEF = "coef_id bigint, level int, diff bigint"
 #: Level of the average; it weighs like level 0.
 AVERAGE = -1
+#: Subtrees have 2^SUBTREE positions at most.
+SUBTREE = 16
 
 
 def dense(v: np.ndarray) -> np.ndarray:
@@ -116,7 +118,7 @@ def by_subtree(freq: DataFrame, log2u: int, subtree_log2: int | None = None) ->
     A subtree's task sorts its positions and takes its own details; its sum goes, as one
     row, to the tree above the subtrees, which is transformed the same way by `by_basis`.
     """
-    low = min(16, max(log2u - 4, 0)) if subtree_log2 is None else min(subtree_log2, log2u)
+    low = min(SUBTREE, max(log2u - 4, 0)) if subtree_log2 is None else min(subtree_log2, log2u)
     if low == 0:
         return by_basis(freq, log2u)
     top = log2u - low
@@ -148,13 +150,14 @@ def extreme(values: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return out
 
 
-def local_sparse(local: DataFrame, log2u: int, k: int = 0, subtree_log2: int = 16) -> DataFrame:
+def local_sparse(local: DataFrame, log2u: int, k: int = 0, subtree_log2: int | None = None) -> DataFrame:
     """(site, coef_id, level, diff): each site's own nonzero coefficients, by subtrees of a site, so no task holds a whole one.
 
-    With k there is a column `cand`: whether a coefficient may be among the k highest or
-    lowest values of its site.
+    local may have a position more than once.  With k there is a column `cand`: whether a
+    coefficient may be among the k highest or lowest values of its site.  A domain of more
+    than one subtree gives a materialized result.
     """
-    low = min(subtree_log2, log2u)
+    low = min(SUBTREE if subtree_log2 is None else subtree_log2, log2u)
     top = log2u - low
     more = ", cand boolean" if k else ""
 
@@ -178,7 +181,8 @@ def local_sparse(local: DataFrame, log2u: int, k: int = 0, subtree_log2: int = 1
     parts = materialize(local.groupBy("site", F.call_function("shiftright", F.col("pos"), F.lit(low)).alias("subtree")).applyInArrow(one, f"site bigint, {COEF}{more}"), "site-subtrees")
     sums = parts.filter("coef_id is null").select("site", F.col("level").cast("long").alias("pos"), F.col("diff").alias("cnt"))
     above = by_basis(sums, top, by=("site",))
-    return parts.filter("coef_id is not null").unionByName(above.withColumn("cand", F.lit(True)) if k else above)
+    above = materialize(above.withColumn("cand", F.lit(True)) if k else above, "site-tops")
+    return parts.filter("coef_id is not null").unionByName(above)
 
 
 def value_of(diff: Column, level: Column, log2u: int) -> Column:

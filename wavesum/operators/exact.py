@@ -22,7 +22,8 @@ def ship_counts(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
 
 
 def local_coefs(keyed: DataFrame, log2u: int, k: int = 0) -> DataFrame:
-    return haar.local_sparse(local_freq(keyed), log2u, k)
+    # records are counted before they move; what comes counted is added up where it meets
+    return haar.local_sparse(keyed if "cnt" in keyed.columns else local_freq(keyed), log2u, k)
 
 
 def ship_coefs(keyed: DataFrame, log2u: int, k: int = 30) -> DataFrame:
@@ -52,7 +53,8 @@ def signed_topk(keyed: DataFrame, log2u: int, k: int = 30, m: int | None = None,
 def signed_topk_of(local: DataFrame, log2u: int, k: int = 30, m: int | None = None, **options) -> topk.TopkResult:
     """`signed_topk` from the sites' coefficients (site, coef_id, level, diff[, cand])."""
     exact = haar.energy_key(F.col("score"), level_expr(F.col("item"))).desc()
-    got = topk.signed(scores_of(local, log2u), k, m, order=[exact], **options)
+    ready = options.pop("ready", log2u > haar.SUBTREE)
+    got = topk.signed(scores_of(local, log2u), k, m, order=[exact], ready=ready, **options)
     if options.get("stop_after", 3) == 2:
         got.items = got.items.withColumnRenamed("item", "coef_id")
     else:
@@ -67,7 +69,7 @@ def planned(keyed: DataFrame, log2u: int, k: int = 30, m: int | None = None) ->
     """
     local = materialize(local_freq(keyed), "local-freq")
     coefs = materialize(haar.local_sparse(local, log2u, k), "local-coefs")
-    first = topk.first_round(scores_of(coefs, log2u), k, m)
+    first = topk.first_round(scores_of(coefs, log2u), k, m, ready=True)
     if first.t1 == 0 and local.count() < coefs.count():
         freq = local.groupBy("pos").agg(F.sum("cnt").cast("long").alias("cnt"))
         return "ship_counts", haar.best_k(haar.by_subtree(freq, log2u), k, log2u)
@@ -134,13 +136,14 @@ def centralized(keyed: DataFrame, log2u: int, k: int = 30) -> list[tuple[int, fl
     return [(i + 1, float(w[i])) for i in order if w[i]]
 
 
-def local_coefs_physical(df: DataFrame, key, log2u: int, sites: int | None = None) -> DataFrame:
+def local_coefs_physical(df: DataFrame, key: str, log2u: int, sites: int | None = None, k: int = 0) -> DataFrame:
     """Local coefficients where a site is a piece of a file: made inside the scan's tasks, without a shuffle.
 
     df: a file scan; key: SQL for the position; sites: if given, pieces are merged into at
     most so many super-sites, whose parts are then added up by one shuffle of coefficients.
     A piece is read by one task, so its counts are complete there; a task holds the distinct
-    keys of its pieces.
+    keys of its pieces.  With k, and without super-sites, there is the mark `cand` of
+    `haar.local_sparse`.
     """
     import pyarrow as pa
 
@@ -165,14 +168,29 @@ def local_coefs_physical(df: DataFrame, key, log2u: int, sites: int | None = Non
             u, n = _added(have)
             ids, levels, diffs, _, total = haar.sparse(u, n, log2u)
             ids, levels, diffs = np.append(ids, 1), np.append(levels, np.int32(haar.AVERAGE)), np.append(diffs, total.sum())
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), one)), pa.array(ids), pa.array(levels, pa.int32()), pa.array(diffs)], names=["site", "coef_id", "level", "diff"])
+            cols = {"site": pa.array(np.full(len(ids), one)), "coef_id": pa.array(ids), "level": pa.array(levels, pa.int32()), "diff": pa.array(diffs)}
+            if k:
+                cols["cand"] = pa.array(haar.extreme(diffs * np.sqrt(2.0 ** (np.maximum(levels, 0) - log2u)), ids, k))
+            yield pa.RecordBatch.from_pydict(cols)
 
-    local = rows.mapInArrow(run, f"site bigint, {haar.COEF}")
+    k = 0 if sites else k
+    local = rows.mapInArrow(run, f"site bigint, {haar.COEF}{', cand boolean' if k else ''}")
     if not sites:
         return local
     return local.groupBy("site", "coef_id", "level").agg(F.sum("diff").cast("long").alias("diff")).filter("diff <> 0")
 
 
+def signed_topk_physical(df: DataFrame, key: str, log2u: int, k: int = 30, **options) -> topk.TopkResult:
+    """`signed_topk` with the pieces of files as sites: only what the rounds send is shuffled.
+
+    The coefficients of each piece are made and written by the task that reads it.  Many
+    pieces make the method dear; above some thousands use `local_coefs_physical` with
+    super-sites.
+    """
+    local = materialize(local_coefs_physical(df, key, log2u, k=max(k, options.get("fanout") or k)), "piece-coefs")
+    return signed_topk_of(local, log2u, k, ready=True, **options)
+
+
 def _added(parts: list) -> tuple[np.ndarray, np.ndarray]:
     keys, counts = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
     u, where = np.unique(keys, return_inverse=True)

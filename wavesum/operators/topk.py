@@ -14,6 +14,7 @@ coordinator keeps sums instead of a bit per site: bound = partial + sum of all s
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Window
@@ -26,12 +27,26 @@ SLACK = 1e-9
 PAIR = 12
 
 
+@dataclass
+class Later:
+    """A figure that is counted when it's asked for."""
+
+    count: Callable[[], int]
+
+
 @dataclass
 class TopkResult:
     """items: (item, score, value); phases: what each round sent and decided."""
 
     items: DataFrame
-    phases: list[dict] = field(default_factory=list)
+    rounds: list[dict] = field(default_factory=list)
+
+    @property
+    def phases(self) -> list[dict]:
+        for p in self.rounds:
+            if isinstance(p.get("pairs"), Later):
+                p["pairs"] = p["pairs"].count()
+        return self.rounds
 
     @property
     def pairs(self) -> int:
@@ -42,14 +57,14 @@ class TopkResult:
 FEW = 1_000_000
 
 
-def extremes(scores: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
-    """Scores with `first` (sent in round 1) and the sites' bounds (site, hi, lo, ..), both materialized.
+def extremes(scores: DataFrame, k: int, ready: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Scores with `first` (sent in round 1) and the sites' bounds (site, hi, lo, ..), both materialized; ready: the scores are already.
 
     hi, lo: the k-th highest and lowest scores, or 0 where a site has fewer, clamped at 0.
     Only rows marked `cand`, if there is such a mark, are ranked; whether a row is sent
     follows from comparing it with its site's k-th rows.
     """
-    state = materialize(scores, "topk-state")
+    state = scores if ready else materialize(scores, "topk-state")
     down, up = Window.partitionBy("site").orderBy(F.desc("value"), "item"), Window.partitionBy("site").orderBy("value", "item")
     some = state.filter("cand").drop("cand") if "cand" in state.columns else state
     ranked = some.withColumns({"d": F.row_number().over(down), "u": F.row_number().over(up)}).filter((F.col("d") <= k) | (F.col("u") <= k))
@@ -57,7 +72,7 @@ def extremes(scores: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
     bounds = ranked.groupBy("site").agg(at("d", "value").alias("high"), at("d", "item").alias("high_item"), at("u", "value").alias("low"), at("u", "item").alias("low_item"), F.count("*").alias("sent"))
     zero = F.lit(0.0)
     bounds = materialize(bounds.withColumns({"hi": F.greatest(zero, F.coalesce("high", zero)), "lo": F.least(zero, F.coalesce("low", zero))}), "topk-bounds")
-    small = F.broadcast(bounds) if bounds.count() <= FEW else bounds
+    small = few(bounds)
     value, item = F.col("value"), F.col("item")
     above = F.col("high").isNull() | (value > F.col("high")) | ((value == F.col("high")) & (item <= F.col("high_item")))
     below = (value < F.col("low")) | ((value == F.col("low")) & (item <= F.col("low_item")))
@@ -65,11 +80,21 @@ def extremes(scores: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
     return marked, bounds
 
 
-def with_bounds(messages: DataFrame, bounds: DataFrame) -> DataFrame:
+def few(sites: DataFrame) -> DataFrame:
+    """Sites' bounds as a broadcast side while they are few: the table's size is known from its files."""
+    size = int(str(sites._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return F.broadcast(sites) if size <= 50 * FEW else sites
+
+
+def sums_of(bounds: DataFrame) -> tuple[float, float]:
+    """Sums of the upper and the lower bounds of all sites."""
+    return tuple(bounds.agg(F.coalesce(F.sum("hi"), F.lit(0.0)), F.coalesce(F.sum("lo"), F.lit(0.0))).first())
+
+
+def with_bounds(messages: DataFrame, bounds: DataFrame, total: tuple[float, float] | None = None) -> DataFrame:
     """(item, partial, low, high, floor, n) of every item that some site sent; n: of how many messages."""
-    rows, all_hi, all_lo = bounds.agg(F.count("*"), F.coalesce(F.sum("hi"), F.lit(0.0)), F.coalesce(F.sum("lo"), F.lit(0.0))).first()
-    few = bounds.select("site", "hi", "lo")
-    joined = messages.join(F.broadcast(few) if rows <= FEW else few, "site")
+    all_hi, all_lo = total or sums_of(bounds)
+    joined = messages.join(few(bounds.select("site", "hi", "lo")), "site")
     per = joined.groupBy("item").agg(F.sum("value").alias("partial"), F.sum("hi").alias("seen_hi"), F.sum("lo").alias("seen_lo"), F.count("*").alias("n"))
     per = per.select("item", "partial", (F.col("partial") + F.lit(all_lo) - F.col("seen_lo")).alias("low"), (F.col("partial") + F.lit(all_hi) - F.col("seen_hi")).alias("high"), "n")
     return per.withColumn("floor", F.when((F.col("low") <= 0) & (F.col("high") >= 0), 0.0).otherwise(F.least(F.abs("low"), F.abs("high"))))
@@ -92,17 +117,17 @@ class FirstRound:
     t1: float
 
 
-def first_round(scores: DataFrame, k: int, m: int | None = None, send: int | None = None) -> FirstRound:
+def first_round(scores: DataFrame, k: int, m: int | None = None, send: int | None = None, ready: bool = False) -> FirstRound:
     """m: the number of sites, at least those that have scores; more are sites without any."""
-    state, bounds = extremes(scores, send or k)
-    sites, pairs = bounds.agg(F.count("*"), F.coalesce(F.sum("sent"), F.lit(0))).first()
+    state, bounds = extremes(scores, send or k, ready)
+    sites, pairs, hi, lo = bounds.agg(F.count("*"), F.coalesce(F.sum("sent"), F.lit(0)), F.coalesce(F.sum("hi"), F.lit(0.0)), F.coalesce(F.sum("lo"), F.lit(0.0))).first()
     if m is not None and m < sites:
         raise ValueError(f"{sites} sites have scores, more than m = {m}: the bounds would not hold")
-    t1 = kth(with_bounds(state.filter("first"), bounds), "floor", k)
+    t1 = kth(with_bounds(state.filter("first"), bounds, (hi, lo)), "floor", k)
     return FirstRound(state, bounds, m or max(1, sites), int(pairs), t1)
 
 
-def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True, resend: bool = False, fanout: int | None = None, stop_after: int = 3, order: list | None = None, first: FirstRound | None = None) -> TopkResult:
+def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True, resend: bool = False, fanout: int | None = None, stop_after: int = 3, order: list | None = None, first: FirstRound | None = None, ready: bool = False) -> TopkResult:
     """Three rounds over one materialized state.
 
     tight: bounds of both rounds are intersected.  resend: pairs are sent again where a later
@@ -112,9 +137,9 @@ def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True,
     items, by |value| and item otherwise.  first: a first round that was made before.
 
     Scores are of distinct (site, item) without nulls; ties go by `order`, then to the lower
-    item; a table without scores gives no items.
+    item; a table without scores gives no items.  ready: the scores are materialized.
     """
-    one = first or first_round(scores, k, m, max(k, fanout or k))
+    one = first or first_round(scores, k, m, max(k, fanout or k), ready)
     state, m, t1 = one.state, one.sites, one.t1
     phases = [{"phase": 1, "pairs": one.pairs, "t1": t1}]
 
@@ -139,8 +164,9 @@ def signed(scores: DataFrame, k: int, m: int | None = None, tight: bool = True,
     wanted = left.select("item")
     third = state.join(F.broadcast(wanted) if size <= FEW else wanted, "item", "left_semi")
     sums = third.groupBy("item").agg(F.sum("score").cast("long").alias("score"), F.sum("value").alias("value"), F.count_if(F.lit(True) if resend else ~sent).alias("n"))
-    sums = materialize(sums, "topk-sums")
-    phases.append({"phase": 3, "pairs": int(sums.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]), "down_bytes": 4 * size * m})
+    if size > FEW:
+        sums = materialize(sums, "topk-sums")
+    phases.append({"phase": 3, "pairs": Later(lambda: int(sums.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])), "down_bytes": 4 * size * m})
     return TopkResult(sums.drop("n").orderBy(*(order or [F.abs("value").desc()]), "item").limit(k), phases)
 
 

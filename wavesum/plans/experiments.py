@@ -156,6 +156,8 @@ def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]
             top = exact.ship_coefs(keyed, s.key.log2u, s.k)
         elif name == "signed_topk":
             top = exact.signed_topk(keyed, s.key.log2u, s.k, s.m).items
+        elif name == "signed_topk_physical":
+            top = exact.signed_topk_physical(spark.read.parquet(f"{sf_dir}/{s.key.table}.parquet"), s.key.position, s.key.log2u, s.k).items
         elif name == "sketch":
             local = exact.local_coefs(keyed, s.key.log2u)
             sketch.ship_sketch(local.select("site", "coef_id", haar.value_of(F.col("diff"), F.col("level"), s.key.log2u).alias("value")), s.key.log2u, s.k)
@@ -170,7 +172,7 @@ def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]
         stages = physical(spark, lambda name=name: alone(name))
         out.append((name, time.perf_counter() - began, stages["shuffle_write"]))
     run = s.run(spark, sf_dir)
-    return spark.createDataFrame([(name, took, int(size), *run.method(name)[1:]) for name, took, size in out], "method string, seconds double, shuffle_bytes bigint, pairs bigint, bytes bigint, sse_share double")
+    return spark.createDataFrame([(name, took, int(size), *run.method(name.removesuffix("_physical"))[1:]) for name, took, size in out], "method string, seconds double, shuffle_bytes bigint, pairs bigint, bytes bigint, sse_share double")
 
 
 def timed_sweep(spark: SparkSession, sf_dir: str, settings: dict, methods: tuple[str, ...], column: str) -> DataFrame:

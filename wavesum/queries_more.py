@@ -507,6 +507,16 @@ def ship_coefs_physical(spark: SparkSession, sf_dir: str) -> DataFrame:
     return haar.best_k(sums, K, log2u).select("coef_id", "diff", F.round("value", 6).alias("value"))
 
 
+for _name in ("partkey", "price"):
+
+    @register(f"signed_topk_physical_{_name}", duck.best_k(spec(_name), K))
+    def signed_topk_physical(spark: SparkSession, sf_dir: str, name: str = _name) -> DataFrame:
+        """The threshold rounds with file pieces as sites: only messages are shuffled."""
+        key = here(name, sf_dir)
+        got = exact.signed_topk_physical(read(spark, sf_dir, _LINE), key.position, key.log2u, K).items
+        return got.select("coef_id", "diff", F.round("value", 6).alias("value"))
+
+
 _SHARES = (1, 2, 4)
 
 

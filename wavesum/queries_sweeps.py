@@ -194,7 +194,7 @@ for _name in ("partkey", "value"):
     @register(f"times_{_name}")
     def times(spark: SparkSession, sf_dir: str, name: str = _name) -> DataFrame:
         """Seconds, pairs, bytes and error of every method, each run by itself."""
-        return experiments.timed(spark, sf_dir, _default(here(name, sf_dir, spark)), (*MAIN, "uniform", "sketch"))
+        return experiments.timed(spark, sf_dir, _default(here(name, sf_dir, spark)), (*MAIN, "signed_topk_physical", "uniform", "sketch"))
 
 
 for _sweep in ("sweep_n_methods", "sweep_m_methods"):
