@@ -43,8 +43,17 @@ def shown(top: DataFrame) -> DataFrame:
     return top.select("coef_id", "diff", F.round("value", 6).alias("value"))
 
 
-def sampling_plan(df: DataFrame, m: int = M, eps: float = EPS) -> sample.Plan:
-    return sample.Plan(df.count() if "cnt" not in df.columns else int(df.agg(F.sum("cnt")).first()[0] or 0), m, eps)
+def sampling_plan(df: DataFrame, m: int = M, eps: float = EPS, n: int | None = None) -> sample.Plan:
+    """n: the records, where they are known without counting keys."""
+    if n is None:
+        n = df.count() if "cnt" not in df.columns else int(df.agg(F.sum("cnt")).first()[0] or 0)
+    return sample.Plan(n, m, eps)
+
+
+def records(spark: SparkSession, sf_dir: str, name: str) -> int | None:
+    """Records of a key's table from the files' footers; tokens have no such count."""
+    table = spec(name).table
+    return None if table == "words" else spark.read.parquet(f"{sf_dir}/{table}.parquet").count()
 
 
 # --- frequencies and transforms -------------------------------------------------------
@@ -136,7 +145,7 @@ def nonneg_topk_partkey(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sampled(method: str, name: str, design: str = "coin", eps: float = EPS):
     def messages(spark: SparkSession, sf_dir: str) -> DataFrame:
         df, _ = keyed(spark, sf_dir, name, row_id=True)
-        return sample.messages(method, df, sampling_plan(df, eps=eps), design=design)
+        return sample.messages(method, df, sampling_plan(df, eps=eps, n=records(spark, sf_dir, name)), design=design)
 
     return messages
 
@@ -158,14 +167,14 @@ for _name, _eps in (("user", 0.02), ("partkey", EPS)):
 @register("two_stage_freq_events", f"SELECT pos, round(rho + bare / weight, 6) AS s_hat, round((rho + bare / weight) / p, 6) AS v_hat FROM ({duck.totals('two_stage', spec('user'), M, 0.02)}), ({duck.plan(spec('user'), M, 0.02)})")
 def two_stage_freq_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     df, _ = keyed(spark, sf_dir, "user", row_id=True)
-    plan = sampling_plan(df, eps=0.02)
+    plan = sampling_plan(df, eps=0.02, n=records(spark, sf_dir, "user"))
     return sample.estimates(sample.totals(sample.messages("two_stage", df, plan)), plan).select("pos", F.round("s_hat", 6).alias("s_hat"), F.round("v_hat", 6).alias("v_hat"))
 
 
 def sampled_hist(method: str, name: str, eps: float = EPS, k: int = K):
     def hist(spark: SparkSession, sf_dir: str) -> DataFrame:
         df, key = keyed(spark, sf_dir, name, row_id=True)
-        return sample.histogram(method, df, sampling_plan(df, eps=eps), key.log2u, k)
+        return sample.histogram(method, df, sampling_plan(df, eps=eps, n=records(spark, sf_dir, name)), key.log2u, k)
 
     return hist
 
@@ -256,7 +265,7 @@ def _two_stage_2d_sql() -> str:
 @register("two_stage_2d", _two_stage_2d_sql())
 def two_stage_2d(spark: SparkSession, sf_dir: str) -> DataFrame:
     cells = grid(spark, sf_dir)
-    return sample.two_stage_nd(cells, sampling_plan(cells), [8, 6], K).select("c_1", "c_2", F.round("value", 6).alias("value"))
+    return sample.two_stage_nd(cells, sampling_plan(cells, n=records(spark, sf_dir, "partkey")), [8, 6], K).select("c_1", "c_2", F.round("value", 6).alias("value"))
 
 
 CUBE = "SELECT CAST(l_orderkey % 16 AS BIGINT) AS site, CAST(datediff('day', timestamp '1992-01-01', l_shipdate) >> 8 AS BIGINT) AS pos_1, CAST(l_quantity AS BIGINT) >> 2 AS pos_2, CAST(l_linenumber AS BIGINT) AS pos_3 FROM lineitem"
