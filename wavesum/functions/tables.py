@@ -44,10 +44,17 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def dealt(df: DataFrame) -> DataFrame:
+    """df, its rows dealt out where its files are fewer than the cores: a file of one row group is read by one task."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if len(df.inputFiles()) < cores else df
+
+
 def words(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(doc_id, ord, word): every white-space token of the documents and its place."""
     text = F.split(F.trim("text"), r"\s+")
-    return spark.read.parquet(f"{sf_dir}/documents.parquet").filter("text is not null").select("doc_id", F.posexplode(text).alias("ord", "word")).filter("word <> ''")
+    texts = dealt(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").filter("text is not null"))
+    return texts.select("doc_id", F.posexplode(text).alias("ord", "word")).filter("word <> ''")
 
 
 def word_counts(spark: SparkSession, sf_dir: str, key, m: int) -> DataFrame:
