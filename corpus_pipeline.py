@@ -1,7 +1,8 @@
 """The corpus pipeline: quality rules, near-dedup, substring dedup, decontamination, encoding.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet
-and read again as the next one's docs.  All but the last return the columns of documents.
+and read again as the next one's docs.  All but the last return the columns of documents,
+whatever else these are called.  An empty table passes through every stage.
 """
 
 from __future__ import annotations
@@ -18,27 +19,27 @@ from wavesum.llm.suffix_dedup import suffix_dedup
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the adaptive rules keep."""
+    """Documents that the adaptive rules keep; null, empty and short texts go, repeated rows together."""
     return quality_filter(docs)
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the smallest doc_id, of each group of near copies: five-word similarity 0.8, or fingerprints within 2 bits."""
+    """One document, the smallest doc_id, of each group of near copies: five-word similarity 0.8, or fingerprints within 2 bits; of rows with one doc_id one stays, rows without doc_id all do."""
     return similar_dedup(docs, words=5)
 
 
 def suffix_array_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every 50-byte string stays only in its first document."""
+    """Every 50-byte string stays only in its first document; a document that loses all its text goes, rows without doc_id stay whole."""
     return suffix_dedup(docs)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a benchmark item in them."""
+    """Documents without a benchmark item of five words or more in them; null and empty texts stay."""
     return decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def sentencepiece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Ids (as count and digest) and the decoded text's digest of every document left."""
+    """Ids (as count and digest) and the decoded text's digest of every document left; a null or empty text has the end id only."""
     return sentencepiece_digest(docs, vocabulary("piece_bpe_32k.model"))
 
 
