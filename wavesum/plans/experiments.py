@@ -8,6 +8,7 @@ the seconds too.  The SQL text gives the same figures, for methods that SQL can
 from __future__ import annotations
 
 import time
+import uuid
 from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
@@ -45,7 +46,8 @@ class Setting:
         df = table(spark, sf_dir, self.key.table)
         if self.source:
             df = spark.sql(self.source, table=df)
-        return project(df, self.key, self.m, row_id=True)
+        out = project(df, self.key, self.m, row_id=True)
+        return materialize(out, "setting-rows") if self.source else out  # made keys are data, not part of a method
 
     def sql_key(self) -> KeySpec:
         text = self.duck_source or self.source
@@ -145,19 +147,37 @@ class Run:
 
 
 def timed(spark: SparkSession, sf_dir: str, s: Setting, methods: tuple[str, ...]) -> DataFrame:
-    """Each method by itself, from the table to its k terms: (method, seconds, shuffle_bytes, pairs, bytes, sse_share)."""
-    out = []
+    """Each method by itself, from the table to its k terms: (method, seconds, shuffle_bytes, pairs, bytes, sse_share).
+
+    Methods named `.._physical` read the key from m files, whose scan tasks are the sites; what
+    they send is that of the method with m sites, up to the split.
+    """
+    out, pieces, made = [], None, s.rows(spark, sf_dir) if s.source else None
+    if any(name.endswith("_physical") for name in methods):
+        from wavesum.functions.tables import shared_folder
+        from wavesum.sources.gen import splits_parquet
+
+        # the key in as many files as there are sites, so that scan tasks are sites
+        pieces = splits_parquet((s.rows(spark, sf_dir) if made is None else made).select("pos"), f"{shared_folder(spark)}/pieces-{uuid.uuid4().hex}", s.m)
 
     def alone(name: str) -> None:
-        keyed = rows(spark, sf_dir, s.key, s.m) if name in (*EXACT, "sketch") and not s.source else s.rows(spark, sf_dir)
+        if name.endswith("_physical"):
+            df = spark.read.parquet(pieces)
+            if name == "ship_counts_physical":
+                exact.ship_counts(df, s.key.log2u, s.k).collect()
+            else:
+                exact.signed_topk_physical(df, "pos", s.key.log2u, s.k).items.collect()
+            return
+        if made is not None:
+            keyed = made
+        else:
+            keyed = rows(spark, sf_dir, s.key, s.m) if name in (*EXACT, "sketch") else s.rows(spark, sf_dir)
         if name == "ship_counts":
             top = exact.ship_counts(keyed, s.key.log2u, s.k)
         elif name == "ship_coefs":
             top = exact.ship_coefs(keyed, s.key.log2u, s.k)
         elif name == "signed_topk":
             top = exact.signed_topk(keyed, s.key.log2u, s.k, s.m).items
-        elif name == "signed_topk_physical":
-            top = exact.signed_topk_physical(spark.read.parquet(f"{sf_dir}/{s.key.table}.parquet"), s.key.position, s.key.log2u, s.k).items
         elif name == "sketch":
             local = exact.local_coefs(keyed, s.key.log2u)
             sketch.ship_sketch(local.select("site", "coef_id", haar.value_of(F.col("diff"), F.col("level"), s.key.log2u).alias("value")), s.key.log2u, s.k)

@@ -18,7 +18,7 @@ WORKLOADS: dict[str, tuple[str, list[str]]] = {
     "order": ("contiguous or mixed sites", ["sweep_order_methods", "signed_topk_user_mixed", "signed_topk_contiguous_events"]),
     "ablations": ("resending, bounds, designs, updates", ["ablation_resend_tight", "uniform_coin_events", "uniform_wor_events", "uniform_precombine_events", "sketch_cells_keywise_user"]),
     "rounds": ("what each round sends", ["signed_topk_phases_words", "rounds_value", "rounds_partkey"]),
-    "seconds": ("wall time of every method", ["times_partkey", "times_value", "sweep_n_times", "sweep_m_times"]),
+    "seconds": ("wall time of every method", ["times_partkey", "times_price", "times_value", "times_zipf", "sweep_n_times", "sweep_m_times"]),
     "signed_scores": ("top-k of scores of any sign", ["topk_signed_embeddings"]),
 }
 

@@ -65,13 +65,17 @@ ZIPF_LOG2U = 14
 
 def _zipf(key: KeySpec, n: int) -> dict:
     h = f"concat_ws(':', {key.row_id}, '7', '3')"
-    from wavesum.sources.gen import zipf_sql
+    from wavesum.sources.gen import permuted_sql, zipf_rank_sql
+
+    def source(bits: str, alpha: float) -> str:
+        # a step a column, so that none is computed twice
+        return f"SELECT *, {permuted_sql('zipf_rank', ZIPF_LOG2U)} AS z FROM (SELECT *, {zipf_rank_sql('zipf_bits', alpha, ZIPF_LOG2U)} AS zipf_rank FROM (SELECT *, {bits} AS zipf_bits FROM {{table}}))"
 
     out = {}
     for alpha in (0.8, 1.1, 1.4):
-        in_spark = zipf_sql(f"CAST(conv(substring(md5({h}), 1, 8), 16, 10) AS BIGINT)", alpha, ZIPF_LOG2U)
-        in_duck = zipf_sql(f"CAST(('0x' || substr(md5({h}), 1, 8)) AS UBIGINT)", alpha, ZIPF_LOG2U)
-        out[alpha] = Setting(key.at(name="zipf", position="z", log2u=ZIPF_LOG2U), M, K, 0.02, f"SELECT *, {in_spark} AS z FROM {{table}}", f"SELECT *, {in_duck} AS z FROM {{table}}")
+        in_spark = source(f"CAST(conv(substring(md5({h}), 1, 8), 16, 10) AS BIGINT)", alpha)
+        in_duck = source(f"CAST(('0x' || substr(md5({h}), 1, 8)) AS BIGINT)", alpha)
+        out[alpha] = Setting(key.at(name="zipf", position="z", log2u=ZIPF_LOG2U), M, K, 0.02, in_spark, in_duck)
     return out
 
 
@@ -189,12 +193,19 @@ def ablation_resend_tight(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 # seconds of every method by itself, and the sketch beside them: nothing that SQL could repeat
-for _name in ("partkey", "value"):
+for _name in ("partkey", "price", "value"):
 
     @register(f"times_{_name}")
     def times(spark: SparkSession, sf_dir: str, name: str = _name) -> DataFrame:
         """Seconds, pairs, bytes and error of every method, each run by itself."""
-        return experiments.timed(spark, sf_dir, _default(here(name, sf_dir, spark)), (*MAIN, "signed_topk_physical", "uniform", "sketch"))
+        return experiments.timed(spark, sf_dir, _default(here(name, sf_dir, spark)), (*MAIN, "ship_counts_physical", "signed_topk_physical", "uniform", "sketch"))
+
+
+@register("times_zipf")
+def times_zipf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds, shuffled bytes, pairs, bytes and error of every method on Zipf keys of exponent 1.1."""
+    s = _zipf(here("partkey", sf_dir, spark), 0)[1.1]
+    return experiments.timed(spark, sf_dir, s, (*MAIN, "ship_counts_physical", "signed_topk_physical", "uniform"))
 
 
 for _sweep in ("sweep_n_methods", "sweep_m_methods"):

@@ -13,11 +13,10 @@ from pyspark.sql import functions as F
 from wavesum.operators.sample import h32
 
 
-def zipf_sql(h: str, alpha: float, log2u: int, big: str = "BIGINT") -> str:
-    """A Zipf key over 2^log2u values (up to 2^32) as SQL that both engines read; h: SQL of 32 hash bits of the row.
+def zipf_rank_sql(h: str, alpha: float, log2u: int) -> str:
+    """A Zipf rank under 2^log2u as SQL that both engines read; h: 32 hash bits of the row.
 
-    The inverse of the continuous law's distribution function gives the rank; an odd
-    multiplier permutes ranks over the domain, in halves so that no product overflows.
+    It is the inverse of the continuous law's distribution function.
     """
     u = 1 << log2u
     number = lambda x: f"CAST('{x!r}' AS DOUBLE)"
@@ -26,15 +25,21 @@ def zipf_sql(h: str, alpha: float, log2u: int, big: str = "BIGINT") -> str:
         rank = f"pow({number(float(u + 1))}, {x})"
     else:
         rank = f"pow({number(float(u + 1) ** (1 - alpha) - 1)} * {x} + {number(1.0)}, {number(1 / (1 - alpha))})"
-    rank = f"least(greatest(CAST(floor({rank}) AS {big}) - 1, 0), {u - 1})"
-    odd, half = 2654435761 % u, 65536
-    return f"((CAST(({rank} - {rank} % {half}) / {half} AS {big}) * {odd} % {u}) * {half} % {u} + {rank} % {half} * {odd} + 12345) % {u}"
+    return f"least(greatest(CAST(floor({rank}) AS BIGINT) - 1, 0), {u - 1})"
+
+
+def permuted_sql(rank: str, log2u: int) -> str:
+    """A rank moved over the domain (up to 2^32) by an odd multiplier, in halves so that no product overflows."""
+    u, half = 1 << log2u, 65536
+    odd = 2654435761 % u
+    return f"((CAST(({rank} - {rank} % {half}) / {half} AS BIGINT) * {odd} % {u}) * {half} % {u} + {rank} % {half} * {odd} + 12345) % {u}"
 
 
 def zipf_positions(rows: DataFrame, alpha: float, log2u: int, seed: int = 7) -> DataFrame:
     """(site, pos): keys of a Zipf law over 2^log2u values, drawn for each row by a hash of row_id."""
     drawn = rows.select("site", h32(F.col("row_id"), seed, 3).alias("h"))
-    return drawn.select("site", F.expr(zipf_sql("h", alpha, log2u)).cast("long").alias("pos"))
+    ranked = drawn.select("site", F.expr(zipf_rank_sql("h", alpha, log2u)).alias("r"))
+    return ranked.select("site", F.expr(permuted_sql("r", log2u)).cast("long").alias("pos"))
 
 
 def _written(df: DataFrame, path: str | None, kind: str, pack) -> str:
