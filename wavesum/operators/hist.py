@@ -85,8 +85,10 @@ class WaveletHistogram:
         return [0, *(self.quantile(i / parts) + 1 for i in range(1, parts))]
 
     def inner_product(self, other: WaveletHistogram) -> float:
-        """Estimated size of the equi-join of two keys on one domain: the basis is orthonormal."""
-        mine = dict(zip(self.ids.tolist(), self.values.tolist(), strict=True))
+        """Estimated size of the equi-join of two keys on one domain: the basis is orthonormal.  Terms of one id are added up."""
+        mine: dict[int, float] = {}
+        for i, v in zip(self.ids.tolist(), self.values.tolist(), strict=True):
+            mine[i] = mine.get(i, 0.0) + v
         return sum(v * mine.get(i, 0.0) for i, v in zip(other.ids.tolist(), other.values.tolist(), strict=True))
 
     def merge(self, other: WaveletHistogram, k: int) -> WaveletHistogram:
