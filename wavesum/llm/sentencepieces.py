@@ -21,8 +21,8 @@ from pyspark.sql import DataFrame
 from wavesum.llm.chunks import CHUNK_BLOCK, ChunkTable, listed
 from wavesum.llm.common import blocks, flat, fresh, strings, sums
 
-#: Chunks that a worker keeps; with their texts some 200 bytes each.
-CAP = 800_000
+#: Chunks that a worker keeps; with their texts and the library's buffers some 400 bytes each.
+CAP = 300_000
 #: Fixed: the white-space mark of the library.
 MARK = "▁"
 
@@ -101,6 +101,7 @@ def sentencepiece_digest(docs: DataFrame, path: str, end_id: int = 2) -> DataFra
             sha = [hashlib.sha256(x.as_buffer().to_pybytes() + (b" " if x.as_buffer().size else b"") + tail).hexdigest() for x in ids]
             dec = [hashlib.sha256(x.as_buffer()).hexdigest() for x in text]
             yield pa.RecordBatch.from_arrays([block.column("doc_id").cast(pa.int64()), pa.array(n + 1, pa.int64()), pa.array(sha), pa.array(dec)], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+            pa.default_memory_pool().release_unused()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
 

@@ -41,7 +41,7 @@ def words8(text: np.ndarray) -> np.ndarray:
 
 def dense(keys: np.ndarray) -> np.ndarray:
     """Ranks of keys from 1, equal keys alike."""
-    order = np.argsort(keys, kind="stable")
+    order = np.argsort(keys)
     k = keys[order]
     rank = np.empty(len(keys), np.int64)
     rank[order] = np.cumsum(np.concatenate([[1], k[1:] != k[:-1]])) if len(keys) else 0
@@ -83,7 +83,7 @@ class CoverSuffixes:
 
     def order(self, at: np.ndarray) -> np.ndarray:
         """These positions in suffix order."""
-        at = at[np.argsort(self.first[at], kind="stable")]
+        at = at[np.argsort(self.first[at])]
         key = self.first[at]
         n = len(self.text)
         change = np.concatenate([[True], key[1:] != key[:-1]]) if len(at) else np.zeros(0, bool)
