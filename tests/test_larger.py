@@ -65,3 +65,19 @@ def test_terms_of_one_id_are_added_in_a_join_size():
 
     a, b = (WaveletHistogram(3, np.array(i), np.array(v)) for i, v in (([2, 5, 5], [1.0, 2.0, 3.0]), ([5, 2], [10.0, 1.0])))
     assert a.inner_product(b) == b.inner_product(a) == 51
+
+
+def test_timed_counts_what_a_method_sends_once(spark, monkeypatch):
+    import os
+
+    from wavesum.functions.keys import spec
+    from wavesum.plans import experiments
+
+    folder = "/root/testdata/sf0.001"
+    if not os.path.isdir(folder):
+        pytest.skip("needs the given tables")
+    calls, method = [], experiments.Run.method
+    monkeypatch.setattr(experiments.Run, "method", lambda self, name, *a, **k: calls.append(name) or method(self, name, *a, **k))
+    got = experiments.timed(spark, folder, experiments.Setting(spec("quantity"), 4), ("ship_counts", "ship_counts_physical")).collect()
+    assert calls == ["ship_counts"]
+    assert got[0][3:] == got[1][3:] and got[0].pairs > 0
