@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from wavesum.llm.common import flat, spread, strings, sums
-from wavesum.llm.repeats import BYTE64, NONE, anchors, bucket_of, cuts, gram_hashes, lookup, mixed, packed, pipeline, ranges
+from wavesum.llm.repeats import BYTE64, NAMES, NONE, anchors, binaries, bucket_of, cuts, gram_hashes, lookup, many_rows, mixed, packed, pipeline, unwoven, woven
 from wavesum.llm.suffixes import CoverSuffixes, same_prefix
 
 LENGTH, GRAM, TEXT_BYTES = 50, 20, 2_000_000
@@ -58,21 +58,23 @@ def send(length: int):
         order = np.argsort(code, kind="stable")
         owner = order[cuts(code[order])[:-1]]  # documents come in the order of doc_id
         later = doc > doc[owner][code]
-        rows = []
+        out = []
         if later.any():
             flags = np.stack([starts[later], starts[later] + count[later]], axis=1).astype(np.uint32)
-            rows.append((home % buckets, home, 1, flags.tobytes(), b""))
+            out.append(packed([(home % buckets, home, 1, flags.tobytes(), b"")]))
         mine = np.flatnonzero(~later)
         mine = mine[np.lexsort((starts[mine], code[mine], target[mine]))]
-        edge = cuts(target[mine])
-        for lo, hi in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-            part = mine[lo:hi]
-            c = cuts(code[part])
-            one = part[c[:-1]]
-            where, _ = spread(size, starts, one)
-            head = np.concatenate([[len(one), len(part)], size[one], np.diff(c), starts[part]]).astype(np.uint32)
-            rows.append((int(target[part[0]]), home, 0, head.tobytes() + doc[one].tobytes(), data[where].tobytes()))
-        return packed(rows)
+        # a row for each bucket: m segments, k places; m sizes, m counts of places, the places, m doc_ids
+        c = cuts(target[mine], code[mine])
+        one, n_occ = mine[c[:-1]], np.diff(c)
+        edge = cuts(target[one])
+        m, k = np.diff(edge), np.diff(c[edge])
+        head = np.stack([m, k], axis=1).ravel()
+        numbers = woven((head, np.full(len(m), 2)), (size[one], m), (n_occ, m), (starts[mine], k), (doc[one].view(np.uint32), 2 * m))
+        where, offs = spread(size, starts, one)
+        to = target[one[edge[:-1]]]
+        out.append(many_rows(to, np.full(len(to), home), 0, binaries(*numbers), binaries(data[where], offs[edge])))
+        return pa.concat_tables(out)
 
     return run
 
@@ -80,23 +82,16 @@ def send(length: int):
 def compare(length: int):
     def run(bucket: int, table: pa.Table) -> pa.Table:
         """Suffix order of the bucket's segments; windows whose string an earlier document has go back to their homes."""
-        rows, texts, homes, docs, sizes, occurs, places = [], [], [], [], [], [], []
-        for home, kind, numbers, raw in zip(table.column("home").to_pylist(), table.column("kind").to_pylist(), table.column("numbers").to_pylist(), table.column("bytes").to_pylist(), strict=True):
-            if kind == 1:
-                rows.append((bucket, home, 1, numbers, b""))
-                continue
-            # m segments, k places; m sizes, m counts of places, the places, m doc_ids
-            tail = np.frombuffer(numbers, np.uint32)
-            m, k = tail[:2].tolist()
-            docs.append(np.frombuffer(numbers, np.int64, m, 4 * (2 + 2 * m + k)))
-            tail = tail[2:]
-            sizes.append(tail[:m].astype(np.int64))
-            occurs.append(tail[m : 2 * m].astype(np.int64))
-            places.append(tail[2 * m : 2 * m + k].astype(np.int64))
-            homes.append(np.full(m, home))
-            texts.append(np.frombuffer(raw, np.uint8))
-        if texts:
-            text, home, doc, size, n_occ, place = map(np.concatenate, (texts, homes, docs, sizes, occurs, places))
+        settled = pc.equal(table.column("kind"), 1)
+        out, table = [table.filter(settled)], table.filter(pc.invert(settled))
+        if table.num_rows:
+            a, at = unwoven(table.column("numbers"))
+            at, each = at[:-1], np.arange(table.num_rows)
+            m, k = a[at].astype(np.int64), a[at + 1].astype(np.int64)
+            size, n_occ, place = (a[spread(n, at + skip, each)[0]].astype(np.int64) for n, skip in ((m, 2), (m, 2 + m), (k, 2 + 2 * m)))
+            doc = np.ascontiguousarray(a[spread(2 * m, at + 2 + 2 * m + k, each)[0]]).view(np.int64)
+            home = np.repeat(table.column("home").to_numpy().astype(np.int64), m)
+            text, _ = unwoven(table.column("bytes"), np.uint8)
             base, first_occ = np.cumsum(size) - size, np.cumsum(n_occ) - n_occ
             count = size - length + 1
             # equal segments of several homes: the smallest doc_id's stands for them, later ones go as a whole
@@ -136,9 +131,12 @@ def compare(length: int):
             to = np.concatenate([to, np.repeat(home[which], n_occ[which])])
             order = np.lexsort((absolute, to))
             absolute, to = absolute[order], to[order]
-            e = cuts(to)
-            rows += [(bucket, int(to[lo]), 1, ranges(absolute[lo:hi]).tobytes(), b"") for lo, hi in zip(e[:-1].tolist(), e[1:].tolist(), strict=True)]
-        return packed(rows)
+            e = cuts(to, absolute - np.arange(len(absolute)))
+            spans = np.stack([absolute[e[:-1]], absolute[e[1:] - 1] + 1], axis=1).astype(np.uint32).ravel()
+            to = to[e[:-1]]
+            h = cuts(to)
+            out.append(many_rows(np.full(len(h) - 1, bucket), to[h[:-1]], 1, binaries(spans, 2 * h), binaries(np.zeros(0, np.uint8), np.zeros(len(h), np.int64))))
+        return pa.concat_tables([t.select(NAMES).cast(NONE) for t in out])
 
     return run
 
