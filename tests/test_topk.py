@@ -61,3 +61,13 @@ def test_nonneg(spark):
 
 def test_empty(spark):
     assert topk.signed(scores(spark, []), 3, 2).items.count() == 0
+
+
+def test_a_site_sends_as_many_rows_as_are_ranked(spark):
+    """Two parts of one item with the same value, one of them the k-th: the other is not sent in the first round."""
+    rows = [(0, 5, 0, 3, 3.0), (0, 5, 2, 3, 3.0), (0, 9, 0, 1, 1.0), (1, 5, 0, -3, -3.0), (1, 5, 2, -3, -3.0), (1, 7, 0, 1, 1.0)]
+    scores = spark.createDataFrame(rows, "site bigint, item bigint, part int, score bigint, value double")
+    state, bounds = topk.extremes(scores, 1)
+    first = {(r.site, r.item, r.part) for r in state.filter("first").collect()}
+    assert first == {(0, 5, 0), (0, 9, 0), (1, 7, 0), (1, 5, 0)}
+    assert sum(r.sent for r in bounds.collect()) == len(first)
